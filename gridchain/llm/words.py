@@ -36,6 +36,7 @@ class Words:
 
     def __init__(self, column: pa.Array, lower: bool = False):
         raw, cuts = text_bytes(column)
+        self._total = None
         self.raw, self.cuts = raw, cuts
         self.data = LOWER[raw] if lower else raw
         gap = SEPARATOR[raw]
@@ -54,13 +55,17 @@ class Words:
         self.first_word = np.searchsorted(self.docs, np.arange(self.rows + 1))
         self.counts = np.diff(self.first_word)
 
-    def hashes(self) -> np.ndarray:
+    def hashes(self, most: int = 0) -> np.ndarray:
+        """Hash of each word, or of its first `most` bytes."""
         n = len(self.data)
         up, down = _powers(n)
-        total = np.zeros(n + 1, np.uint64)
-        np.cumsum((self.data.astype(np.uint64) + np.uint64(1)) * up[:n], out=total[1:])
-        value = (total[self.ends] - total[self.starts]) * down[self.starts]
-        return mix64(value ^ ((self.ends - self.starts).astype(np.uint64) << np.uint64(48)))
+        if self._total is None:
+            self._total = np.zeros(n + 1, np.uint64)
+            np.cumsum((self.data.astype(np.uint64) + np.uint64(1)) * up[:n], out=self._total[1:])
+            self._from, self._down = self._total[self.starts], down[self.starts]
+        ends = np.minimum(self.ends, self.starts + most) if most else self.ends
+        value = (self._total[ends] - self._from) * self._down
+        return mix64(value ^ ((ends - self.starts).astype(np.uint64) << np.uint64(48)))
 
 
 _STEPS = [np.uint64(x) for x in (0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3, 0x1D8E4E27C47D124F, 0xEB44ACCAB455D165, 0x9C6E6877736C46E3, 0x2D358DCCAA6C78A5)]
