@@ -6,8 +6,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 from gridchain.llm.bpe import encode_decode
 from gridchain.llm.ngram_join import ngram_components
+from gridchain.llm.packing import pack_documents
+from gridchain.llm.pivots import top_products
 from gridchain.llm.quality import quality_scores
+from gridchain.llm.rules import quality_rules
 from gridchain.llm.toxicity import toxicity_scores
+from gridchain.llm.warc import page_records
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,10 +28,26 @@ def op2_quality_ranking(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_scores(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op3_adaptive_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules(_table(spark, sf_dir, "documents"))
+
+
+def op4_residual_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(_table(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"))
+
+
+def op5_pivot_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return top_products(_table(spark, sf_dir, "embeddings"))
+
+
 def op6_toxicity_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity_scores(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op7_warc_normaliser(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return page_records(_table(spark, sf_dir, "pages"))
+
+
 def op8_trie_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_decode(_table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), ("n_tokens", "ids_sha256", "decoded_sha256"))
 
@@ -36,5 +56,5 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_components(_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_quality_ranking, op6_toxicity_trees, op8_trie_bpe, op10_ngram_jaccard_join)}
+QUERIES = {f.__name__: f for f in (op2_quality_ranking, op3_adaptive_rules, op4_residual_packing, op5_pivot_topk, op6_toxicity_trees, op7_warc_normaliser, op8_trie_bpe, op10_ngram_jaccard_join)}
 ORACLE_SQL: dict[str, str] = {}
