@@ -4,10 +4,15 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import stage, unstage
+from gridchain.llm.shared import stage, text_bytes, unstage
+
+#: Sets in a block of the exact rest.
+BLOCK = 1024
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
@@ -50,33 +55,75 @@ def _mixed(members: DataFrame, found: DataFrame | None) -> DataFrame:
         rows = members.withColumn("component", F.col("node"))
     else:
         rows = members.join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    spans = rows.groupBy("bucket_key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("node").alias("first_node"), F.max("node").alias("last_node"))
+    spans = rows.groupBy("bucket_key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min_by("node", F.struct("weight", "node")).alias("plainest"), F.max("node").alias("last_node"))
     return rows.join(spans.filter("low < high"), "bucket_key").drop("low", "high")
 
 
-def bucket_links(members: DataFrame, verify: Callable[[DataFrame], DataFrame], carried: list[str], allow: Column, needed: Column) -> DataFrame:
-    """Components of the graph of all verified pairs that share a bucket, as (node, component).
+def _block_links(percent: int):
+    """Pairs of two blocks of sets, in different components, with enough in common."""
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        block, nodes, sizes, part = (np.asarray(table.column(c)) for c in ("block", "node", "n", "component"))
+        low, high = table.column("low")[0].as_py(), table.column("high")[0].as_py()
+        data, cuts = text_bytes(table.column("tokens").chunk(0) if table.num_rows else pa.array([], pa.binary()))
+        tokens = np.frombuffer(data.tobytes(), np.uint64)
+        owner = np.repeat(np.arange(len(nodes)), np.diff(cuts) // 8)
+        values, place, counts = np.unique(tokens, return_inverse=True, return_counts=True)
+        several = counts > 1
+        index = np.cumsum(several) - 1
+        keep = several[place]
+        owner, place = owner[keep], index[place[keep]]
+        order = np.argsort(place, kind="stable")
+        owner, place = owner[order], place[order]
+        rows, columns = np.flatnonzero(block == low), np.flatnonzero(block == high)
+        at = np.full((2, len(nodes)), -1)
+        at[0, rows], at[1, columns] = np.arange(len(rows)), np.arange(len(columns))
+        common = np.zeros((len(rows), len(columns)), np.float32)
+        for start in range(0, int(several.sum()), 2048):
+            a, b = np.searchsorted(place, [start, start + 2048])
+            sides = []
+            for side, height in ((0, len(rows)), (1, len(columns))):
+                dense = np.zeros((height, 2048), np.float32)
+                to = at[side, owner[a:b]]
+                dense[to[to >= 0], place[a:b][to >= 0] - start] = 1
+                sides.append(dense)
+            common += sides[0] @ sides[1].T
+        union = sizes[rows][:, None] + sizes[columns][None, :] - common
+        x, y = np.nonzero((100 * common >= percent * union) & (part[rows][:, None] != part[columns][None, :]))
+        x, y = rows[x], columns[y]
+        return pa.table({"a": np.minimum(nodes[x], nodes[y]), "b": np.maximum(nodes[x], nodes[y])})
+
+    return run
+
+
+def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFrame], DataFrame], percent: int, block: int = BLOCK) -> DataFrame:
+    """Components of the graph of all similar pairs that share a bucket, as (node, component).
 
-    members: bucket_key, node and the `carried` columns; `allow` and `needed` are written over
-    the carried columns prefixed a_ and b_: a pair counts in a bucket if `allow` holds and is a
-    candidate if it counts in `needed` buckets. Two rounds compare members only with their
-    bucket's first and last node; what they join needs no further comparison. The exact rest
-    compares only members that share a bucket and still lie in different components.
+    members: bucket_key, node, weight; sets: node, n (size of its set), tokens (the set's
+    values that other nodes hold too). Two rounds compare members only with one member of
+    their bucket, first the one of least weight; verify(pairs) keeps similar ones. What they
+    join needs no further comparison. The exact rest, members of buckets that still hold
+    several components, is compared in blocks of `block` sets: a group of candidates of any
+    size spreads over tasks of a bounded size, and only verified links leave a task.
     """
     links, found = None, None
-    members = members.select("bucket_key", "node", *carried)
-    for leader in ("first_node", "last_node"):
+    members = members.select("bucket_key", "node", "weight")
+    for leader in ("plainest", "last_node"):
         mixed = _mixed(members, found)
         pairs = mixed.filter(F.col("node") != F.col(leader)).select(F.least("node", leader).alias("a"), F.greatest("node", leader).alias("b")).distinct()
         new = stage(verify(pairs), "links")
         links = new if links is None else links.union(new)
         found = stage(components(links), "components")
-    rest = stage(_mixed(members, found).drop("first_node", "last_node"), "mixed")
+    rest = stage(_mixed(members, found).select("bucket_key", "node", "component", "plainest"), "mixed")
     if rest.isEmpty():
         return found
-    a = rest.select("bucket_key", *[F.col(c).alias(f"a_{c}") for c in ("node", "component", *carried)])
-    b = rest.select("bucket_key", *[F.col(c).alias(f"b_{c}") for c in ("node", "component", *carried)])
-    pairs = a.join(b, "bucket_key").filter((F.col("a_node") < F.col("b_node")) & (F.col("a_component") != F.col("b_component")) & allow)
-    pairs = pairs.groupBy(F.col("a_node").alias("a"), F.col("b_node").alias("b")).agg(F.count(F.lit(1)).alias("shared"), F.min(needed).alias("needed")).filter("shared >= needed").select("a", "b")
-    new = stage(verify(pairs), "links")
+    groups = components(rest.select(F.col("node").alias("a"), F.col("plainest").alias("b"))).toDF("node", "candidates")
+    loose = stage(rest.select("node", "component").distinct().join(groups, "node"), "loose")
+    blocks = loose.groupBy("candidates").agg(F.ceil(F.count(F.lit(1)) / F.lit(block)).cast("int").alias("blocks"))
+    dealt = loose.join(blocks, "candidates").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    dealt = dealt.join(sets.select("node", "n", "tokens"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumns({"low": F.least("block", "other"), "high": F.greatest("block", "other")})
+    new = dealt.select("candidates", "low", "high", "block", "node", "n", "component", "tokens").groupBy("candidates", "low", "high").applyInArrow(_block_links(percent), "a long, b long")
+    new = stage(new.distinct(), "links")
     return found if new.isEmpty() else components(links.union(new))
