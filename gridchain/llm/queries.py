@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
 from gridchain.llm.bpe import encode_decode
 from gridchain.llm.ngram_join import ngram_components
 from gridchain.llm.packing import pack_documents
+from gridchain.llm.paragraphs import paragraph_report
 from gridchain.llm.pivots import top_products
 from gridchain.llm.quality import quality_scores
 from gridchain.llm.rules import quality_rules
@@ -52,9 +54,17 @@ def op8_trie_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_decode(_table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), ("n_tokens", "ids_sha256", "decoded_sha256"))
 
 
+def op9_paragraph_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return paragraph_report(_table(spark, sf_dir, "documents"))
+
+
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_components(_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_quality_ranking, op3_adaptive_rules, op4_residual_packing, op5_pivot_topk, op6_toxicity_trees, op7_warc_normaliser, op8_trie_bpe, op10_ngram_jaccard_join)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op2_quality_ranking, op3_adaptive_rules, op4_residual_packing, op5_pivot_topk, op6_toxicity_trees, op7_warc_normaliser, op8_trie_bpe, op9_paragraph_bands, op10_ngram_jaccard_join, pipeline)}
 ORACLE_SQL: dict[str, str] = {}

@@ -113,3 +113,12 @@ def judged(counts: DataFrame) -> DataFrame:
     for r in RATES:
         within = within & (F.col(r) <= F.coalesce(F.col(f"{r}_limit"), F.lit(rest[f"all_{r}"] if rest else None).cast("double"), F.lit(FLOOR[r])))
     return joined.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & within).alias("kept"))
+
+
+def keep_ruled(docs: DataFrame) -> DataFrame:
+    """docs without the documents that the rules reject; all columns stay.
+
+    Rows that share a rejected doc_id all go; rows with a null doc_id stay.
+    """
+    rejected = stage(quality_rules(docs).filter("not kept and doc_id is not null").select("doc_id").distinct(), "rejected")
+    return docs.join(rejected, "doc_id", "left_anti").select(*docs.columns)
