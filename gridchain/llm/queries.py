@@ -12,6 +12,7 @@ from gridchain.llm.paragraphs import paragraph_report
 from gridchain.llm.pivots import top_products
 from gridchain.llm.quality import quality_scores
 from gridchain.llm.rules import quality_rules
+from gridchain.llm.substrings import remove_repeats
 from gridchain.llm.toxicity import toxicity_scores
 from gridchain.llm.warc import page_records
 
@@ -26,6 +27,10 @@ def _vocabulary(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_suffix_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return remove_repeats(_table(spark, sf_dir, "documents"))
+
+
 def op2_quality_ranking(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_scores(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
@@ -66,5 +71,5 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op2_quality_ranking, op3_adaptive_rules, op4_residual_packing, op5_pivot_topk, op6_toxicity_trees, op7_warc_normaliser, op8_trie_bpe, op9_paragraph_bands, op10_ngram_jaccard_join, pipeline)}
+QUERIES = {f.__name__: f for f in (op1_suffix_merge, op2_quality_ranking, op3_adaptive_rules, op4_residual_packing, op5_pivot_topk, op6_toxicity_trees, op7_warc_normaliser, op8_trie_bpe, op9_paragraph_bands, op10_ngram_jaccard_join, pipeline)}
 ORACLE_SQL: dict[str, str] = {}
