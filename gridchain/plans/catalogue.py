@@ -2,14 +2,378 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from gridchain.operators import als, baselines, chain, gnn, kernels
+from gridchain.operators.matrix import to_long, transpose
+from gridchain.plans import cost, ledger, operator_queries, planner
+from gridchain.plans.grid import Grid
+from gridchain.sources import random_matrices, tables
+from gridchain.streaming import queries as streaming_queries
+
+R = 8
+
+PART_SUPPLIER = "SELECT l_partkey AS i, l_suppkey AS j, sum(l_quantity) AS v FROM lineitem GROUP BY ALL"
+ORDER_PART = "SELECT l_orderkey AS i, l_partkey AS j, sum(l_quantity) AS v FROM lineitem GROUP BY ALL"
+CUSTOMER_PART = "SELECT o_custkey AS i, l_partkey AS j, sum(l_quantity) AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ALL"
+USER_KEY = "SELECT user_id AS i, CAST(json_extract_string(props, '$.k') AS BIGINT) AS j, CAST(count(*) AS DOUBLE) AS v FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL GROUP BY ALL"
+TOKENS = "SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z]+')) AS word FROM documents"
+DOC_WORD = f"SELECT c.doc_id AS i, w.j, CAST(c.v AS DOUBLE) AS v FROM (SELECT doc_id, word, count(*) AS v FROM ({TOKENS}) WHERE word <> '' GROUP BY ALL) c JOIN (SELECT word, row_number() OVER (ORDER BY count(*) DESC, word) - 1 AS j FROM ({TOKENS}) WHERE word <> '' GROUP BY word) w ON c.word = w.word"
+LINKS = "SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages"
+PAGE_LINK = f"SELECT l.page_id AS i, t.j, CAST(count(*) AS DOUBLE) AS v FROM ({LINKS}) l JOIN (SELECT target, row_number() OVER (ORDER BY target) - 1 AS j FROM ({LINKS}) GROUP BY target) t ON l.target = t.target GROUP BY ALL"
+VECTORS = "SELECT vec_id AS id, unnest(range(len(embedding))) AS k, unnest(embedding) AS x FROM embeddings"
+COSINE = "SELECT a.vec_id AS i, b.vec_id AS j, 1.0::DOUBLE AS v FROM embeddings a, embeddings b WHERE a.vec_id <> b.vec_id AND list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) > 0.2"
+
+
+def lattice_sql(ids: str, a: int, b: int, r: int = R) -> str:
+    return f"SELECT id, k, CAST((id * {a} + k * {b} + 7 * id * (k + 3) * (k + 1) + 7) % 101 - 50 AS DOUBLE) / 64 AS x FROM ({ids}), (SELECT unnest(range({r})) AS k)"
+
+
+def chain_sql(matrix: str, last: str, r: int = R) -> str:
+    """A statement over s, a, b, the masked product r and both gathers of r."""
+    return f"""WITH s AS ({matrix}), a AS ({lattice_sql('SELECT DISTINCT i AS id FROM s', 31, 17, r)}), b AS ({lattice_sql('SELECT DISTINCT j AS id FROM s', 13, 19, r)}),
+    dots AS (SELECT s.i, s.j, s.v, sum(a.x * b.x) AS d FROM s JOIN a ON a.id = s.i JOIN b ON b.id = s.j AND b.k = a.k GROUP BY ALL),
+    r AS (SELECT i, j, v * d AS v FROM dots),
+    gl AS (SELECT s.i AS id, b.k, sum(s.v * b.x) AS x FROM s JOIN b ON b.id = s.j GROUP BY ALL),
+    gr AS (SELECT s.j AS id, a.k, sum(s.v * a.x) AS x FROM s JOIN a ON a.id = s.i GROUP BY ALL),
+    cl AS (SELECT r.i AS id, b.k, sum(r.v * b.x) AS x FROM r JOIN b ON b.id = r.j GROUP BY ALL),
+    cr AS (SELECT r.j AS id, a.k, sum(r.v * a.x) AS x FROM r JOIN a ON a.id = r.i GROUP BY ALL)
+    {last}"""
+
+
+def operands(s: DataFrame, r: int = R) -> tuple[DataFrame, DataFrame, DataFrame]:
+    return s, tables.left_factor(s, r), tables.right_factor(s, r)
+
+
+def _shape(s: DataFrame) -> tuple[int, int]:
+    row = s.agg(F.max("i"), F.max("j")).first()
+    return (row[0] or 0) + 1, (row[1] or 0) + 1
+
+
+GRIDS = {"ds": (8, 2), "ss": (8, 2), "rd": (8, 2), "rs": (8, 2)}
+
+
+def _grid(family: str, s: DataFrame, r: int = R, p: int | None = None, c: int | None = None) -> Grid:
+    m, n = _shape(s)
+    return Grid(family, p or GRIDS[family][0], c or GRIDS[family][1], m, n, r)
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s, a, b = operands(tables.part_supplier(spark, sf_dir))
+    return chain.chain_left(s, a, b, _grid("ds", s), "fuse")
+
+
+_queries: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_oracles: dict[str, str] = {}
+
+
+def add(name: str, sql: str | None = None):
+    def keep(f):
+        _queries[name] = f
+        if sql:
+            _oracles[name] = sql
+        return f
+
+    return keep
+
+
+def _on(matrix: Callable, f: Callable) -> Callable:
+    return lambda spark, sf_dir: f(*operands(matrix(spark, sf_dir)))
+
+
+R_OUT, GL, GR, CL, CR = "SELECT i, j, v FROM r", "SELECT id, k, x FROM gl", "SELECT id, k, x FROM gr", "SELECT id, k, x FROM cl", "SELECT id, k, x FROM cr"
+ps = tables.part_supplier
+
+add("masked_part_supplier", chain_sql(PART_SUPPLIER, R_OUT))(_on(ps, kernels.masked_product))
+add("masked_unscaled", chain_sql(PART_SUPPLIER, "SELECT i, j, d AS v FROM dots"))(_on(ps, lambda s, a, b: kernels.masked_product(s, a, b, scaled=False)))
+add("gather_left_part_supplier", chain_sql(PART_SUPPLIER, GL))(_on(ps, lambda s, a, b: kernels.gather_long(s, b)))
+add("gather_right_part_supplier", chain_sql(PART_SUPPLIER, GR))(_on(ps, lambda s, a, b: kernels.gather_long(transpose(s), a)))
+add("chain_left_plain", chain_sql(PART_SUPPLIER, CL))(_on(ps, kernels.chain_long))
+add("chain_right_plain", chain_sql(PART_SUPPLIER, CR))(_on(ps, lambda s, a, b: kernels.chain_long(transpose(s), b, a)))
+for _family, _elision in cost.VARIANTS:
+    add(f"chain_left_{_family}_{_elision}", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b, f=_family, e=_elision: chain.chain_left(s, a, b, _grid(f, s), e)))
+    add(f"chain_right_{_family}_{_elision}", chain_sql(PART_SUPPLIER, CR))(_on(ps, lambda s, a, b, f=_family, e=_elision: chain.chain_right(s, a, b, _grid(f, s), e)))
+for _family in GRIDS:
+    add(f"masked_{_family}", chain_sql(PART_SUPPLIER, R_OUT))(_on(ps, lambda s, a, b, f=_family: chain.masked(s, a, b, _grid(f, s))))
+    add(f"gather_left_{_family}", chain_sql(PART_SUPPLIER, GL))(_on(ps, lambda s, a, b, f=_family: chain.gather("left", s, b, _grid(f, s))))
+    add(f"gather_right_{_family}", chain_sql(PART_SUPPLIER, GR))(_on(ps, lambda s, a, b, f=_family: chain.gather("right", s, a, _grid(f, s))))
+add("chain_left_ds_phased", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_phased(s, a, b, _grid("ds", s))))
+add("special_1d", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, _grid("ds", s, p=8, c=1), "fuse")))
+add("special_2d", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, _grid("rd", s, p=16, c=1))))
+add("special_3d", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, _grid("rd", s, p=8, c=2), "reuse")))
+add("station_order_fiber", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, Grid("ds", 8, 2, *_shape(s), R, "fiber"), "fuse")))
+
+
+@add("dense_then_mask", chain_sql(f"SELECT * FROM ({PART_SUPPLIER}) WHERE i < 500", R_OUT))
+def _dense_then_mask(spark, sf_dir):
+    s, a, b = operands(ps(spark, sf_dir).filter("i < 500"))
+    return baselines.dense_then_mask(s, a, b)
+
+
+add("baseline_two_gathers", chain_sql(PART_SUPPLIER, "SELECT id, k, 2 * x AS x FROM gl"))(_on(ps, lambda s, a, b: baselines.two_gathers(s, b, 8, _shape(s)[0])))
+add("fetch_rows", chain_sql(PART_SUPPLIER, GL))(_on(ps, lambda s, a, b: baselines.fetch_rows(s, b, 8, _shape(s)[0])))
+add("unoptimised_chain", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: baselines.unoptimised_chain(s, a, b, kernels.masked_product(s, a, b))))
+
+
+@add("permuted_chain", chain_sql(PART_SUPPLIER, CL))
+def _permuted(spark, sf_dir):
+    s, a, b = operands(ps(spark, sf_dir))
+    m, n = _shape(s)
+    out = chain.chain_left(random_matrices.affine(s, m, n), random_matrices.permuted_ids(a, m), random_matrices.permuted_ids(b, n), _grid("ds", s), "fuse")
+    return random_matrices.inverse_affine(out, m)
+
+
+add("order_part_masked", chain_sql(ORDER_PART, R_OUT))(_on(tables.order_part, lambda s, a, b: chain.masked(s, a, b, _grid("ss", s))))
+add("customer_part_chain", chain_sql(CUSTOMER_PART, CL))(_on(tables.customer_part, lambda s, a, b: chain.chain_left(s, a, b, _grid("ds", s), "reuse")))
+add("doc_word_gather", chain_sql(DOC_WORD, GL))(_on(tables.doc_word, lambda s, a, b: kernels.gather_long(s, b)))
+add("events_user_key_masked", chain_sql(USER_KEY, R_OUT))(_on(tables.user_key, kernels.masked_product))
+add("page_link_gather", chain_sql(PAGE_LINK, GL))(_on(tables.page_link, lambda s, a, b: kernels.gather_long(s, b)))
+
+
+@add("cosine_graph_masked", f"WITH g AS ({COSINE}) SELECT g.i, g.j, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS v FROM g JOIN embeddings a ON a.vec_id = g.i JOIN embeddings b ON b.vec_id = g.j")
+def _cosine(spark, sf_dir):
+    x = tables.embeddings(spark, sf_dir)
+    return kernels.masked_product(tables.cosine_graph(spark, sf_dir), x, x).select("i", "j", F.round("v", 6).alias("v"))
+
+
+def _lattice_matrix_sql(n: int, d: int) -> str:
+    return f"SELECT i, (i * 40503 + 7919 + t * (2 * ((i * 31 + 5) % {n}) + 1)) % {n} AS j, CAST((i + t) % 7 + 1 AS DOUBLE) AS v FROM (SELECT unnest(range({n})) AS i), (SELECT unnest(range({d})) AS t)"
+
+
+def _generated(n: int, d: int, p: int, c: int, family: str, elision: str, r: int = 8):
+    def run(spark, sf_dir):
+        s, a, b = operands(random_matrices.lattice(spark, n, d), r)
+        return chain.chain_left(s, a, b, Grid(family, p, c, n, n, r), elision)
+
+    return run
+
+
+for _p in (4, 16):
+    _n, _d = random_matrices.weak_setup1(_p)
+    add(f"random_weak1_p{_p}", chain_sql(_lattice_matrix_sql(_n, _d), CL))(_generated(_n, _d, _p, 2, "ss", "reuse"))
+    _n, _d = random_matrices.weak_setup2(_p)
+    add(f"random_weak2_p{_p}", chain_sql(_lattice_matrix_sql(_n, _d), CL))(_generated(_n, _d, _p, 2, "ds", "fuse"))
+add("square_operands", chain_sql(_lattice_matrix_sql(128, 16), CL, 128))(_generated(128, 16, 8, 2, "ss", "reuse", 128))
+
+
+@add("random_bernoulli")
+def _bernoulli(spark, sf_dir):
+    return random_matrices.bernoulli(spark, 4096, 8)
+
+
+# ---- measures ----
+
+for _family in GRIDS:
+    _e = {"ds": "fuse", "ss": "reuse", "rd": "reuse", "rs": "none"}[_family]
+
+    def _ledger(spark, sf_dir, f=_family, e=_e):
+        s, a, b = operands(random_matrices.lattice(spark, 1024, 8), 16)
+        found = ledger.words(ledger.chain_ledger(s, a, b, Grid(f, 16, 4, 1024, 1024, 16), e))
+        return found.select("family", "elision", F.round("mean_words", 6).alias("mean_words"), "messages")
+
+    add(f"ledger_words_{_family}", f"SELECT '{_family}' AS family, '{_e}' AS elision, round(CAST({cost.predict_words(_family, _e, 16, 4, 8 / 16, 1024 * 16)!r} AS DOUBLE), 6) AS mean_words, CAST({cost.predict_messages(_family, _e, 16, 4)!r} AS DOUBLE) AS messages")(_ledger)
+
+
+@add("ledger_balance", f"WITH s AS ({PART_SUPPLIER}), d AS (SELECT max(i) + 1 AS m, max(j) + 1 AS n FROM s), t AS (SELECT floor(i * 4 / m) * 2 + floor(j * 8 / n) % 2 AS station, count(*) AS nnz FROM s, d GROUP BY ALL) SELECT max(nnz) AS max_nnz, sum(nnz) / 8.0 AS mean_nnz, round(max(nnz) * 8.0 / sum(nnz), 9) AS ratio FROM t")
+def _balance(spark, sf_dir):
+    s = ps(spark, sf_dir)
+    return ledger.balance(s, _grid("ds", s)).select("max_nnz", "mean_nnz", F.round("ratio", 9).alias("ratio"))
+
+
+@add("word_balance_permuted")
+def _word_balance(spark, sf_dir):
+    """Balance of the long-tailed document-word matrix before and after permuting its ids."""
+    s = tables.doc_word(spark, sf_dir)
+    m, n = _shape(s)
+    a = next(x for x in range(30011, 60000, 2) if math.gcd(x, m * n) == 1)
+    grid = Grid("ss", 16, 4, m, n, R)
+    before, after = ledger.balance(s, grid), ledger.balance(random_matrices.affine(s, m, n, a), grid)
+    return before.withColumn("ids", F.lit("by count")).unionByName(after.withColumn("ids", F.lit("permuted")))
+
+
+@add("remote_rows", f"WITH s AS ({PART_SUPPLIER}), d AS (SELECT max(i) + 1 AS m, max(j) + 1 AS n FROM s), t AS (SELECT DISTINCT floor(i * 4 / m) * 2 + floor(j * 8 / n) % 2 AS station, j FROM s, d) SELECT count(*) AS fetched, count(DISTINCT j) AS columns, count(*) - count(DISTINCT j) AS remote FROM t")
+def _remote(spark, sf_dir):
+    s = ps(spark, sf_dir)
+    return baselines.remote_rows(s, _grid("ds", s))
+
+
+@add("matrix_stats", f"WITH s AS ({PART_SUPPLIER}) SELECT max(i) + 1 AS m, max(j) + 1 AS n, count(*) AS nnz, round(count(*) / (8.0 * (max(i) + 1)), 9) AS phi_a, round(count(*) / (8.0 * (max(j) + 1)), 9) AS phi_b FROM s")
+def _stats(spark, sf_dir):
+    return ps(spark, sf_dir).agg((F.max("i") + 1).alias("m"), (F.max("j") + 1).alias("n"), F.count(F.lit(1)).alias("nnz"), F.round(F.count(F.lit(1)) / (8.0 * (F.max("i") + 1)), 9).alias("phi_a"), F.round(F.count(F.lit(1)) / (8.0 * (F.max("j") + 1)), 9).alias("phi_b"))
+
+
+_COST_SQL = """WITH pc AS (SELECT p, c, phi FROM (SELECT unnest([4, 16, 64, 256]) AS p), (SELECT unnest([1, 2, 4, 8, 16]) AS c), (SELECT unnest([0.125, 1.0, 8.0]::DOUBLE[]) AS phi) WHERE p % c = 0),
+v AS (SELECT unnest(['ds','ds','ds','ss','ss']) AS family, unnest(['none','reuse','fuse','none','reuse']) AS elision),
+w AS (SELECT family, elision, p, c, phi, CASE WHEN family = 'ss' THEN 6 * phi / c WHEN elision = 'fuse' THEN 1.0 / c ELSE 2.0 / c END + CASE WHEN elision = 'reuse' THEN 1 ELSE 2 END * (c - 1.0) / p AS words FROM pc, v
+UNION ALL SELECT 'rd', e, p, c, phi, (6 * phi + 2) / sqrt(p * c) + CASE WHEN e = 'reuse' THEN 1 ELSE 2 END * (c - 1.0) / p FROM pc, (SELECT unnest(['none','reuse']) AS e) WHERE sqrt(p / c) = floor(sqrt(p / c))
+UNION ALL SELECT 'rs', 'none', p, c, phi, 4 / sqrt(p * c) + 3 * phi * (c - 1.0) / p FROM pc WHERE sqrt(p / c) = floor(sqrt(p / c)) AND sqrt(p / c) * c <= 128)
+SELECT family, elision, CAST(p AS INTEGER) AS p, CAST(c AS INTEGER) AS c, phi, round(words, 9) AS words FROM w WHERE NOT (family = 'ss' AND p / c > 128)"""
+
+
+@add("cost_table", _COST_SQL)
+def _cost_table(spark, sf_dir):
+    rows = [(f, e, p, c, phi, round(cost.predict_words(f, e, p, c, phi), 9)) for f, e in cost.VARIANTS for p in (4, 16, 64, 256) for c in cost.admissible(f, p, 128, 16) if c in (1, 2, 4, 8, 16) for phi in (0.125, 1.0, 8.0)]
+    return spark.createDataFrame(rows, "family string, elision string, p int, c int, phi double, words double")
+
+
+_BEST_SQL = """WITH w AS (SELECT p, c, e, CASE WHEN e = 'fuse' THEN 1.0 / c ELSE 2.0 / c END + CASE WHEN e = 'reuse' THEN 1 ELSE 2 END * (c - 1.0) / p AS words
+FROM (SELECT unnest([2,4,8,16,32,64,128,256]) AS p), (SELECT unnest([1,2,4,8]) AS c), (SELECT unnest(['none','reuse','fuse']) AS e) WHERE c <= p)
+SELECT e AS elision, CAST(p AS INTEGER) AS p, CAST(min_by(c, round(words, 12) + c * 1e-9) AS INTEGER) AS c FROM w GROUP BY e, p"""
+
+
+@add("best_c_table", _BEST_SQL)
+def _best_c(spark, sf_dir):
+    rows = [(e, p, cost.best_c_admissible("ds", e, p, 0.125, 256, 8)) for e in ("none", "reuse", "fuse") for p in (2, 4, 8, 16, 32, 64, 128, 256)]
+    return spark.createDataFrame(rows, "elision string, p int, c int")
+
+
+@add("planner_map_p32")
+def _planner_map(spark, sf_dir):
+    """Best variant over density at 32 stations: r from 32 to 512, 2 to 512 nonzeros in a row."""
+    rows, n = [], 1 << 22
+    for r in (32, 64, 128, 256, 512):
+        for d in (2, 4, 8, 16, 32, 64, 128, 256, 512):
+            f, e, c = planner.choose(32, n, r, n * d, 16)
+            rows.append((r, d, d / r, f, e, c))
+    return spark.createDataFrame(rows, "r int, per_row int, phi double, family string, elision string, c int")
+
+
+@add("planner_explain")
+def _planner_explain(spark, sf_dir):
+    return planner.explain(spark, 32, 1 << 22, 128, (1 << 22) * 16, 16)
+
+
+@add("elision_ratios", "SELECT CAST(p AS INTEGER) AS p, round((1 - 2 * sqrt(2 * p)) / (2 - 4 * sqrt(p)), 9) AS reuse_ds, round((2 * sqrt(2 * p) - 2) / (4 * sqrt(p) - 2), 9) AS fuse_ds FROM (SELECT unnest([64, 256, 4096]) AS p)")
+def _ratios(spark, sf_dir):
+    return spark.createDataFrame([(p, round(cost.elision_ratio("ds", "reuse", p), 9), round(cost.elision_ratio("ds", "fuse", p), 9)) for p in (64, 256, 4096)], "p int, reuse_ds double, fuse_ds double")
+
+
+@add("weak_scaling_exponents")
+def _exponents(spark, sf_dir):
+    sizes = [64, 256, 1024, 4096]
+    return spark.createDataFrame([(f, e, round(cost.scaling_exponent(f, e, sizes), 6)) for f, e in cost.VARIANTS], "family string, elision string, exponent double")
+
+
+@add("strong_scaling_words")
+def _strong(spark, sf_dir):
+    """Words of every family at its best c up to 16, for 4 to 64 stations, on three given matrices (r = 32)."""
+    rows = []
+    for name in ("part_supplier", "order_part", "customer_part"):
+        s = getattr(tables, name)(spark, sf_dir)
+        m, n = _shape(s)
+        nnz = s.count()
+        for p in (4, 8, 16, 32, 64):
+            for f, e in cost.VARIANTS:
+                if (c := cost.best_c_admissible(f, e, p, nnz / (m * 32), 32, 16)) is not None:
+                    rows.append((name, p, f, e, c, cost.predict_words(f, e, p, c, nnz / (m * 32), m * 32)))
+    return spark.createDataFrame(rows, "matrix string, p int, family string, elision string, c int, words double")
+
+
+# ---- applications ----
+
+RANK = 8
+
+
+def _ratings(spark, sf_dir):
+    return operands(tables.customer_part(spark, sf_dir), RANK)
+
+
+@add("als_loss", chain_sql(CUSTOMER_PART, "SELECT round(sqrt(sum((v - d) * (v - d))), 6) AS loss FROM dots"))
+def _loss(spark, sf_dir):
+    return als.loss(*_ratings(spark, sf_dir)).select(F.round("loss", 6).alias("loss"))
+
+
+@add("als_rhs", chain_sql(CUSTOMER_PART, GL))
+def _rhs(spark, sf_dir):
+    s, _, b = _ratings(spark, sf_dir)
+    return to_long(als.rhs(s, b))
+
+
+_MATVEC = "SELECT a.id, a.k, coalesce(q.x, 0) + 0.5 * a.x AS x FROM a LEFT JOIN (SELECT dots.i AS id, b.k, sum(dots.d * b.x) AS x FROM dots JOIN b ON b.id = dots.j GROUP BY ALL) q ON q.id = a.id AND q.k = a.k"
+
+
+@add("als_matvec", chain_sql(CUSTOMER_PART, _MATVEC))
+def _matvec(spark, sf_dir):
+    s, a, b = _ratings(spark, sf_dir)
+    return to_long(als.batched_matvec(s, a, b, 0.5))
+
+
+
+
+def _cg_sql() -> str:
+    """Two steps of conjugate gradients, unrolled."""
+    head = chain_sql(CUSTOMER_PART, "").rstrip()
+    mat = lambda x: f"SELECT p.id, p.k, p.x * 1.0 + q.x AS x FROM {x} p JOIN (SELECT t.i AS id, b.k, sum(t.d * b.x) AS x FROM (SELECT s.i, s.j, sum(y.x * b.x) AS d FROM s JOIN {x} y ON y.id = s.i JOIN b ON b.id = s.j AND b.k = y.k GROUP BY ALL) t JOIN b ON b.id = t.j GROUP BY ALL) q ON q.id = p.id AND q.k = p.k"
+    dots = lambda x, y: f"SELECT l.id, sum(l.x * r2.x) AS d FROM {x} l JOIN {y} r2 ON r2.id = l.id AND r2.k = l.k GROUP BY l.id"
+    parts = [head, f", m0 AS ({mat('a')})", ", r0 AS (SELECT gl.id, gl.k, gl.x - m0.x AS x FROM gl JOIN m0 ON m0.id = gl.id AND m0.k = gl.k)"]
+    parts += [f", q0 AS ({mat('r0')}), rs0 AS ({dots('r0', 'r0')}), c0 AS ({dots('r0', 'q0')})"]
+    parts += [", x1 AS (SELECT a.id, a.k, a.x + rs0.d / c0.d * r0.x AS x FROM a JOIN r0 ON r0.id = a.id AND r0.k = a.k JOIN rs0 ON rs0.id = a.id JOIN c0 ON c0.id = a.id)"]
+    parts += [", r1 AS (SELECT r0.id, r0.k, r0.x - rs0.d / c0.d * q0.x AS x FROM r0 JOIN q0 ON q0.id = r0.id AND q0.k = r0.k JOIN rs0 ON rs0.id = r0.id JOIN c0 ON c0.id = r0.id)"]
+    parts += [f", rs1 AS ({dots('r1', 'r1')}), p1 AS (SELECT r1.id, r1.k, r1.x + rs1.d / rs0.d * r0.x AS x FROM r1 JOIN r0 ON r0.id = r1.id AND r0.k = r1.k JOIN rs0 ON rs0.id = r1.id JOIN rs1 ON rs1.id = r1.id)"]
+    parts += [f", q1 AS ({mat('p1')}), c1 AS ({dots('p1', 'q1')})"]
+    parts += [" SELECT x1.id, x1.k, round(x1.x + rs1.d / c1.d * p1.x, 5) AS x FROM x1 JOIN p1 ON p1.id = x1.id AND p1.k = x1.k JOIN rs1 ON rs1.id = x1.id JOIN c1 ON c1.id = x1.id"]
+    return "".join(parts)
+
+
+@add("als_cg_2", _cg_sql())
+def _cg2(spark, sf_dir):
+    s, a, b = _ratings(spark, sf_dir)
+    return to_long(als.cg(s, als.rhs(s, b), a, b, 2, 1.0)).select("id", "k", F.round("x", 5).alias("x"))
+
+
+@add("als_sweep")
+def _sweep(spark, sf_dir):
+    s, a, b = _ratings(spark, sf_dir)
+    before = als.loss(s, a, b)
+    a, b = als.sweep(s, a, b, 10, 0.1)
+    return before.withColumn("sweep", F.lit(0)).unionByName(als.loss(s, a, b).withColumn("sweep", F.lit(1)))
+
+
+HEADS = gnn.random_heads(2, 64, 8)
+
+
+def _head_sql(k: int) -> str:
+    w, vector = HEADS[k]
+    half = len(vector) // 2
+    lists = lambda v: f"{v!r}::DOUBLE[]"
+    return f"""e{k} AS (SELECT g.i, g.j, list_dot_product(a.embedding::DOUBLE[], {lists(vector[:half])}) + list_dot_product(b.embedding::DOUBLE[], {lists(vector[half:])}) AS t FROM g JOIN embeddings a ON a.vec_id = g.i JOIN embeddings b ON b.vec_id = g.j),
+    l{k} AS (SELECT i, j, CASE WHEN t >= 0 THEN t ELSE 0.2 * t END AS v FROM e{k}),
+    m{k} AS (SELECT i, j, exp(v - max(v) OVER (PARTITION BY i)) AS v FROM l{k}),
+    s{k} AS (SELECT i, j, v / sum(v) OVER (PARTITION BY i) AS v FROM m{k}),
+    w{k} AS (SELECT unnest(range({len(w)})) AS d, unnest({w!r}::DOUBLE[][]) AS row),
+    p{k} AS (SELECT x.id, c.k, sum(x.x * w.row[c.k + 1]) AS x FROM ({VECTORS}) x JOIN w{k} w ON w.d = x.k, (SELECT unnest(range({len(w[0])})) AS k) c GROUP BY ALL),
+    h{k} AS (SELECT s.i AS id, p.k + {k * len(w[0])} AS k, sum(s.v * p.x) AS x FROM s{k} s JOIN p{k} p ON p.id = s.j GROUP BY ALL)"""
+
+
+def _graph(spark, sf_dir):
+    return tables.cosine_graph(spark, sf_dir), tables.embeddings(spark, sf_dir)
+
+
+def _rounded(d: DataFrame) -> DataFrame:
+    return to_long(d).select("id", "k", F.round("x", 6).alias("x"))
+
+
+add("gat_scores", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM l0")(lambda spark, sf_dir: gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1]).select("i", "j", F.round("v", 6).alias("v")))
+add("gat_scores_moving_rows", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM l0")(lambda spark, sf_dir: gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1], split=False).select("i", "j", F.round("v", 6).alias("v")))
+add("gat_softmax", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM s0")(lambda spark, sf_dir: gnn.row_softmax(gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1])).select("i", "j", F.round("v", 6).alias("v")))
+add("gat_head", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT id, k, round(x, 6) AS x FROM h0")(lambda spark, sf_dir: _rounded(gnn.attention_layer(*_graph(spark, sf_dir), *HEADS[0])))
+add("gat_multi_head", f"WITH g AS ({COSINE}), {_head_sql(0)}, {_head_sql(1)} SELECT id, k, round(x, 6) AS x FROM (SELECT * FROM h0 UNION ALL SELECT * FROM h1)")(lambda spark, sf_dir: _rounded(gnn.multi_head(*_graph(spark, sf_dir), HEADS)))
+add("gcn_layer", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT g.i AS id, p.k, round(greatest(sum(p.x), 0), 6) AS x FROM g JOIN p0 p ON p.id = g.j GROUP BY g.i, p.k")(lambda spark, sf_dir: _rounded(gnn.conv_layer(*_graph(spark, sf_dir), HEADS[0][0])))
+
+
+@add("gat_forward_two_layers")
+def _forward(spark, sf_dir):
+    g, x = _graph(spark, sf_dir)
+    return _rounded(gnn.forward(g, x, [HEADS, gnn.random_heads(2, 16, 8)]))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return _queries | operator_queries.QUERIES | streaming_queries.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return _oracles | operator_queries.ORACLES | streaming_queries.ORACLES
