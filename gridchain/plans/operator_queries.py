@@ -147,9 +147,14 @@ add("op_agg_max_by", f"SELECT i, arg_max(j, v * 100000 - j) AS best FROM ({PS})
 
 # ---- windows, sorts, sets ----
 
-_by_row = Window.partitionBy("i").orderBy(F.desc("v"), "j")
+
+
+def _by_row():
+    return Window.partitionBy("i").orderBy(F.desc("v"), "j")
+
+
 add("op_window_rank", f"SELECT i, j, CAST(rank() OVER w AS INTEGER) AS r, CAST(dense_rank() OVER w AS INTEGER) AS dr, round(percent_rank() OVER w, 9) AS pr FROM ({PS}) WINDOW w AS (PARTITION BY i ORDER BY v DESC)")(lambda s, d: ps(s, d).select("i", "j", F.rank().over(Window.partitionBy("i").orderBy(F.desc("v"))).alias("r"), F.dense_rank().over(Window.partitionBy("i").orderBy(F.desc("v"))).alias("dr"), F.round(F.percent_rank().over(Window.partitionBy("i").orderBy(F.desc("v"))), 9).alias("pr")))
-add("op_window_ntile", f"SELECT i, j, CAST(ntile(4) OVER (PARTITION BY i ORDER BY v DESC, j) AS INTEGER) AS quarter FROM ({PS})")(lambda s, d: ps(s, d).select("i", "j", F.ntile(4).over(_by_row).alias("quarter")))
+add("op_window_ntile", f"SELECT i, j, CAST(ntile(4) OVER (PARTITION BY i ORDER BY v DESC, j) AS INTEGER) AS quarter FROM ({PS})")(lambda s, d: ps(s, d).select("i", "j", F.ntile(4).over(_by_row()).alias("quarter")))
 add("op_window_lag", f"SELECT i, j, v - lag(v) OVER (PARTITION BY i ORDER BY j) AS step, lead(j) OVER (PARTITION BY i ORDER BY j) AS next_j FROM ({PS})")(lambda s, d: ps(s, d).select("i", "j", (F.col("v") - F.lag("v").over(Window.partitionBy("i").orderBy("j"))).alias("step"), F.lead("j").over(Window.partitionBy("i").orderBy("j")).alias("next_j")))
 
 
@@ -165,7 +170,7 @@ def _offsets(s, d, size: int = 256):
 
 add("op_window_range", f"SELECT i, j, sum(v) OVER (PARTITION BY i ORDER BY j RANGE BETWEEN 3 PRECEDING AND CURRENT ROW) AS near FROM ({PS})")(lambda s, d: ps(s, d).select("i", "j", F.sum("v").over(Window.partitionBy("i").orderBy("j").rangeBetween(-3, 0)).alias("near")))
 add("op_window_softmax", f"SELECT i, j, round(exp(v / 50 - m) / sum(exp(v / 50 - m)) OVER (PARTITION BY i), 9) AS p FROM (SELECT i, j, v, max(v / 50) OVER (PARTITION BY i) AS m FROM ({PS}))")(lambda s, d: ps(s, d).withColumn("m", F.max(F.col("v") / 50).over(Window.partitionBy("i"))).withColumn("e", F.exp(F.col("v") / 50 - F.col("m"))).select("i", "j", F.round(F.col("e") / F.sum("e").over(Window.partitionBy("i")), 9).alias("p")))
-add("op_topk_per_row", f"SELECT i, j, v FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS r FROM ({PS})) WHERE r <= 3")(lambda s, d: ps(s, d).withColumn("r", F.row_number().over(_by_row)).filter("r <= 3").select("i", "j", "v"))
+add("op_topk_per_row", f"SELECT i, j, v FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS r FROM ({PS})) WHERE r <= 3")(lambda s, d: ps(s, d).withColumn("r", F.row_number().over(_by_row())).filter("r <= 3").select("i", "j", "v"))
 add("op_sort_limit", f"SELECT i, j, v FROM ({PS}) ORDER BY v DESC, i, j LIMIT 25")(lambda s, d: ps(s, d).orderBy(F.desc("v"), "i", "j").limit(25))
 for _name, _sql, _f in (("union_all", "UNION ALL", "unionAll"), ("union", "UNION", "union"), ("intersect", "INTERSECT", "intersect"), ("except", "EXCEPT", "subtract"), ("except_all", "EXCEPT ALL", "exceptAll")):
     def _sets(s, d, f=_f, name=_name):

@@ -116,13 +116,17 @@ def write_placed(s: DataFrame, grid: Grid, path: str) -> None:
 def read_coordinate_text(spark: SparkSession, path: str) -> DataFrame:
     """The public 1-based coordinate text format: comments, a size line, then `row column [value]`.
 
-    The size line is the first that is no comment; it is recognised by its place in the file.
+    The size line is the first that is no comment in the file that holds the header; other
+    files of a folder go on with entries.
     """
-    lines = spark.read.option("wholetext", False).text(path).withColumn("at", F.monotonically_increasing_id()).filter(~F.col("value").startswith("%") & (F.trim("value") != ""))
-    first = lines.agg(F.min("at").alias("at"))
+    lines = spark.read.text(path).select("value", F.col("_metadata.file_path").alias("file"), F.struct(F.col("_metadata.file_block_start").alias("block"), F.monotonically_increasing_id().alias("at")).alias("place"))
+    comment = F.col("value").startswith("%")
+    body = lines.filter(~comment & (F.trim("value") != ""))
+    head = lines.filter(comment).agg(F.min("file").alias("file"))
+    size = body.join(F.broadcast(head), "file").agg(F.min("place").alias("place"))  # one row each
     parts = F.split(F.trim("value"), "\\s+")
-    body = lines.join(F.broadcast(first), "at", "left_anti")
-    return body.select((parts[0].cast("bigint") - 1).alias("i"), (parts[1].cast("bigint") - 1).alias("j"), F.coalesce(F.try_element_at(parts, F.lit(3)).cast("double"), F.lit(1.0)).alias("v"))
+    rest = body.join(F.broadcast(size), "place", "left_anti")
+    return rest.select((parts[0].cast("bigint") - 1).alias("i"), (parts[1].cast("bigint") - 1).alias("j"), F.coalesce(F.try_element_at(parts, F.lit(3)).cast("double"), F.lit(1.0)).alias("v"))
 
 
 def write_coordinate_text(s: DataFrame, path: str, m: int, n: int) -> None:
