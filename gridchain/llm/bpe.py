@@ -14,33 +14,24 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
+from gridchain.llm.charclasses import outside, probe
 from gridchain.llm.shared import text_slices
 
-#: Fixed value: how byte-level tokenizers of this kind cut text before merging.
-PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Words that one worker remembers before it starts anew.
 MEMORY = 300_000
 
 
-def _ranges(pattern: str, top: int = 0x3000) -> str:
-    """The characters below `top` that match a property, as ranges of a character class."""
-    inside = [c for c in range(top) if regex.match(pattern, chr(c))]
-    starts = [c for c in inside if not regex.match(pattern, chr(c - 1))] if inside else []
-    ends = [c for c in inside if c + 1 == top or not regex.match(pattern, chr(c + 1))]
-    return "".join(f"\\u{a:04x}-\\u{b:04x}" for a, b in zip(starts, ends))
-
-
-def fast_cutter():
-    """PIECES for texts below U+3000, where plain character classes are twice as fast."""
-    letters, numbers, spaces = _ranges(r"\p{L}"), _ranges(r"\p{N}"), _ranges(r"\s")
+def fast_cutter(pieces):
+    """The same cut for texts below U+3000, with plain character classes."""
+    letters, numbers, spaces = probe(pieces)
     return re.compile(f" ?[{letters}]+|'(?:[stmd]|re|ve|ll)| ?[{numbers}]+| ?[^{spaces}{letters}{numbers}]+|[{spaces}]+(?![^{spaces}])|[{spaces}]+").findall
 
 
-_beyond = re.compile("[^\x00-\u2fff]").search
+_beyond = outside([])
 
 
 def _byte_letters() -> dict[str, int]:
@@ -75,8 +66,9 @@ class TrieBpe:
         # a token that its own bytes don't merge to never ends an encoding
         self.whole = {b: i for b, i in self.ids.items() if len(b) == 1 or i in made}
         self._fits: dict[tuple[int, int], bool] = {}
-        self.cut_any, self.cut_fast = regex.compile(PIECES).findall, fast_cutter()
-        self.at_special = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
+        self.pre_tokenize = Tokenizer.from_file(path).pre_tokenizer.pre_tokenize_str
+        self.cut_fast = fast_cutter(lambda text: [span for _, span in self.pre_tokenize(text)])
+        self.at_special = re.compile("|".join(map(re.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
         self.known: dict[str, tuple[str, int, bytes, tuple[int, ...]]] = {}
 
     @staticmethod
@@ -137,7 +129,7 @@ class TrieBpe:
                 self.known[name] = str(token), 1, name.encode(), (token,)
 
     def cut(self, text: str) -> list[str]:
-        return self.cut_any(text) if _beyond(text) else self.cut_fast(text)
+        return [text[a:b] for _, (a, b) in self.pre_tokenize(text)] if _beyond(text) else self.cut_fast(text)
 
     def words(self, text: str) -> list[str]:
         if self.at_special is None or not self.at_special.search(text):

@@ -8,16 +8,17 @@ no join puts them together again.
 
 from __future__ import annotations
 
+import re
 import unicodedata
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from gridchain.llm.charclasses import TOP, outside, probe
 from gridchain.llm.shared import binary_array, stage, text_slices
 
 CAPACITY = 4096
@@ -26,12 +27,14 @@ NEARLY_FULL = 0.985
 #: Partitions that one task of the next round takes.
 FAN_IN = 8
 MEMORY = 400_000
-#: Fixed value: how the word tokenizer cuts lower-cased text.
-PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
-
 PIECE = np.dtype([("doc_id", "<i8"), ("known", "<i1"), ("piece", "<i4"), ("start", "<i8"), ("length", "<i4"), ("crc", "<u4")])
 
 
+def _normal(text: str) -> str:
+    """What the tokenizer's normaliser does, but for white space, which no token holds."""
+    return text.lower() if text.isascii() else unicodedata.normalize("NFC", text).replace("Σ", "σ").lower()
+
+
 class WordIds:
     """Token ids of texts as little-endian bytes; each distinct word is encoded once by the library."""
 
@@ -41,33 +44,44 @@ class WordIds:
         self.tokenizer = Tokenizer.from_file(path)
         added = {t.content: i for i, t in self.tokenizer.get_added_tokens_decoder().items()}
         self.special = {name: np.array([i], "<u4").tobytes() for name, i in added.items()}
-        self.at_special = regex.compile("|".join(map(regex.escape, added))) if added else None
+        self.at_special = re.compile("|".join(map(re.escape, added))) if added else None
+        letters, numbers, spaces = probe(lambda text: [span for _, span in self.tokenizer.pre_tokenizer.pre_tokenize_str(text)])
+        self.pieces = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[{numbers}]|[^{spaces}{letters}{numbers}]+").findall
+        same = self.tokenizer.normalizer.normalize_str
+        gap = re.compile(f"[{spaces}]+")
+        # among marks of the highest and the lowest class, a mark shows whether its own class is known
+        tries = (lambda c: c, lambda c: f"a\u0345{c}\u0334")
+        self.beyond = outside([c for c in range(TOP) if any(gap.sub(" ", _normal(t(chr(c)))) != same(t(chr(c))) for t in tries)])
+        self.risen = outside([])
         self.known: dict[str, bytes] = {}
 
-    def words(self, text: str) -> list[str]:
-        if not text.isascii():
-            text = unicodedata.normalize("NFC", text).replace("Σ", "σ")  # no final form when lower-cased
-        return PIECES.findall(text.lower())
-
-    def cut(self, text: str) -> list[str]:
+    def cut(self, text: str) -> list[str] | None:
+        """Words of a text; None if only the library can tell."""
+        if self.beyond(text):
+            return None
         if self.at_special is None or "<|" not in text:
-            return self.words(text)
+            plain = _normal(text)
+            return None if self.risen(plain) else self.pieces(plain)
+        if self.risen(_normal(text)):
+            return None
         out, start = [], 0
         for m in self.at_special.finditer(text):
-            out += [*self.words(text[start : m.start()]), m[0]]
+            out += [*self.pieces(_normal(text[start : m.start()])), m[0]]
             start = m.end()
-        return out + self.words(text[start:])
+        return out + self.pieces(_normal(text[start:]))
+
+    def _library(self, texts: list[str]) -> list[bytes]:
+        return [np.array(found.ids, "<u4").tobytes() for found in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         cut = [self.cut(t) for t in texts]
         if len(self.known) > MEMORY:
             self.known.clear()
         self.known.update(self.special)
-        new = [w for w in set().union(*cut) if w not in self.known]
-        for word, found in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False)):
-            self.known[word] = np.array(found.ids, "<u4").tobytes()
+        new = [w for w in set().union(*[words for words in cut if words]) if w not in self.known]
+        self.known.update(zip(new, self._library(new)))
         known = self.known
-        return [b"".join([known[w] for w in words]) for words in cut]
+        return [self._library([t])[0] if words is None else b"".join([known[w] for w in words]) for t, words in zip(texts, cut)]
 
 
 _loaded: dict[str, WordIds] = {}

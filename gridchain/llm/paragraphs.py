@@ -217,10 +217,10 @@ def paragraph_report(docs: DataFrame, **options) -> DataFrame:
 def drop_repeats(docs: DataFrame, **options) -> DataFrame:
     """docs with repeated paragraphs cut out of text, and n_chars (if there) set to what is left; all columns stay."""
     repeats = stage(paragraph_classes(docs, **options), "repeats")
-    lists = repeats.groupBy(F.col("doc_id").alias("cut_id")).agg(F.collect_set("line").alias("cut_lines"))
-    joined = docs.join(lists, F.col("doc_id") == F.col("cut_id"), "left")
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("cut_lines", i)), "\n")
-    out = joined.withColumn("text", F.when(F.col("cut_id").isNotNull(), kept).otherwise(F.col("text")))
+    lists = repeats.groupBy(F.col("doc_id").alias("__cut_id")).agg(F.collect_set("line").alias("__cut_lines"))
+    joined = docs.join(lists, F.col("doc_id") == F.col("__cut_id"), "left")
+    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__cut_lines", i)), "\n")
+    out = joined.withColumn("text", F.when(F.col("__cut_id").isNotNull(), kept).otherwise(F.col("text")))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("cut_id").isNotNull(), F.length("text").cast("long")).otherwise(F.col("n_chars")))
+        out = out.withColumn("n_chars", F.when(F.col("__cut_id").isNotNull(), F.length("text").cast("long")).otherwise(F.col("n_chars")))
     return out.select(*[F.col(f"`{c}`") for c in docs.columns])
