@@ -82,7 +82,8 @@ def inflate(source) -> Iterator[bytes]:
             out = engine.decompress(block, CHUNK)
             while out:
                 yield out
-                out = engine.decompress(engine.unconsumed_tail, CHUNK) if engine.unconsumed_tail else b""
+                # output can be pending when all input is taken
+                out = b"" if engine.eof else engine.decompress(engine.unconsumed_tail, CHUNK)
             block = engine.unused_data
             if engine.eof:
                 engine = zlib.decompressobj(31)
