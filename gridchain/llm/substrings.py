@@ -24,7 +24,7 @@ from gridchain.llm.words import _powers
 SPAN = 100
 GRAM = 32
 #: Values of one bucket, bytes of text in one document bucket, and suffixes of one shard, about.
-BUCKET_VALUES, BUCKET_BYTES, SHARD = 1 << 20, 8 << 20, 1 << 18
+BUCKET_VALUES, BUCKET_BYTES, SHARD = 1 << 17, 8 << 20, 1 << 19
 NEVER = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -86,11 +86,11 @@ def sorted_shard(text: np.ndarray, depth: int) -> np.ndarray:
         key = (key << np.uint64(8)) | np.roll(text, -k).astype(np.uint64)
     have, rank = 8, None
     while True:
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         k = key[order]
         rank = np.empty(n, np.int64)
         rank[order] = np.cumsum(np.concatenate([[0], k[1:] != k[:-1]]))
-        if have >= depth:
+        if have >= depth or rank[order[-1]] == n - 1:
             return order
         step = min(have, depth - have)
         key = rank.astype(np.uint64) * np.uint64(n) + np.roll(rank, -step).astype(np.uint64)
@@ -116,8 +116,10 @@ def merge_shards(pairs: list[np.ndarray], depth: int) -> tuple[np.ndarray, np.nd
         source, moved, drawn = source[order], block[order], symbols[order]
         edge = np.ones(total, bool)
         edge[1:] = (drawn[1:] != drawn[:-1]) | (moved[1:] != moved[:-1])
-        common[edge & (common == depth // 2)] = step
         block = np.cumsum(edge, dtype=np.int32)
+        common[np.flatnonzero(edge & (common == depth // 2))] = step
+        if block[-1] == total:  # every context is told apart
+            break
     return source, block, common
 
 
@@ -143,13 +145,15 @@ def earlier_windows(blob: np.ndarray, lengths: np.ndarray, docs: np.ndarray, pla
         order = sorted_shard(text, span)
         before = np.roll(text, 2).astype(np.uint16) << np.uint16(8) | np.roll(text, 1)
         pairs.append(before[order])
-        owners.append(owner[order])
-        offsets.append(offset[order])
+        owners.append(owner[order].astype(np.int32))
+        offsets.append(offset[order].astype(np.int32))
     source, block, _ = merge_shards(pairs, span)
-    owner, offset = np.empty(len(source), np.int64), np.empty(len(source), np.int64)
+    size = np.bincount(block, minlength=int(block[-1]) + 1 if len(block) else 1)
+    owner, offset = np.empty(len(source), np.int32), np.empty(len(source), np.int32)
     for s in range(len(pairs)):
         owner[source == s], offset[source == s] = owners[s], offsets[s]
-    valid = offset + span <= lengths[owner]
+    del pairs, owners, offsets
+    valid = (size[block] > 1) & (offset + span <= lengths[owner])
     owner, offset, block = owner[valid], offset[valid], block[valid]
     doc, place = docs[owner], places[owner] + offset
     order = np.lexsort((place, doc, block))
