@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from gridchain.functions.vectors import axpy, dot, scale, vec_add, vec_sub
 from gridchain.operators.kernels import chain_long, gather_left, masked_product
 from gridchain.operators.matrix import from_long, pattern, transpose
+from gridchain.sources.scratch import scratch_dir
 
 #: Relative residual below which a row stops.
 SMALL = 1e-10
@@ -18,13 +19,7 @@ SMALL = 1e-10
 def _kept(df: DataFrame) -> DataFrame:
     """Cut the lineage of an iteration with a table in the shared folder (checkpoint folder of the session)."""
     spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        import tempfile
-
-        folder = f"file://{tempfile.mkdtemp(prefix='gridchain-')}"
-        spark.conf.set("spark.checkpoint.dir", folder)
-    path = f"{folder.rstrip('/')}/gridchain/state-{uuid.uuid4().hex}"
+    path = f"{scratch_dir(spark)}/gridchain/state-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

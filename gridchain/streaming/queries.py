@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from gridchain.functions.vectors import dot, scale
 from gridchain.operators.kernels import summed
+from gridchain.sources.scratch import scratch_dir
 from gridchain.sources.tables import lattice_value
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -28,13 +29,7 @@ def add(name: str, sql: str | None = None):
 
 
 def _folder(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        import tempfile
-
-        base = f"file://{tempfile.mkdtemp(prefix='gridchain-')}"
-        spark.conf.set("spark.checkpoint.dir", base)
-    return f"{base.rstrip('/')}/gridchain/stream-{uuid.uuid4().hex}"
+    return f"{scratch_dir(spark)}/gridchain/stream-{uuid.uuid4().hex}"
 
 
 def source(spark: SparkSession, path: str, files: int | None = None) -> DataFrame:
