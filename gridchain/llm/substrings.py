@@ -18,13 +18,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import Packer, blob_rows, bucket_count, group_cuts, mix64, release, stage, text_bytes, text_slices, unpack
+from gridchain.llm.shared import Packer, blob_rows, bucket_count, forget, group_cuts, mix64, release, stage, text_bytes, text_slices, unpack
 from gridchain.llm.words import _powers
 
 SPAN = 100
 GRAM = 32
-#: Values of one bucket, bytes of text in one document bucket, and suffixes of one shard, about.
-BUCKET_VALUES, BUCKET_BYTES, SHARD = 1 << 17, 8 << 20, 1 << 19
+#: Values of one bucket, bytes of text in one document bucket, suffixes of one merge and of one shard, about.
+BUCKET_VALUES, BUCKET_BYTES, MERGED, SHARD = 1 << 17, 8 << 20, 1 << 19, 1 << 17
 NEVER = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -259,10 +259,23 @@ def _runs(buckets: int, span: int):
     return run
 
 
+def key_batches(keys: np.ndarray, sizes: np.ndarray, limit: int) -> list[tuple[int, int]]:
+    """Ranges of sorted keys that hold about `limit` in all; equal keys stay together."""
+    cuts = group_cuts(keys)
+    total = np.concatenate([[0], np.cumsum(sizes)])[cuts]
+    out, start = [], 0
+    for end in range(1, len(cuts)):
+        if total[end] - total[start] >= limit or end == len(cuts) - 1:
+            out.append((int(cuts[start]), int(cuts[end])))
+            start = end
+    return out
+
+
 def _covered(buckets: int, span: int):
     """Ranges of bytes that a bucket finds repeated: docs, starts, ends, dealt by document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         held = list(batches)
         keys, contents, docs, places, lengths, fresh = unpack(held, RUN_NAMES, RUN_KINDS)
         (blob,) = unpack(held, ["bytes"], [np.uint8])
@@ -288,9 +301,11 @@ def _covered(buckets: int, span: int):
         chosen = head[open_keys]
         by_key = np.argsort(keys[chosen], kind="stable")
         chosen, text_at = chosen[by_key], text_at[open_keys][by_key]
-        if len(chosen):
-            size = lengths[chosen]
-            owner, offset = earlier_windows(_gather(blob, text_at, size), size, docs[chosen], places[chosen], span)
+        # values are independent of each other, so they are merged in batches of a bounded size
+        for a, b in key_batches(keys[chosen], lengths[chosen], MERGED):
+            part = chosen[a:b]
+            size = lengths[part]
+            owner, offset = earlier_windows(_gather(blob, text_at[a:b], size), size, docs[part], places[part], span)
             order = np.lexsort((offset, owner))
             owner, offset = owner[order], offset[order]
             new = np.ones(len(owner), bool)
@@ -298,7 +313,7 @@ def _covered(buckets: int, span: int):
             first = np.flatnonzero(new)
             last = np.append(first[1:], len(owner)) - 1
             if len(first):
-                at = chosen[owner[first]]
+                at = part[owner[first]]
                 out_docs.append(docs[at])
                 out_starts.append(places[at] + offset[first])
                 out_ends.append(places[at] + offset[last] + span)
