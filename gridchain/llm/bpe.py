@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from gridchain.llm.charclasses import outside, probe
-from gridchain.llm.shared import text_slices
+from gridchain.llm.shared import CACHES, text_slices
 
 #: Words that one worker remembers before it starts anew.
 MEMORY = 300_000
@@ -153,6 +153,7 @@ class TrieBpe:
 
 
 _loaded: dict[str, TrieBpe] = {}
+CACHES.append(lambda: [x.known.clear() for x in _loaded.values()])
 
 
 def load(path: str) -> TrieBpe:

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.charclasses import TOP, outside, probe
-from gridchain.llm.shared import binary_array, stage, text_slices
+from gridchain.llm.shared import CACHES, binary_array, stage, text_slices
 
 CAPACITY = 4096
 #: Share of the capacity from which a bin is final.
@@ -85,6 +85,7 @@ class WordIds:
 
 
 _loaded: dict[str, WordIds] = {}
+CACHES.append(lambda: [x.known.clear() for x in _loaded.values()])
 
 
 def load(path: str) -> WordIds:

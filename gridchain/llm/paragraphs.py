@@ -15,14 +15,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.linkage import bucket_links
-from gridchain.llm.shared import Packer, binary_array, bucket_count, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
+from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
 from gridchain.llm.words import Words, distinct_sets, group_shingles
 
 #: Shortest paragraph that is compared, in words.
 LEAST_WORDS = 20
 #: Hash functions, and the recall at the threshold that bands are tuned for.
 HASHES, RECALL = 100, 0.999
-BUCKET_KEYS = 1 << 21
+BUCKET_KEYS = 1 << 20
 
 
 def tune_bands(threshold: float, hashes: int = HASHES, recall: float = RECALL) -> tuple[int, int]:
@@ -84,6 +84,7 @@ def signatures(tokens: np.ndarray, cuts: np.ndarray, hashes: int, seed: int = 1)
 
 def _banded(least: int, bands: int, rows: int, buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         packer, seen = Packer(["keys", "nodes"], [np.uint64, np.int64]), set()
         for batch in batches:
             for part in text_slices(batch, "text"):
@@ -93,7 +94,7 @@ def _banded(least: int, bands: int, rows: int, buckets: int):
                     if node not in seen:  # copies within a task are hashed once
                         seen.add(node)
                         fresh[i] = True
-                if len(seen) > 1 << 19:
+                if len(seen) > 1 << 17:
                     seen.clear()
                 sizes = np.diff(p.cuts)
                 tokens = p.tokens[np.repeat(fresh, sizes)]

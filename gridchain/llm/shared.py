@@ -17,7 +17,17 @@ from pyspark.sql import DataFrame, SparkSession
 from gridchain.sources.scratch import scratch_dir
 
 #: Bytes of text that one NumPy step handles at a time; a longer text is a step of its own.
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 19
+
+
+#: Functions that empty what this Python worker remembers between tasks.
+CACHES: list = []
+
+
+def forget() -> None:
+    """Empty all caches, before work that needs the memory."""
+    for clear in CACHES:
+        clear()
 
 
 def scratch_path(spark: SparkSession, tag: str) -> str:
@@ -99,7 +109,7 @@ def group_cuts(sorted_keys: np.ndarray) -> np.ndarray:
 class Packer:
     """Collects columns of equal length with a bucket each; flushes one row for each bucket."""
 
-    def __init__(self, names: list[str], dtypes: list, limit: int = 1 << 21):
+    def __init__(self, names: list[str], dtypes: list, limit: int = 1 << 19):
         self.names, self.dtypes, self.limit = names, dtypes, limit
         self.parts: list[list[np.ndarray]] = [[] for _ in names]
         self.buckets: list[np.ndarray] = []

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.learning import BoostedTrees, IsotonicSteps, crc_of_id, labelled_sample
-from gridchain.llm.shared import binary_array, mix64, stage, text_slices
+from gridchain.llm.shared import binary_array, forget, mix64, stage, text_slices
 from gridchain.llm.words import LOWER, Words, distinct_sets
 
 #: Insults that need no training.
@@ -246,6 +246,7 @@ def toxicity_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3,
 
 def _accepted(model: ToxicityModel, threshold: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         for batch in batches:
             for part in text_slices(batch, "text"):
                 yield part.filter(pa.array(model.score(part.column("text")) < threshold))
