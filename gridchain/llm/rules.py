@@ -24,7 +24,9 @@ BROADCAST_ROWS = 50_000
 SALTS = 64
 #: Smallest group with thresholds of its own; smaller ones use those of all documents.
 LEAST_GROUP = 50
-#: A rate is out of range beyond max(FLOOR, q3 + SPREAD * (q3 - q1)).
+#: A rate is out of range beyond q3 + SPREAD * max(q3 - q1, WIDTH); WIDTH keeps a group of equal values from rejecting the next one.
+WIDTH = {"symbol_rate": 0.005, "dup_line_rate": 0.02, "repeat_rate": 0.02, "long_word_rate": 0.002}
+#: Limits where no document at all passes the base rules.
 SPREAD, FLOOR = 6.0, {"symbol_rate": 0.10, "dup_line_rate": 0.50, "repeat_rate": 0.35, "long_word_rate": 0.30}
 
 
@@ -82,7 +84,7 @@ def rule_thresholds(rows: DataFrame, accuracy: int = 200) -> DataFrame:
     """
     rates = rows.filter("not base_failed").withColumns({"lang": F.coalesce("lang", F.lit("")), "source": F.coalesce("source", F.lit(""))})
     sketches = [F.percentile_approx(r, [0.25, 0.5, 0.75], accuracy).alias(r) for r in RATES]
-    limits = [F.greatest(F.lit(FLOOR[r]), F.col(r)[2] + SPREAD * (F.col(r)[2] - F.col(r)[0])).alias(f"{r}_limit") for r in RATES]
+    limits = [(F.col(r)[2] + SPREAD * F.greatest(F.lit(WIDTH[r]), F.col(r)[2] - F.col(r)[0])).alias(f"{r}_limit") for r in RATES]
     return rates.cube("lang", "source").agg(F.count(F.lit(1)).alias("rows"), F.grouping_id().alias("level"), *sketches).filter("level in (0, 3)").select("lang", "source", "rows", "level", *limits)
 
 

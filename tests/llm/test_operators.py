@@ -170,6 +170,15 @@ def test_rules_counts(docs, empty):
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan.split("InMemoryTableScan")[0]
 
 
+def test_rules_limits_follow_the_group(spark):
+    """A rate that is normal in one group and far out in another is judged by its own group."""
+    plain = lambda g, k: " ".join(f"{g}{k}w{j}" for j in range(100))
+    rows = [(k, plain("a", k), "en", "clean") for k in range(60)] + [(100 + k, plain("b", k) + " #" * (k % 9), "en", "signs") for k in range(60)]
+    rows += [(200, plain("c", 0) + " #" * 8, "en", "clean"), (201, plain("c", 1) + " #" * 8, "en", "signs"), (202, plain("c", 2) + " #", "en", "clean")]
+    kept = {r.doc_id: r.kept for r in rules.quality_rules(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    assert [i for i, k in kept.items() if not k] == [200]
+
+
 def test_packing(docs, empty):
     from tokenizers import Tokenizer
 
