@@ -1,13 +1,13 @@
 """Quality rules whose thresholds follow the corpus: quantile sketches for each language and source.
 
 Everything is DataFrame expressions. Word windows are compared by 64-bit hashes; a text's
-repeated windows are found by sorting its own hashes, packed with their positions, so no
+repeated windows are found by sorting its own hashes beside their positions, so no
 row is exploded and no text is shuffled.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.shared import stage
@@ -30,6 +30,18 @@ WIDTH = {"symbol_rate": 0.005, "dup_line_rate": 0.02, "repeat_rate": 0.02, "long
 SPREAD, FLOOR = 6.0, {"symbol_rate": 0.10, "dup_line_rate": 0.50, "repeat_rate": 0.35, "long_word_rate": 0.30}
 
 
+def with_repeated_places(rows: DataFrame) -> DataFrame:
+    """windows, an array of hashes, becomes at: ascending places (from 0) of the values that it holds more than once.
+
+    The whole hash is compared: (hash, place) pairs are sorted and neighbours of equal hash picked.
+    """
+    rows = rows.withColumn("pairs", F.sort_array(F.transform("windows", lambda h, i: F.struct(h.alias("hash"), i.cast("long").alias("place"))))).drop("windows")
+    n = F.size("pairs")
+    shared = F.zip_with(F.slice("pairs", 1, F.greatest(n - 1, F.lit(1))), F.slice("pairs", 2, F.greatest(n - 1, F.lit(1))), lambda a, b: F.when(a["hash"] == b["hash"], F.array(a["place"], b["place"])))
+    twice = F.when(n >= 2, F.array_sort(F.array_distinct(F.flatten(F.filter(shared, lambda x: x.isNotNull())))))
+    return rows.withColumn("at", twice).drop("pairs")
+
+
 def with_rule_counts(docs: DataFrame) -> DataFrame:
     """doc_id, lang, source and the counts n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words.
 
@@ -52,14 +64,7 @@ def with_rule_counts(docs: DataFrame) -> DataFrame:
     rows = rows.withColumn("hashed", hashed).drop("words", "lines", "text")
     windows = F.when(F.col("n_words") >= 3, F.zip_with(F.zip_with(F.slice("hashed", 1, F.greatest(F.size("hashed") - 2, F.lit(1))), F.slice("hashed", 2, F.greatest(F.size("hashed") - 2, F.lit(1))), lambda a, b: F.xxhash64(a, b)), F.slice("hashed", 3, F.greatest(F.size("hashed") - 2, F.lit(1))), lambda a, b: F.xxhash64(a, b)))
     rows = rows.withColumn("windows", windows).drop("hashed")
-    rows = rows.withColumn("scale", F.pow(F.lit(2), F.ceil(F.log2(F.col("n_words") + 2))).cast("long"))
-    # high bits of the hash, then the position
-    packed = F.sort_array(F.transform("windows", lambda h, i: (h - F.pmod(h, F.col("scale"))) + i))
-    rows = rows.withColumn("packed", packed)
-    n = F.size("packed")
-    shared = F.zip_with(F.slice("packed", 1, F.greatest(n - 1, F.lit(1))), F.slice("packed", 2, F.greatest(n - 1, F.lit(1))), lambda a, b: F.when((a - F.pmod(a, F.col("scale"))) == (b - F.pmod(b, F.col("scale"))), F.array(F.pmod(a, F.col("scale")), F.pmod(b, F.col("scale")))))
-    twice = F.when(n >= 2, F.array_sort(F.array_distinct(F.flatten(F.filter(shared, lambda x: x.isNotNull())))))
-    rows = rows.withColumn("at", twice).drop("packed", "windows", "scale")
+    rows = with_repeated_places(rows)
     # words under windows that start at `at`: each adds 3, less what the one before covers
     covered = F.when(F.size("at") > 0, F.aggregate(F.zip_with(F.slice("at", 1, F.greatest(F.size("at") - 1, F.lit(1))), F.slice("at", 2, F.greatest(F.size("at") - 1, F.lit(1))), lambda a, b: F.when(b.isNull() | a.isNull(), F.lit(0).cast("long")).otherwise(F.least(b - a, F.lit(3).cast("long")))), F.lit(3).cast("long"), lambda total, x: total + x)).otherwise(F.lit(0).cast("long"))
     return rows.withColumn("n_repeat_words", covered).drop("at")

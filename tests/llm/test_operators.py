@@ -179,6 +179,12 @@ def test_rules_limits_follow_the_group(spark):
     assert [i for i, k in kept.items() if not k] == [200]
 
 
+def test_repeated_windows_compare_whole_hashes(spark):
+    """Hashes that differ only in their lowest bits are different, however long the text."""
+    rows = spark.createDataFrame([(1, [8, 9, 10, 8, -8, 11]), (2, [5]), (3, list(range(64))), (4, None)], "id long, windows array<long>")
+    assert {r.id: r.at for r in rules.with_repeated_places(rows).collect()} == {1: [0, 3], 2: None, 3: [], 4: None}
+
+
 def test_packing(docs, empty):
     from tokenizers import Tokenizer
 
