@@ -1,6 +1,7 @@
 """Removal of repeated paragraphs: MinHash bands find candidates, exact Jaccard decides, components cluster.
 
-A paragraph is a line. Paragraphs with equal sets of word 5-grams are one node from the
+A paragraph is a line of LEAST_WORDS words or more, or successive shorter lines joined until
+they hold as many. Paragraphs with equal sets of word 5-grams are one node from the
 start, so a passage in any number of documents is hashed, compared and clustered once.
 """
 
@@ -18,7 +19,7 @@ from gridchain.llm.linkage import bucket_links
 from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
 from gridchain.llm.words import Words, distinct_sets, group_shingles
 
-#: Shortest paragraph that is compared, in words.
+#: Shortest paragraph that is compared, in words; shorter lines are joined.
 LEAST_WORDS = 20
 #: Hash functions, and the recall at the threshold that bands are tuned for.
 HASHES, RECALL = 100, 0.999
@@ -35,6 +36,35 @@ def tune_bands(threshold: float, hashes: int = HASHES, recall: float = RECALL) -
     return best
 
 
+def join_short(counts: np.ndarray, docs: np.ndarray, line: np.ndarray, least: int) -> np.ndarray:
+    """Whether each line with words starts a paragraph.
+
+    A paragraph of short lines ends once it holds `least` words. Its block's remaining lines,
+    if they hold fewer, go to it too; a block (up to an empty line) with fewer words in all
+    goes on in the next one.
+    """
+    starts = np.ones(len(counts), bool)
+    places = np.flatnonzero(counts < least)
+    at, previous, alone = -2, -1, True
+    held, block = 0, False  # words since the last start; whether its block holds a full paragraph before it
+    for i, n, doc, row in zip(places.tolist(), counts[places].tolist(), docs[places].tolist(), line[places].tolist()):
+        alone = i != at + 1 or doc != of
+        if alone or row > previous + 1:  # a run or a block ends
+            if at >= 0 and held < least and block:
+                starts[begin] = False
+                held = least
+            block = False
+        if not alone and held < least:
+            starts[i], held = False, held + n
+        else:
+            block = not alone and row == previous + 1
+            begin, held = i, n
+        at, of, previous = i, doc, row
+    if at >= 0 and held < least and block:
+        starts[begin] = False
+    return starts
+
+
 class Paragraphs:
     """Paragraphs of at least `least` words in a text column, with the 5-gram set of each."""
 
@@ -45,6 +75,7 @@ class Paragraphs:
         new = np.ones(len(line), bool)
         new[1:] = (line[1:] != line[:-1]) | (w.docs[1:] != w.docs[:-1])
         first = np.flatnonzero(new)
+        first = first[join_short(np.diff(np.append(first, len(line))), w.docs[first], line[first], least)]
         ends = np.append(first[1:], len(line)).astype(np.int64)
         counts = ends - first
         hashes, owners = group_shingles(w.hashes(), np.append(first, len(line)).astype(np.int64), size)
@@ -52,7 +83,7 @@ class Paragraphs:
         slot = np.cumsum(long) - 1
         keep = long[owners]
         self.tokens, self.cuts = distinct_sets(hashes[keep], slot[owners[keep]], int(long.sum()))
-        self.doc, self.line = w.docs[first[long]], line[first[long]]
+        self.doc, self.line, self.last = w.docs[first[long]], line[first[long]], line[ends[long] - 1]
         blob, step = self.tokens.tobytes(), 8
         self.node = np.array([int.from_bytes(hashlib.blake2b(blob[a * step : b * step], digest_size=8).digest(), "little", signed=True) for a, b in zip(self.cuts[:-1].tolist(), self.cuts[1:].tolist())], np.int64)
 
@@ -63,7 +94,7 @@ def _listed(least: int):
             for part in text_slices(batch, "text"):
                 p = Paragraphs(part.column("text"), least)
                 ids = part.column("doc_id").take(pa.array(p.doc))
-                yield pa.RecordBatch.from_arrays([ids, pa.array(p.line.astype(np.int32)), pa.array(p.node), pa.array(np.diff(p.cuts))], ["doc_id", "line", "node", "n"])
+                yield pa.RecordBatch.from_arrays([ids, pa.array(p.line.astype(np.int32)), pa.array(p.last.astype(np.int32)), pa.array(p.node), pa.array(np.diff(p.cuts))], ["doc_id", "line", "last", "node", "n"])
 
     return run
 
@@ -157,15 +188,15 @@ def _similar(percent: int):
 
 
 def paragraph_classes(docs: DataFrame, percent: int = 80, least: int = LEAST_WORDS, hashes: int = HASHES, recall: float = RECALL) -> DataFrame:
-    """doc_id, line, repeated_id, repeated_line of every paragraph that repeats an earlier one.
+    """doc_id, line, last, repeated_id, repeated_line of every paragraph that repeats an earlier one.
 
-    Earlier means a smaller (doc_id, line) in the same component of similar paragraphs; the
+    A paragraph has the lines from line to last. Earlier means a smaller (doc_id, line) in the same component of similar paragraphs; the
     first of a component is repeated_id, repeated_line. Paragraphs below `least` words and
     rows with a null doc_id or text take no part. Rows that repeat a doc_id are one document.
     """
     spark = docs.sparkSession
     docs = docs.filter("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    listed = stage(docs.mapInArrow(_listed(least), "doc_id long, line int, node long, n long"), "paragraphs")
+    listed = stage(docs.mapInArrow(_listed(least), "doc_id long, line int, last int, node long, n long"), "paragraphs")
     bands, rows = tune_bands(percent / 100, hashes, recall)
     buckets = bucket_count(spark, listed.count() * bands, BUCKET_KEYS)
     keys = docs.mapInArrow(_banded(least, bands, rows, buckets), "bucket int, keys binary, nodes binary").repartition(buckets, "bucket")
@@ -197,7 +228,7 @@ def _repeats(listed: DataFrame, found: DataFrame) -> DataFrame:
     firsts = classed.groupBy("component").agg(F.min("first").alias("head"), F.sum("copies").alias("size")).filter("size > 1")
     heads = stage(classed.join(firsts, "component").select("node", "head"), "heads")
     out = listed.join(heads, "node").filter((F.col("doc_id") != F.col("head.doc_id")) | (F.col("line") != F.col("head.line")))
-    return out.select("doc_id", "line", F.col("head.doc_id").alias("repeated_id"), F.col("head.line").alias("repeated_line"))
+    return out.select("doc_id", "line", "last", F.col("head.doc_id").alias("repeated_id"), F.col("head.line").alias("repeated_line"))
 
 
 def paragraph_report(docs: DataFrame, **options) -> DataFrame:
@@ -208,7 +239,7 @@ def paragraph_report(docs: DataFrame, **options) -> DataFrame:
     repeated paragraph have empty lists. Null doc_ids and texts keep their rows.
     """
     repeats = stage(paragraph_classes(docs, **options), "repeats")
-    lists = repeats.groupBy("doc_id").agg(F.array_sort(F.collect_set("line")).alias("removed_lines"), F.array_sort(F.collect_set("repeated_id")).alias("repeats"))
+    lists = repeats.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last"))))).alias("removed_lines"), F.array_sort(F.collect_set("repeated_id")).alias("repeats"))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.length("text") - F.length(F.translate("text", "\n", "")) + 1).cast("long").alias("n_lines"))
     joined = rows.join(lists, "doc_id", "left")
     empty = lambda c, kind: F.coalesce(F.col(c), F.array().cast(kind)).alias(c)
@@ -218,7 +249,7 @@ def paragraph_report(docs: DataFrame, **options) -> DataFrame:
 def drop_repeats(docs: DataFrame, **options) -> DataFrame:
     """docs with repeated paragraphs cut out of text, and n_chars (if there) set to what is left; all columns stay."""
     repeats = stage(paragraph_classes(docs, **options), "repeats")
-    lists = repeats.groupBy(F.col("doc_id").alias("__cut_id")).agg(F.collect_set("line").alias("__cut_lines"))
+    lists = repeats.groupBy(F.col("doc_id").alias("__cut_id")).agg(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last")))).alias("__cut_lines"))
     joined = docs.join(lists, F.col("doc_id") == F.col("__cut_id"), "left")
     kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__cut_lines", i)), "\n")
     out = joined.withColumn("text", F.when(F.col("__cut_id").isNotNull(), kept).otherwise(F.col("text")))

@@ -154,6 +154,23 @@ def test_paragraph_removal(docs, empty):
     assert paragraphs.tune_bands(0.8) == (20, 5)
 
 
+def test_short_lines_join_to_paragraphs(spark):
+    """A passage wrapped over short lines is caught; all words of a block belong to a paragraph."""
+    line = lambda k, n=12: " ".join(f"p{k}q{j}" for j in range(n))
+    passage = "\n".join(line(k) for k in range(5))
+    own = lambda k: " ".join(f"o{k}w{j}" for j in range(30))
+    rows = [(1, own(1) + "\n" + passage + "\n\n" + line(90, 30)), (2, own(2) + "\n\n" + passage + "\n" + own(3)), (3, passage), (4, own(4) + "\n" + line(91, 5) + "\n" + own(5))]
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r for r in paragraphs.paragraph_report(table).collect()}
+    assert {i: r.removed_lines for i, r in got.items()} == {1: [], 2: [2, 3, 4, 5, 6], 3: [0, 1, 2, 3, 4], 4: []}
+    assert [got[i].class_id for i in (1, 2, 3, 4)] == [1, 1, 1, 4]
+    assert {r.doc_id: r.text for r in paragraphs.drop_repeats(table).collect()}[2] == own(2) + "\n\n" + own(3)
+    join = lambda counts, line: paragraphs.join_short(np.array(counts), np.zeros(len(counts), int), np.array(line), 20).tolist()
+    assert join([12, 12, 12, 12, 12], [0, 1, 2, 3, 4]) == [True, False, True, False, False]
+    assert join([25, 12, 12, 7, 25], [0, 1, 2, 4, 5]) == [True, True, False, True, True]
+    assert join([7, 7, 7, 7], [0, 2, 4, 6]) == [True, False, False, True]
+
+
 def test_rules_counts(docs, empty):
     got = {r.doc_id: r for r in rules.quality_rules(docs).collect()}
     for i, t in ROWS:
