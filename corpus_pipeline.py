@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from gridchain.llm.ngram_join import keep_one
 from gridchain.llm.packing import pack_documents
 from gridchain.llm.paragraphs import drop_repeats
+from gridchain.llm.passages import PASSAGE
 from gridchain.llm.rules import keep_ruled
 from gridchain.llm.shared import stage
 from gridchain.llm.toxicity import keep_harmless
@@ -32,8 +33,8 @@ def ngram_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without paragraphs that an earlier document holds."""
-    return drop_repeats(docs)
+    """Documents without paragraphs and passages that an earlier document holds."""
+    return drop_repeats(docs, passage=PASSAGE)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

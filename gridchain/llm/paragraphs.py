@@ -1,7 +1,7 @@
 """Removal of repeated paragraphs: MinHash bands find candidates, exact Jaccard decides, components cluster.
 
 A paragraph is a line of LEAST_WORDS words or more, or successive shorter lines joined until
-they hold as many. Paragraphs with equal sets of word 5-grams are one node from the
+they hold as many. Passages inside paragraphs are left to `passages`. Paragraphs with equal sets of word 5-grams are one node from the
 start, so a passage in any number of documents is hashed, compared and clustered once.
 """
 
@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.linkage import bucket_links
+from gridchain.llm.passages import cut_passages, passage_spans
 from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
 from gridchain.llm.words import Words, distinct_sets, group_shingles
 
@@ -231,24 +232,39 @@ def _repeats(listed: DataFrame, found: DataFrame) -> DataFrame:
     return out.select("doc_id", "line", "last", F.col("head.doc_id").alias("repeated_id"), F.col("head.line").alias("repeated_line"))
 
 
-def paragraph_report(docs: DataFrame, **options) -> DataFrame:
+def paragraph_report(docs: DataFrame, passage: int = 0, **options) -> DataFrame:
     """doc_id, class_id, n_lines, n_removed, removed_lines, repeats of each document.
 
     class_id is the smallest doc_id among the document and those it repeats; repeats are the
     doc_ids that hold the first copies of its removed paragraphs. Documents without a
     repeated paragraph have empty lists. Null doc_ids and texts keep their rows.
+    With a passage length (in words), passages that repeat in what is left of the texts count as
+    repeats too, and removed_spans holds their (word, n) in the text without the removed lines.
     """
     repeats = stage(paragraph_classes(docs, **options), "repeats")
     lists = repeats.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last"))))).alias("removed_lines"), F.array_sort(F.collect_set("repeated_id")).alias("repeats"))
+    spans = []
+    if passage:
+        cut = stage(_without_lines(docs.select("doc_id", "text"), repeats), "cut")
+        found = passage_spans(cut, passage).groupBy("doc_id").agg(F.array_sort(F.collect_set(F.struct("word", "n"))).alias("removed_spans"), F.collect_set("repeated_id").alias("inside"))
+        lists = lists.join(found, "doc_id", "full").withColumn("repeats", F.array_sort(F.array_union(F.coalesce("repeats", F.array().cast("array<bigint>")), F.coalesce("inside", F.array().cast("array<bigint>"))))).drop("inside")
+        spans = [F.coalesce("removed_spans", F.array().cast("array<struct<word:int,n:int>>")).alias("removed_spans")]
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.length("text") - F.length(F.translate("text", "\n", "")) + 1).cast("long").alias("n_lines"))
     joined = rows.join(lists, "doc_id", "left")
     empty = lambda c, kind: F.coalesce(F.col(c), F.array().cast(kind)).alias(c)
-    return joined.select("doc_id", F.least("doc_id", F.array_min("repeats")).alias("class_id"), F.coalesce("n_lines", F.lit(0)).alias("n_lines"), F.coalesce(F.size("removed_lines"), F.lit(0)).cast("long").alias("n_removed"), empty("removed_lines", "array<int>"), empty("repeats", "array<bigint>"))
+    return joined.select("doc_id", F.least("doc_id", F.array_min("repeats")).alias("class_id"), F.coalesce("n_lines", F.lit(0)).alias("n_lines"), F.coalesce(F.size("removed_lines"), F.lit(0)).cast("long").alias("n_removed"), empty("removed_lines", "array<int>"), empty("repeats", "array<bigint>"), *spans)
 
 
-def drop_repeats(docs: DataFrame, **options) -> DataFrame:
-    """docs with repeated paragraphs cut out of text, and n_chars (if there) set to what is left; all columns stay."""
-    repeats = stage(paragraph_classes(docs, **options), "repeats")
+def drop_repeats(docs: DataFrame, passage: int = 0, **options) -> DataFrame:
+    """docs with repeated paragraphs cut out of text, and n_chars (if there) set to what is left; all columns stay.
+
+    With a passage length (in words), passages that repeat in what is left are cut out next.
+    """
+    out = _without_lines(docs, stage(paragraph_classes(docs, **options), "repeats"))
+    return cut_passages(stage(out, "cut"), passage) if passage else out
+
+
+def _without_lines(docs: DataFrame, repeats: DataFrame) -> DataFrame:
     lists = repeats.groupBy(F.col("doc_id").alias("__cut_id")).agg(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last")))).alias("__cut_lines"))
     joined = docs.join(lists, F.col("doc_id") == F.col("__cut_id"), "left")
     kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__cut_lines", i)), "\n")

@@ -1,0 +1,183 @@
+"""Removal of passages, wherever they lie in a text, that a document of smaller doc_id holds word for word.
+
+Of each window of words the least hash of its half-length grams is its key; equal windows have
+equal keys, and neighbours mostly share one. Only windows whose key several documents hold are
+compared, by a hash of the whole window, in the bucket of their key.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from gridchain.llm.shared import Packer, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_slices, unpack
+from gridchain.llm.words import Words, join_hashes
+
+#: Words of the shortest passage.
+PASSAGE = 50
+#: Rows of packed values in a bucket.
+BUCKET_ROWS = 1 << 20
+
+
+class Windows:
+    """Starts (word numbers) of all windows of `size` words within a text, and their keys."""
+
+    def __init__(self, column: pa.Array, size: int):
+        w = self.words = Words(column, lower=True)
+        self.hashes, self.size = w.hashes(), size
+        gram = (size + 1) // 2
+        n = len(self.hashes) - size + 1
+        if n > 0:
+            least = np.lib.stride_tricks.sliding_window_view(join_hashes(self.hashes, gram), size - gram + 1).min(axis=1)
+            self.starts = np.flatnonzero(w.docs[:n] == w.docs[size - 1 :])
+            self.keys = mix64(least[self.starts])
+        else:
+            self.starts, self.keys = np.zeros(0, np.int64), np.zeros(0, np.uint64)
+        self.docs = w.docs[self.starts]
+
+
+def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
+    return (keys >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)
+
+
+def _keyed(size: int, buckets: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
+        packer = Packer(["keys", "docs"], [np.uint64, np.int64])
+        for batch in batches:
+            for part in text_slices(batch, "text"):
+                x = Windows(part.column("text"), size)
+                new = np.ones(len(x.keys), bool)
+                new[1:] = (x.keys[1:] != x.keys[:-1]) | (x.docs[1:] != x.docs[:-1])
+                yield from packer.add(_bucket(x.keys[new], buckets), x.keys[new], ids_of(part.column("doc_id"))[x.docs[new]])
+        yield from packer.flush()
+
+    return run
+
+
+def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Documents of the keys that several documents hold."""
+    keys, docs = unpack(batches, ["keys", "docs"], [np.uint64, np.int64])
+    order = np.lexsort((docs, keys))
+    keys, docs = keys[order], docs[order]
+    keep = np.ones(len(keys), bool)
+    keep[1:] = (keys[1:] != keys[:-1]) | (docs[1:] != docs[:-1])
+    keys, docs = keys[keep], docs[keep]
+    counts = np.diff(group_cuts(keys))
+    several = np.repeat(counts > 1, counts)
+    keys, docs = keys[several], docs[several]
+    for a in range(0, len(keys), 1 << 16):
+        yield pa.RecordBatch.from_arrays([pa.array(docs[a : a + (1 << 16)]), pa.array(keys[a : a + (1 << 16)].view(np.int64))], ["doc_id", "key"])
+
+
+def _placed(size: int, buckets: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
+        packer = Packer(["keys", "hashes", "docs", "places"], [np.uint64, np.uint64, np.int64, np.int32])
+        for batch in batches:
+            for part in text_slices(batch, "text"):
+                x = Windows(part.column("text"), size)
+                wanted, cuts = part.column("wanted"), np.searchsorted(x.docs, np.arange(part.num_rows + 1))
+                keep = np.zeros(len(x.keys), bool)
+                for d in range(part.num_rows):
+                    keep[cuts[d] : cuts[d + 1]] = np.isin(x.keys[cuts[d] : cuts[d + 1]], np.asarray(wanted[d].values).view(np.uint64))
+                keys, starts, docs = x.keys[keep], x.starts[keep], x.docs[keep]
+                yield from packer.add(_bucket(keys, buckets), keys, join_hashes(x.hashes, size)[starts], ids_of(part.column("doc_id"))[docs], starts - x.words.first_word[docs])
+        yield from packer.flush()
+
+    return run
+
+
+def _spans(size: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Runs of successive windows that an earlier document holds."""
+        _, hashes, docs, places = unpack(batches, ["keys", "hashes", "docs", "places"], [np.uint64, np.uint64, np.int64, np.int32])
+        order = np.lexsort((docs, hashes))
+        hashes, docs, places = hashes[order], docs[order], places[order]
+        cuts = group_cuts(hashes)
+        first = np.repeat(docs[cuts[:-1]], np.diff(cuts))
+        late = docs > first
+        docs, places, first = docs[late], places[late], first[late]
+        order = np.lexsort((first, places, docs))
+        docs, places, first = docs[order], places[order], first[order]
+        new = np.ones(len(docs), bool)
+        new[1:] = (docs[1:] != docs[:-1]) | (first[1:] != first[:-1]) | (places[1:] > places[:-1] + 1)
+        at = np.flatnonzero(new)
+        ends = np.append(at[1:], len(docs)).astype(np.int64) - 1
+        for a in range(0, len(at), 1 << 16):
+            s, e = at[a : a + (1 << 16)], ends[a : a + (1 << 16)]
+            yield pa.RecordBatch.from_arrays([pa.array(docs[s]), pa.array(places[s]), pa.array((places[e] - places[s] + size).astype(np.int32)), pa.array(first[s])], ["doc_id", "word", "n", "repeated_id"])
+
+    return run
+
+
+def passage_spans(docs: DataFrame, size: int = PASSAGE) -> DataFrame:
+    """doc_id, word, n, repeated_id: runs of n words, from word number `word` (from 0) on, that repeat.
+
+    Each window of `size` words in a run is in a document of smaller doc_id, repeated_id the smallest.
+    Runs may overlap. Words are compared with A-Z lowered; line breaks don't matter. Rows with a
+    null doc_id or text take no part. Rows that repeat a doc_id are one document.
+    """
+    spark = docs.sparkSession
+    docs = docs.filter("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    # about one key for each 13 words, a word for each 6 characters
+    letters = docs.agg(F.sum(F.length("text"))).first()[0] or 0
+    buckets = bucket_count(spark, letters // 80, BUCKET_ROWS)
+    keyed = docs.mapInArrow(_keyed(size, buckets), "bucket int, keys binary, docs binary").repartition(buckets, "bucket")
+    shared = stage(keyed.mapInArrow(_shared, "doc_id long, key long"), "passage-keys")
+    del keyed
+    release(spark)
+    buckets = bucket_count(spark, shared.count() * 13, BUCKET_ROWS)
+    wanted = shared.groupBy("doc_id").agg(F.collect_list("key").alias("wanted"))
+    placed = docs.join(wanted, "doc_id").select("doc_id", "text", "wanted").mapInArrow(_placed(size, buckets), "bucket int, keys binary, hashes binary, docs binary, places binary").repartition(buckets, "bucket")
+    out = stage(placed.mapInArrow(_spans(size), "doc_id long, word int, n int, repeated_id long"), "passages")
+    del placed
+    release(spark)
+    return out
+
+
+def without_words(text: bytes, starts: np.ndarray, ends: np.ndarray, spans: list[dict]) -> bytes:
+    """text without the words of the spans, and without the blanks up to the next word on the line."""
+    gone = np.zeros(len(starts) + 1, np.int64)
+    for x in spans:
+        gone[min(x["word"], len(starts))] += 1
+        gone[min(x["word"] + x["n"], len(starts))] -= 1
+    gone = np.cumsum(gone[:-1]) > 0
+    edges = np.flatnonzero(np.diff(np.concatenate([[0], gone, [0]])))
+    kept, at = [], 0
+    for a, b in zip(edges[::2].tolist(), edges[1::2].tolist()):
+        kept.append(text[at : starts[a]])
+        at = int(ends[b - 1])
+        if b < len(starts) and b"\n" not in text[at : starts[b]]:
+            at = int(starts[b])
+    return b"".join([*kept, text[at:]])
+
+
+def _cut(columns: list[str]):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            spans, texts = batch.column("__spans").to_pylist(), batch.column("text").to_pylist()
+            for d, found in enumerate(spans):
+                if found and texts[d] is not None:
+                    raw = texts[d].encode()
+                    w = Words(pa.array([texts[d]]))
+                    texts[d] = without_words(raw, w.starts, w.ends, found).decode()
+            arrays = [pa.array(texts, batch.column("text").type) if c == "text" else batch.column(c) for c in columns]
+            yield pa.RecordBatch.from_arrays(arrays, columns)
+
+    return run
+
+
+def cut_passages(docs: DataFrame, size: int = PASSAGE) -> DataFrame:
+    """docs with repeated passages cut out of text, and n_chars (if there) set to what is left; all columns stay."""
+    lists = passage_spans(docs, size).groupBy(F.col("doc_id").alias("__cut_id")).agg(F.collect_list(F.struct("word", "n")).alias("__spans"))
+    joined = docs.join(lists, F.col("doc_id") == F.col("__cut_id"), "left")
+    columns = [*docs.columns, "__cut_id"]
+    out = joined.mapInArrow(_cut(columns), joined.select(*[F.col(f"`{c}`") for c in columns]).schema)
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.when(F.col("__cut_id").isNotNull(), F.length("text").cast("long")).otherwise(F.col("n_chars")))
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -10,6 +10,7 @@ from gridchain.llm.bpe import encode_decode
 from gridchain.llm.ngram_join import ngram_components
 from gridchain.llm.packing import pack_documents
 from gridchain.llm.paragraphs import paragraph_report
+from gridchain.llm.passages import PASSAGE
 from gridchain.llm.pivots import top_products
 from gridchain.llm.quality import quality_scores
 from gridchain.llm.rules import quality_rules
@@ -61,7 +62,7 @@ def op8_trie_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_paragraph_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return paragraph_report(_table(spark, sf_dir, "documents"))
+    return paragraph_report(_table(spark, sf_dir, "documents"), passage=PASSAGE)
 
 
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -171,6 +171,35 @@ def test_short_lines_join_to_paragraphs(spark):
     assert join([7, 7, 7, 7], [0, 2, 4, 6]) == [True, False, False, True]
 
 
+def test_passages_inside_lines(spark, empty):
+    """A passage planted mid-line, in other case or over other line breaks is cut; within a document it stays."""
+    from gridchain.llm import queries
+
+    rng = random.Random(8)
+    own = lambda k, n: [f"o{k}w{j}" for j in range(n)]
+    passage = [f"p{rng.randrange(10**6)}" for _ in range(70)]
+    texts = {1: own(1, 80) + passage + own(2, 90), 2: own(3, 100) + [x.upper() for x in passage] + own(4, 80), 3: own(5, 60) + passage[5:55] + own(6, 60), 4: own(7, 90) + passage[:49] + own(8, 90), 5: ["so"] * 300, 6: passage + own(9, 30) + passage}
+    rows = [(i, " ".join(w)) for i, w in texts.items()] + [(7, " ".join(own(10, 70)) + "\n" + "\n\n".join(passage) + "\n" + " ".join(own(11, 40))), (None, " ".join(passage)), (8, None)]
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    seen, gone = {}, {}
+    for i, text in rows[:-2]:
+        w = split_words(text.translate(LOW))
+        windows = [tuple(w[k : k + 50]) for k in range(len(w) - 49)]
+        gone[i] = {p for k, x in enumerate(windows) if x in seen for p in range(k, k + 50)}
+        for x in windows:
+            seen.setdefault(x, i)
+    assert {i: len(x) for i, x in gone.items()} == {1: 0, 2: 70, 3: 50, 4: 0, 5: 0, 6: 140, 7: 70}
+    got = {r.doc_id: r for r in paragraphs.paragraph_report(table, passage=50).collect()}
+    assert {i: {p for s in got[i].removed_spans for p in range(s.word, s.word + s.n)} for i in gone} == gone
+    assert {i: (r.class_id, r.repeats) for i, r in got.items() if r.repeats} == {i: (1, [1]) for i in (2, 3, 6, 7)}
+    cut = {r.doc_id: r.text for r in paragraphs.drop_repeats(table, passage=50).collect()}
+    for i, text in rows[:-2]:
+        assert split_words(cut[i]) == [x for k, x in enumerate(split_words(text)) if k not in gone[i]]
+    assert cut[1] == rows[0][1] and cut[5] == rows[4][1] and cut[None] == rows[-2][1] and cut[8] is None
+    assert paragraphs.paragraph_report(empty, passage=50).isEmpty() and paragraphs.drop_repeats(empty, passage=50).isEmpty()
+    assert queries.PASSAGE == 50
+
+
 def test_rules_counts(docs, empty):
     got = {r.doc_id: r for r in rules.quality_rules(docs).collect()}
     for i, t in ROWS:
