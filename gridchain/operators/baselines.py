@@ -23,6 +23,35 @@ def dense_then_mask(s: DataFrame, a: DataFrame, b: DataFrame, limit: int = DENSE
     return s.join(full, ["i", "j"]).select("i", "j", (F.col("v") * F.col("full")).alias("v"))
 
 
+def dense_in_blocks(s: DataFrame, a: DataFrame, b: DataFrame, size: int = 512) -> DataFrame:
+    """All m*n dots, then the mask, in blocks of about size by size dots: a task holds one block, whatever m and n."""
+    high, wide = (max(-(-d.count() // size), 1) for d in (a, b))
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    part = lambda c, n: F.pmod(F.col(c), F.lit(n)).cast("int")
+    nothing = F.lit(None)
+    left = a.select(part("id", high).alias("rows"), every(wide).alias("columns"), F.lit(0).alias("side"), F.col("id").alias("i"), nothing.cast("bigint").alias("j"), nothing.cast("double").alias("v"), F.col("x").cast("array<double>").alias("x"))
+    right = b.select(every(high).alias("rows"), part("id", wide).alias("columns"), F.lit(1).alias("side"), nothing.cast("bigint").alias("i"), F.col("id").alias("j"), nothing.cast("double").alias("v"), F.col("x").cast("array<double>").alias("x"))
+    mask = s.select(part("i", high).alias("rows"), part("j", wide).alias("columns"), F.lit(2).alias("side"), "i", "j", F.col("v").cast("double").alias("v"), nothing.cast("array<double>").alias("x"))
+
+    def product(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        a_rows, b_rows, cells = (table.filter(pa.array(np.asarray(table.column("side")) == k)) for k in range(3))
+        if not (a_rows.num_rows and b_rows.num_rows and cells.num_rows):
+            return pa.table({"i": pa.array([], pa.int64()), "j": pa.array([], pa.int64()), "v": pa.array([], pa.float64())})
+        x, y = (np.asarray(t.column("x").combine_chunks().flatten(), float).reshape(t.num_rows, -1) for t in (a_rows, b_rows))
+        full = x @ y.T
+        i, j = np.asarray(cells.column("i")), np.asarray(cells.column("j"))
+        ids, others = np.asarray(a_rows.column("i")), np.asarray(b_rows.column("j"))
+        up, along = np.argsort(ids), np.argsort(others)
+        p, q = (np.minimum(np.searchsorted(k, w, sorter=o), len(k) - 1) for k, w, o in ((ids, i, up), (others, j, along)))
+        p, q = up[p], along[q]
+        there = (ids[p] == i) & (others[q] == j)
+        v = np.asarray(cells.column("v")) * full[p, q]
+        return pa.table({"i": i[there], "j": j[there], "v": v[there]})
+
+    return left.unionByName(right).unionByName(mask).groupBy("rows", "columns").applyInArrow(product, "i bigint, j bigint, v double")
+
+
 def one_d_gather(s: DataFrame, b: DataFrame, p: int, m: int) -> DataFrame:
     """Block rows without replication: b is delivered to each of the p row blocks."""
     placed = s.withColumn("station", block("i", p, m))
