@@ -97,9 +97,12 @@ add("op_join_cross_small", "SELECT r_name, n_name FROM region, nation")(lambda s
 
 @add("op_join_range_blocks", "WITH b AS (SELECT unnest(range(8)) AS block), e AS (SELECT block, block * 250 AS low, block * 250 + 250 AS high FROM b) SELECT p_partkey, block FROM part JOIN e ON p_partkey >= low AND p_partkey < high")
 def _range(s, d):
-    blocks = s.range(8).select(F.col("id").alias("block"), (F.col("id") * 250).alias("low"), (F.col("id") * 250 + 250).alias("high"))
-    # eight intervals: small by construction
-    return tables.table(s, d, "part", ["p_partkey"]).join(F.broadcast(blocks), (F.col("p_partkey") >= F.col("low")) & (F.col("p_partkey") < F.col("high"))).select("p_partkey", "block")
+    """Blocks of 250 keys from the least to the greatest key; a wider band as equal key leaves each part few blocks to try."""
+    parts = tables.table(s, d, "part", ["p_partkey"])
+    low, high = parts.agg(F.floor(F.min("p_partkey") / 250), F.floor(F.max("p_partkey") / 250)).first()
+    blocks = s.range(low or 0, 0 if high is None else high + 1).select(F.col("id").alias("block"), (F.col("id") * 250).alias("low"), (F.col("id") * 250 + 250).alias("high"), F.floor(F.col("id") / 16).alias("band"))
+    inside = (F.floor(F.col("p_partkey") / 4000) == F.col("band")) & (F.col("p_partkey") >= F.col("low")) & (F.col("p_partkey") < F.col("high"))
+    return parts.join(blocks, inside).select("p_partkey", "block")
 
 
 @add("op_join_asof_events", "SELECT p.event_id, v.value AS last_view FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'view' GROUP BY ALL) v ON p.user_id = v.user_id AND p.ts >= v.ts")

@@ -18,3 +18,14 @@ def test_dense_then_mask_has_all_rows(spark):
     want = con.sql(__spark_entry__.oracle_sql()["masked_part_supplier"]).select("i, j, v").fetchall()
     got = __spark_entry__.queries()["dense_then_mask"](spark, f"{DATA}/sf0.01").select("i", "j", "v").collect()
     assert sorted(map(tuple, got)) == sorted(want) and max(r.i for r in got) >= 500
+
+
+def test_range_blocks_hold_every_part(spark):
+    con = duckdb.connect()
+    keys = [k for (k,) in con.sql(f"SELECT p_partkey FROM '{DATA}/sf0.1/part.parquet'").fetchall()]
+    got = __spark_entry__.queries()["op_join_range_blocks"](spark, f"{DATA}/sf0.1").collect()
+    assert sorted((r.p_partkey, r.block) for r in got) == sorted((k, k // 250) for k in keys) and max(keys) >= 2000
+    con.sql(f"CREATE VIEW part AS SELECT * FROM '{DATA}/sf0.01/part.parquet'")
+    want = con.sql(__spark_entry__.oracle_sql()["op_join_range_blocks"]).fetchall()
+    got = __spark_entry__.queries()["op_join_range_blocks"](spark, f"{DATA}/sf0.01").select("p_partkey", "block").collect()
+    assert sorted(map(tuple, got)) == sorted(want)
