@@ -34,7 +34,7 @@ def components(edges: DataFrame, limit: int = 60) -> DataFrame:
     """(node, component) of every node with an edge (a, b); component is its smallest node.
 
     Alternating large and small stars; each round is a staged table, so the driver sees
-    only a row count and a checksum.
+    only a row count and a checksum. Raises an error if `limit` rounds are too few.
     """
     held = stage(edges.filter("a <> b").select("a", "b").distinct(), "edges")
     known = None
@@ -46,6 +46,8 @@ def components(edges: DataFrame, limit: int = 60) -> DataFrame:
         if mark == known or mark[0] == 0:
             break
         known = mark
+    else:
+        raise RuntimeError(f"components did not converge in {limit} rounds")
     return held.select(F.col("a").alias("node"), F.col("b").alias("component")).union(held.select(F.col("b").alias("node"), F.col("b").alias("component"))).distinct()
 
 

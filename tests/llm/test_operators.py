@@ -135,6 +135,12 @@ def test_components_of_a_path(spark):
     assert {(r.node, r.component) for r in components(edges).collect()} == {(k, 0) for k in range(41)} | {(100, 100), (101, 100)}
 
 
+def test_components_refuse_an_unfinished_graph(spark):
+    edges = spark.createDataFrame([(k, k + 1) for k in range(40)], "a long, b long")
+    with pytest.raises(RuntimeError):
+        components(edges, limit=2)
+
+
 def test_paragraph_removal(docs, empty):
     rows = [((i, k), shingles(line)) for i, t in ROWS for k, line in enumerate((t or "").split("\n")) if len(split_words(line)) >= 20]
     sets = dict(rows)
