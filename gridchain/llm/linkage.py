@@ -11,8 +11,8 @@ from pyspark.sql import functions as F
 
 from gridchain.llm.shared import stage, text_bytes, unstage
 
-#: Sets in a block of the exact rest.
-BLOCK = 1024
+#: Sets in a block of a long bucket; members of a bucket that is compared pair by pair.
+BLOCK, SHORT = 1024, 32
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
@@ -99,33 +99,62 @@ def _block_links(percent: int):
     return run
 
 
-def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFrame], DataFrame], percent: int, block: int = BLOCK) -> DataFrame:
-    """Components of the graph of all similar pairs that share a bucket, as (node, component).
+def _short_pairs(rest: DataFrame, short: int) -> DataFrame:
+    """Pairs of members of short buckets, in different components, that meet often enough.
 
-    members: bucket_key, node, weight; sets: node, n (size of its set), tokens (the set's
-    values that other nodes hold too). Two rounds compare members only with one member of
-    their bucket, first the one of least weight; verify(pairs) keeps similar ones. What they
-    join needs no further comparison. The exact rest, members of buckets that still hold
-    several components, is compared in blocks of `block` sets: a group of candidates of any
-    size spreads over tasks of a bounded size, and only verified links leave a task.
+    A bucket gives at most short / 2 pairs for each member. Pairs are counted before any set
+    is moved: one that meets less often than both its members' depths ask for can't be similar.
+    """
+    few = rest.filter(F.col("members") <= short).select("bucket_key", "node", "component", "depth")
+    other = few.select("bucket_key", F.col("node").alias("b"), F.col("component").alias("b_component"), F.col("depth").alias("b_depth"))
+    met = few.withColumnRenamed("node", "a").join(other, "bucket_key").filter((F.col("a") < F.col("b")) & (F.col("component") != F.col("b_component")))
+    counted = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("met"), F.first(F.least("depth", "b_depth")).alias("needed"))
+    return counted.filter("met >= needed").select("a", "b")
+
+
+def _long_links(rest: DataFrame, sets: DataFrame, percent: int, short: int, block: int) -> DataFrame:
+    """Similar pairs of members of long buckets, each bucket by itself, in pairs of blocks of about `block` sets.
+
+    Of buckets with the same members one is compared. Only verified links leave a task.
+    """
+    many = rest.filter(F.col("members") > short)
+    alike = many.groupBy("bucket_key").agg(F.count(F.lit(1)).alias("size"), F.sum(F.xxhash64("node").cast("decimal(38,0)")).alias("sum"))
+    once = alike.groupBy("size", "sum").agg(F.min("bucket_key").alias("bucket_key")).select("bucket_key", F.ceil(F.col("size") / F.lit(block)).cast("int").alias("blocks"))
+    dealt = many.select("bucket_key", "node", "component").join(once, "bucket_key").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumns({"low": F.least("block", "other"), "high": F.greatest("block", "other")})
+    rows = dealt.select("bucket_key", "low", "high", "block", "node", "component").join(sets.select("node", "n", "tokens"), "node")
+    grouped = rows.groupBy("bucket_key", "low", "high")
+    return grouped.applyInArrow(_block_links(percent), "a long, b long").distinct()
+
+
+def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFrame], DataFrame], percent: int, block: int = BLOCK, short: int = SHORT) -> DataFrame:
+    """Components of the graph of all similar pairs that meet in enough buckets, as (node, component).
+
+    members: bucket_key, node, weight, depth; sets: node, n (size of its set), tokens (the
+    set's values that other nodes hold too). Two nodes are candidates if they share as many buckets as the
+    smaller depth asks for. Two rounds compare members only with one member of their
+    bucket, first the one of least weight; verify(pairs) keeps similar ones. What they
+    join needs no further comparison. The exact rest, members of buckets that still hold several
+    components, is compared pair by pair in buckets of at most `short` members, in blocks of sets in
+    longer ones. Work grows with a bucket's own members, never with what buckets reach through each other.
     """
     links, found = None, None
-    members = members.select("bucket_key", "node", "weight")
+    members = members.select("bucket_key", "node", "weight", "depth")
     for leader in ("plainest", "last_node"):
         mixed = _mixed(members, found)
         pairs = mixed.filter(F.col("node") != F.col(leader)).select(F.least("node", leader).alias("a"), F.greatest("node", leader).alias("b")).distinct()
         new = stage(verify(pairs), "links")
         links = new if links is None else links.union(new)
         found = stage(components(links), "components")
-    rest = stage(_mixed(members, found).select("bucket_key", "node", "component", "plainest"), "mixed")
-    if rest.isEmpty():
-        return found
-    groups = components(rest.select(F.col("node").alias("a"), F.col("plainest").alias("b"))).toDF("node", "candidates")
-    loose = stage(rest.select("node", "component").distinct().join(groups, "node"), "loose")
-    blocks = loose.groupBy("candidates").agg(F.ceil(F.count(F.lit(1)) / F.lit(block)).cast("int").alias("blocks"))
-    dealt = loose.join(blocks, "candidates").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    dealt = dealt.join(sets.select("node", "n", "tokens"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.withColumns({"low": F.least("block", "other"), "high": F.greatest("block", "other")})
-    new = dealt.select("candidates", "low", "high", "block", "node", "n", "component", "tokens").groupBy("candidates", "low", "high").applyInArrow(_block_links(percent), "a long, b long")
-    new = stage(new.distinct(), "links")
-    return found if new.isEmpty() else components(links.union(new))
+    for step in ("short", "long"):
+        mixed = stage(_mixed(members, found), "mixed")
+        sizes = mixed.groupBy("bucket_key").agg(F.count(F.lit(1)).alias("members"))
+        rest = mixed.join(sizes.filter(F.col("members") <= short if step == "short" else F.col("members") > short), "bucket_key")
+        if rest.isEmpty():
+            continue
+        new = stage(verify(_short_pairs(rest, short)) if step == "short" else _long_links(rest, sets, percent, short, block), "links")
+        if not new.isEmpty():
+            links = links.union(new)
+            found = stage(components(links), "components")
+    return found

@@ -1,8 +1,13 @@
-"""Removal of repeated paragraphs: MinHash bands find candidates, exact Jaccard decides, components cluster.
-
-A paragraph is a line of LEAST_WORDS words or more, or successive shorter lines joined until
-they hold as many. Passages inside paragraphs are left to `passages`. Paragraphs with equal sets of word 5-grams are one node from the
-start, so a passage in any number of documents is hashed, compared and clustered once.
+"""Removal of repeated paragraphs and passages: MinHash bands find candidates, exact Jaccard decides, components cluster.
+
+Units of two sizes are compared by the same bands. A paragraph is a line of LEAST_WORDS words
+or more, or successive shorter lines joined until they hold as many. A piece lies between
+two anchors: word boundaries that only the REACH words around them choose, sentence ends first.
+A passage is cut into the same pieces wherever it lies, in the middle of a line or over several,
+so its copies share pieces. What repeats is removed as ranges of words; ranges that touch
+are one, and one of fewer than LEAST_RUN words stays. Units with equal sets of word
+5-grams are one node from the start, so a passage in any number of documents is hashed,
+compared and clustered once.
 """
 
 from __future__ import annotations
@@ -16,24 +21,29 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.linkage import bucket_links
-from gridchain.llm.passages import cut_passages, passage_spans
 from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
 from gridchain.llm.words import Words, distinct_sets, group_shingles
 
 #: Shortest paragraph that is compared, in words; shorter lines are joined.
 LEAST_WORDS = 20
-#: Hash functions, and the recall at the threshold that bands are tuned for.
-HASHES, RECALL = 100, 0.999
+#: Words on each side of a boundary that decide whether it is an anchor; a piece has more words than that.
+REACH = 5
+#: Shortest range that is removed, in words. A passage of 51 words holds one in 93 of 100 places, of 60 words in 97.
+LEAST_RUN = 16
+#: Most hash functions, and the recall at the threshold that bands are tuned for.
+HASHES, RECALL = 16, 0.999
 BUCKET_KEYS = 1 << 20
+STOPS = np.frombuffer(b".!?", np.uint8)
 
 
 def tune_bands(threshold: float, hashes: int = HASHES, recall: float = RECALL) -> tuple[int, int]:
-    """(bands, rows): the longest bands whose chance to collide at the threshold reaches the recall."""
+    """(bands, rows): the longest bands whose chance to collide at the threshold reaches the recall, no more of them than that needs."""
     best = (hashes, 1)
     for rows in range(1, hashes + 1):
-        bands = hashes // rows
-        if 1 - (1 - threshold**rows) ** bands >= recall:
-            best = (bands, rows)
+        for bands in range(1, hashes // rows + 1):
+            if 1 - (1 - threshold**rows) ** bands >= recall:
+                best = (bands, rows)
+                break
     return best
 
 
@@ -66,36 +76,72 @@ def join_short(counts: np.ndarray, docs: np.ndarray, line: np.ndarray, least: in
     return starts
 
 
-class Paragraphs:
-    """Paragraphs of at least `least` words in a text column, with the 5-gram set of each."""
+def anchors(w: Words, reach: int = REACH) -> np.ndarray:
+    """Whether a piece starts at each word: its boundary's score is the least of those up to `reach` words away.
+
+    The score depends on the two words at the boundary; sentence ends go before others. Of
+    equal scores the first counts, so a word repeated on and on has no anchor. The first
+    word of a text always starts a piece.
+    """
+    n, hashes = len(w.starts), w.hashes()
+    if not n:
+        return np.zeros(0, bool)
+    score, inside = np.zeros(n, np.uint64), np.ones(n, np.uint64)
+    score[1:] = mix64(hashes[1:] ^ hashes[:-1] * np.uint64(0xA0761D6478BD642F))
+    inside[1:] = ~np.isin(w.raw[w.ends[:-1] - 1], STOPS)
+    score = score >> np.uint64(1) | inside << np.uint64(63)
+    place = np.arange(n) + (w.docs + 1) * reach  # no window of one text reaches another
+    padded = np.full(n + (w.rows + 2) * reach, np.uint64(0xFFFFFFFFFFFFFFFF))
+    padded[place] = score
+    around = np.lib.stride_tricks.sliding_window_view(padded, 2 * reach + 1).min(axis=1)[place - reach]
+    before = np.lib.stride_tricks.sliding_window_view(padded, reach).min(axis=1)[place - reach]
+    out = (around == score) & (before > score)
+    out[w.first_word[:-1][w.counts > 0]] = True
+    return out
+
+
+def _paragraph_starts(w: Words, least: int) -> np.ndarray:
+    """Word numbers at which paragraphs start."""
+    breaks = np.concatenate([[0], np.cumsum(w.raw == 10)])
+    line = breaks[w.starts] - breaks[w.cuts[:-1]][w.docs]
+    new = np.ones(len(line), bool)
+    new[1:] = (line[1:] != line[:-1]) | (w.docs[1:] != w.docs[:-1])
+    first = np.flatnonzero(new)
+    return first[join_short(np.diff(np.append(first, len(line))), w.docs[first], line[first], least)]
+
+
+class Units:
+    """Paragraphs and pieces of a text column, with the 5-gram set of each; `start` and `n` count words of the text."""
 
     def __init__(self, column: pa.Array, least: int, size: int = 5):
         w = Words(column, lower=True)
-        breaks = np.concatenate([[0], np.cumsum(w.raw == 10)])
-        line = breaks[w.starts] - breaks[w.cuts[:-1]][w.docs]
-        new = np.ones(len(line), bool)
-        new[1:] = (line[1:] != line[:-1]) | (w.docs[1:] != w.docs[:-1])
-        first = np.flatnonzero(new)
-        first = first[join_short(np.diff(np.append(first, len(line))), w.docs[first], line[first], least)]
-        ends = np.append(first[1:], len(line)).astype(np.int64)
-        counts = ends - first
-        hashes, owners = group_shingles(w.hashes(), np.append(first, len(line)).astype(np.int64), size)
-        long = counts >= least
-        slot = np.cumsum(long) - 1
-        keep = long[owners]
-        self.tokens, self.cuts = distinct_sets(hashes[keep], slot[owners[keep]], int(long.sum()))
-        self.doc, self.line, self.last = w.docs[first[long]], line[first[long]], line[ends[long] - 1]
+        total, parts, known = len(w.starts), [], np.zeros(0, np.int64)
+        for first, fewest in ((_paragraph_starts(w, least), least), (np.flatnonzero(anchors(w)), REACH + 1)):
+            ends = np.append(first[1:], total).astype(np.int64)
+            counts = ends - first
+            mark = first * (total + 1) + counts
+            chosen = (counts >= fewest) & ~np.isin(mark, known)  # a piece that is a whole paragraph counts once
+            known = mark[chosen]
+            hashes, owners = group_shingles(w.hashes(), np.append(first, total).astype(np.int64), size)
+            slot, keep = np.cumsum(chosen) - 1, chosen[owners]
+            parts.append((*distinct_sets(hashes[keep], slot[owners[keep]], int(chosen.sum())), first[chosen], counts[chosen]))
+        self.tokens = np.concatenate([p[0] for p in parts])
+        self.cuts = np.concatenate([parts[0][1], parts[1][1][1:] + len(parts[0][0])])
+        first, self.n = (np.concatenate([p[k] for p in parts]) for k in (2, 3))
+        self.doc = w.docs[first]
+        self.start = first - w.first_word[self.doc]
         blob, step = self.tokens.tobytes(), 8
         self.node = np.array([int.from_bytes(hashlib.blake2b(blob[a * step : b * step], digest_size=8).digest(), "little", signed=True) for a, b in zip(self.cuts[:-1].tolist(), self.cuts[1:].tolist())], np.int64)
 
 
 def _listed(least: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         for batch in batches:
             for part in text_slices(batch, "text"):
-                p = Paragraphs(part.column("text"), least)
-                ids = part.column("doc_id").take(pa.array(p.doc))
-                yield pa.RecordBatch.from_arrays([ids, pa.array(p.line.astype(np.int32)), pa.array(p.last.astype(np.int32)), pa.array(p.node), pa.array(np.diff(p.cuts))], ["doc_id", "line", "last", "node", "n"])
+                u = Units(part.column("text"), least)
+                at = pa.array(u.doc)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id").take(at), part.column("copy").take(at), pa.array(u.start.astype(np.int32)), pa.array(u.n.astype(np.int32)), pa.array(u.node)], ["doc_id", "copy", "word", "n", "node"])
 
     return run
 
@@ -120,18 +166,18 @@ def _banded(least: int, bands: int, rows: int, buckets: int):
         packer, seen = Packer(["keys", "nodes"], [np.uint64, np.int64]), set()
         for batch in batches:
             for part in text_slices(batch, "text"):
-                p = Paragraphs(part.column("text"), least)
-                fresh = np.zeros(len(p.node), bool)
-                for i, node in enumerate(p.node.tolist()):
+                u = Units(part.column("text"), least)
+                fresh = np.zeros(len(u.node), bool)
+                for i, node in enumerate(u.node.tolist()):
                     if node not in seen:  # copies within a task are hashed once
                         seen.add(node)
                         fresh[i] = True
-                if len(seen) > 1 << 17:
+                if len(seen) > 1 << 18:
                     seen.clear()
-                sizes = np.diff(p.cuts)
-                tokens = p.tokens[np.repeat(fresh, sizes)]
+                sizes = np.diff(u.cuts)
+                tokens = u.tokens[np.repeat(fresh, sizes)]
                 cuts = np.concatenate([[0], np.cumsum(sizes[fresh])])
-                nodes = p.node[fresh]
+                nodes = u.node[fresh]
                 if not len(nodes):
                     continue
                 mins = signatures(tokens, cuts, bands * rows)
@@ -162,12 +208,13 @@ def _colliding(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _chosen_sets(least: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         for batch in batches:
             for part in text_slices(batch, "text"):
-                p = Paragraphs(part.column("text"), least)
-                place = {(d, n): i for i, (d, n) in enumerate(zip(p.doc.tolist(), p.node.tolist()))}
+                u = Units(part.column("text"), least)
+                place = {(d, n): i for i, (d, n) in enumerate(zip(u.doc.tolist(), u.node.tolist()))}
                 rows = [place[d, n] for d, wanted in enumerate(part.column("wanted").to_pylist()) for n in wanted if (d, n) in place]
-                yield pa.RecordBatch.from_arrays([pa.array(p.node[rows]), pa.array(np.diff(p.cuts)[rows]), binary_array([p.tokens[p.cuts[i] : p.cuts[i + 1]].tobytes() for i in rows])], ["node", "n", "tokens"])
+                yield pa.RecordBatch.from_arrays([pa.array(u.node[rows]), pa.array(np.diff(u.cuts)[rows]), binary_array([u.tokens[u.cuts[i] : u.cuts[i + 1]].tobytes() for i in rows])], ["node", "n", "tokens"])
 
     return run
 
@@ -188,16 +235,23 @@ def _similar(percent: int):
     return run
 
 
-def paragraph_classes(docs: DataFrame, percent: int = 80, least: int = LEAST_WORDS, hashes: int = HASHES, recall: float = RECALL) -> DataFrame:
-    """doc_id, line, last, repeated_id, repeated_line of every paragraph that repeats an earlier one.
+def _known(docs: DataFrame) -> DataFrame:
+    """Rows that take part; copy tells rows that repeat a doc_id with another text."""
+    known = docs.filter("doc_id is not null and text is not null")
+    return known.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("copy"), "text")
+
+
+def repeated_units(docs: DataFrame, percent: int = 80, least: int = LEAST_WORDS, hashes: int = HASHES, recall: float = RECALL) -> DataFrame:
+    """doc_id, copy, word, n, repeated_id, repeated_word of every paragraph and piece that repeats an earlier one.
 
-    A paragraph has the lines from line to last. Earlier means a smaller (doc_id, line) in the same component of similar paragraphs; the
-    first of a component is repeated_id, repeated_line. Paragraphs below `least` words and
-    rows with a null doc_id or text take no part. Rows that repeat a doc_id are one document.
+    A unit has the n words from number `word` (from 0) on. Earlier means a smaller
+    (doc_id, copy, word) in the same component of similar units; the first of a component is
+    at repeated_id, repeated_word. A unit that overlaps that first one does not repeat it. Rows with a null doc_id or text take no part. Rows
+    that repeat a doc_id and a text are one document; if their texts differ, copy, a hash of
+    the text, tells them apart and orders them.
     """
-    spark = docs.sparkSession
-    docs = docs.filter("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    listed = stage(docs.mapInArrow(_listed(least), "doc_id long, line int, last int, node long, n long"), "paragraphs")
+    spark, docs = docs.sparkSession, _known(docs)
+    listed = stage(docs.mapInArrow(_listed(least), "doc_id long, copy long, word int, n int, node long"), "units")
     bands, rows = tune_bands(percent / 100, hashes, recall)
     buckets = bucket_count(spark, listed.count() * bands, BUCKET_KEYS)
     keys = docs.mapInArrow(_banded(least, bands, rows, buckets), "bucket int, keys binary, nodes binary").repartition(buckets, "bucket")
@@ -206,10 +260,10 @@ def paragraph_classes(docs: DataFrame, percent: int = 80, least: int = LEAST_WOR
     release(spark)
     # a node's text comes from its first document; the node in most buckets is compared first
     central = members.groupBy("node").agg((-F.count(F.lit(1))).alias("weight"))
-    homes = listed.select("node", "doc_id").join(central.select("node"), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    wanted = homes.groupBy("doc_id").agg(F.collect_list("node").alias("wanted"))
-    sets = docs.join(wanted, "doc_id").select("doc_id", "text", "wanted").mapInArrow(_chosen_sets(least), "node long, n long, tokens binary").dropDuplicates(["node"])
-    sets = stage(sets, "paragraph-sets", "lz4")
+    homes = listed.join(central.select("node"), "node", "left_semi").groupBy("node").agg(F.min(F.struct("doc_id", "copy")).alias("home"))
+    wanted = homes.groupBy("home").agg(F.collect_list("node").alias("wanted")).select("home.*", "wanted")
+    sets = docs.join(wanted, ["doc_id", "copy"]).select("text", "wanted").mapInArrow(_chosen_sets(least), "node long, n long, tokens binary").dropDuplicates(["node"])
+    sets = stage(sets, "unit-sets", "lz4")
     release(spark)
     bounds = sets.select("node", "n")
     side = lambda s: sets.select(F.col("node").alias(s), F.col("n").alias(f"{s}_n"), F.col("tokens").alias(f"{s}_tokens"))
@@ -218,57 +272,121 @@ def paragraph_classes(docs: DataFrame, percent: int = 80, least: int = LEAST_WOR
         near = pairs.join(bounds.toDF("a", "x"), "a").join(bounds.toDF("b", "y"), "b").filter(F.least("x", "y") * 100 >= F.greatest("x", "y") * percent).select("a", "b")
         return near.join(side("a"), "a").join(side("b"), "b").mapInArrow(_similar(percent), "a long, b long")
 
-    found = bucket_links(members.join(central, "node"), sets, verify, percent)
-    return _repeats(listed, found)
+    found = bucket_links(members.join(central, "node").withColumn("depth", F.lit(1)), sets, verify, percent)
+    return stage(_repeats(listed, found), "repeats")
 
 
 def _repeats(listed: DataFrame, found: DataFrame) -> DataFrame:
-    """Paragraphs of each class but the first; a class's first is found before the rows are joined."""
-    nodes = listed.groupBy("node").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count(F.lit(1)).alias("copies"))
+    """Units of each class but the first; a class's first is found before the rows are joined."""
+    nodes = listed.groupBy("node").agg(F.min(F.struct("doc_id", "copy", "word", "n")).alias("first"), F.count(F.lit(1)).alias("copies"))
     classed = nodes.join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
     firsts = classed.groupBy("component").agg(F.min("first").alias("head"), F.sum("copies").alias("size")).filter("size > 1")
     heads = stage(classed.join(firsts, "component").select("node", "head"), "heads")
-    out = listed.join(heads, "node").filter((F.col("doc_id") != F.col("head.doc_id")) | (F.col("line") != F.col("head.line")))
-    return out.select("doc_id", "line", "last", F.col("head.doc_id").alias("repeated_id"), F.col("head.line").alias("repeated_line"))
+    late = (F.col("doc_id") != F.col("head.doc_id")) | (F.col("copy") != F.col("head.copy")) | (F.col("word") >= F.col("head.word") + F.col("head.n"))
+    return listed.join(heads, "node").filter(late).select("doc_id", "copy", "word", "n", F.col("head.doc_id").alias("repeated_id"), F.col("head.word").alias("repeated_word"))
 
 
-def paragraph_report(docs: DataFrame, passage: int = 0, **options) -> DataFrame:
-    """doc_id, class_id, n_lines, n_removed, removed_lines, repeats of each document.
+def run_bounds(words: np.ndarray, sizes: np.ndarray, least: int) -> tuple[list[int], list[int]]:
+    """Ranges of words (first, past the last) that the units cover, joined where they touch, of `least` words or more."""
+    if not len(words):
+        return [], []
+    order = np.argsort(words, kind="stable")
+    starts, ends = words[order], np.maximum.accumulate((words + sizes)[order])
+    new = np.ones(len(starts), bool)
+    new[1:] = starts[1:] > ends[:-1]
+    first = np.flatnonzero(new)
+    starts, ends = starts[first], ends[np.append(first[1:], len(new)) - 1]
+    long = ends - starts >= least
+    return starts[long].tolist(), ends[long].tolist()
 
-    class_id is the smallest doc_id among the document and those it repeats; repeats are the
-    doc_ids that hold the first copies of its removed paragraphs. Documents without a
-    repeated paragraph have empty lists. Null doc_ids and texts keep their rows.
-    With a passage length (in words), passages that repeat in what is left of the texts count as
-    repeats too, and removed_spans holds their (word, n) in the text without the removed lines.
+
+def byte_ranges(raw: bytes, starts: np.ndarray, ends: np.ndarray, low: list[int], high: list[int]) -> list[tuple[int, int]]:
+    """Byte ranges of ranges of words, with the blanks up to the next word, up to its line break at most.
+
+    starts and ends are the words' bytes. What lies between whole lines goes with them.
     """
-    repeats = stage(paragraph_classes(docs, **options), "repeats")
-    lists = repeats.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last"))))).alias("removed_lines"), F.array_sort(F.collect_set("repeated_id")).alias("repeats"))
-    spans = []
-    if passage:
-        cut = stage(_without_lines(docs.select("doc_id", "text"), repeats), "cut")
-        found = passage_spans(cut, passage).groupBy("doc_id").agg(F.array_sort(F.collect_set(F.struct("word", "n"))).alias("removed_spans"), F.collect_set("repeated_id").alias("inside"))
-        lists = lists.join(found, "doc_id", "full").withColumn("repeats", F.array_sort(F.array_union(F.coalesce("repeats", F.array().cast("array<bigint>")), F.coalesce("inside", F.array().cast("array<bigint>"))))).drop("inside")
-        spans = [F.coalesce("removed_spans", F.array().cast("array<struct<word:int,n:int>>")).alias("removed_spans")]
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.length("text") - F.length(F.translate("text", "\n", "")) + 1).cast("long").alias("n_lines"))
-    joined = rows.join(lists, "doc_id", "left")
-    empty = lambda c, kind: F.coalesce(F.col(c), F.array().cast(kind)).alias(c)
-    return joined.select("doc_id", F.least("doc_id", F.array_min("repeats")).alias("class_id"), F.coalesce("n_lines", F.lit(0)).alias("n_lines"), F.coalesce(F.size("removed_lines"), F.lit(0)).cast("long").alias("n_removed"), empty("removed_lines", "array<int>"), empty("repeats", "array<bigint>"), *spans)
-
-
-def drop_repeats(docs: DataFrame, passage: int = 0, **options) -> DataFrame:
-    """docs with repeated paragraphs cut out of text, and n_chars (if there) set to what is left; all columns stay.
-
-    With a passage length (in words), passages that repeat in what is left are cut out next.
+    out = []
+    for a, b in zip(low, high):
+        x, y = int(starts[a]), int(ends[b - 1])
+        gap = raw[y : int(starts[b]) if b < len(starts) else len(raw)]
+        stop = gap.find(b"\n")
+        begins_line = not raw[raw.rfind(b"\n", 0, x) + 1 : x].strip()
+        if stop < 0:
+            y += len(gap) if b < len(starts) else 0
+        elif begins_line:
+            y += stop + 1  # the lines are gone, and so is their last break
+        out.append((x, y))
+    return out
+
+
+CUT_COLUMNS = ["n_words", "n_bytes", "n_removed", "n_spans", "kept_sha256", "span_starts", "span_ends", "kept_text"]
+CUT_TYPES = "n_words long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, span_starts array<long>, span_ends array<long>, kept_text string"
+
+
+def _cut(least: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in text_slices(batch, "__text"):
+                column = part.column(part.schema.get_field_index("__text"))
+                w, units = Words(column), part.column(part.schema.get_field_index("__units"))
+                data, cuts = w.raw.tobytes(), w.cuts.tolist()
+                rows = []
+                for d in range(part.num_rows):
+                    raw = data[cuts[d] : cuts[d + 1]]
+                    a, b = w.first_word[d], w.first_word[d + 1]
+                    spans = []
+                    if units[d].is_valid:
+                        found = np.asarray(units[d].values)
+                        spans = byte_ranges(raw, w.starts[a:b] - cuts[d], w.ends[a:b] - cuts[d], *run_bounds(found >> 32, found & 0xFFFFFFFF, least))
+                    kept, at = [], 0
+                    for x, y in spans:
+                        kept.append(raw[at:x])
+                        at = y
+                    kept = b"".join([*kept, raw[at:]]) if spans else raw
+                    rows.append((int(b - a), len(raw), len(raw) - len(kept), len(spans), hashlib.sha256(kept).hexdigest(), [x for x, _ in spans], [y for _, y in spans], kept.decode() if column[d].is_valid else None))
+                kinds = [pa.int64()] * 4 + [pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.string()]
+                made = [pa.array(c, k) for c, k in zip(zip(*rows), kinds)]
+                others = [c for c in part.schema.names if c not in ("__text", "__units")]
+                yield pa.RecordBatch.from_arrays([*[part.column(part.schema.get_field_index(c)) for c in others], *made], [*others, *[f"__{c}" for c in CUT_COLUMNS]])
+
+    return run
+
+
+def without_repeats(docs: DataFrame, least_run: int = LEAST_RUN, **options) -> DataFrame:
+    """docs, each column kept, with __n_words, __n_bytes, __n_removed, __n_spans, __kept_sha256, __span_starts, __span_ends, __kept_text.
+
+    Spans are the maximal removed ranges, in bytes of the UTF-8 text; a kept text is the
+    rest of it. A null text has no bytes, and a null kept text; rows with a null doc_id stay whole.
     """
-    out = _without_lines(docs, stage(paragraph_classes(docs, **options), "repeats"))
-    return cut_passages(stage(out, "cut"), passage) if passage else out
+    units = repeated_units(docs.select("doc_id", "text"), **options)
+    place = F.shiftleft(F.col("word").cast("long"), 32) + F.col("n")
+    lists = units.groupBy(F.col("doc_id").alias("__cut_id"), F.col("copy").alias("__cut_copy")).agg(F.collect_set(place).alias("__units"))
+    columns = [F.col(f"`{c}`").alias(f"__own_{k}") for k, c in enumerate(docs.columns)]
+    rows = docs.select(*columns, F.col("doc_id").cast("long").alias("__doc"), F.xxhash64("text").alias("__copy"), F.col("text").alias("__text"))
+    met = rows.join(lists, (F.col("__doc") == F.col("__cut_id")) & (F.col("__copy") == F.col("__cut_copy")), "left")
+    names = [f"__own_{k}" for k, c in enumerate(docs.columns) if c != "text"]
+    met = met.select(*names, "__text", "__units")
+    schema = ", ".join([*[f"{c} {met.schema[c].dataType.simpleString()}" for c in names], *[f"__{x}" for x in CUT_TYPES.split(", ")]])
+    out = met.mapInArrow(_cut(least_run), schema)
+    return out.select(*[F.col("__kept_text" if c == "text" else f"__own_{k}").alias(c) for k, c in enumerate(docs.columns)], *[f"__{c}" for c in CUT_COLUMNS])
+
+
+def paragraph_report(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, n_words, n_bytes, n_removed, n_spans, kept_sha256, span_starts, span_ends of each row of docs.
+
+    n_removed counts bytes of UTF-8; spans are the maximal removed ranges. Texts without
+    a repeated unit, empty and null ones, and rows with a null doc_id have no spans.
+    """
+    out = without_repeats(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), **options)
+    return out.select("doc_id", *[F.col(f"__{c}").alias(c) for c in CUT_COLUMNS if c != "kept_text"])
+
 
+def drop_repeats(docs: DataFrame, **options) -> DataFrame:
+    """docs with what an earlier document holds cut out of text, and n_chars (if there) set to what is left.
 
-def _without_lines(docs: DataFrame, repeats: DataFrame) -> DataFrame:
-    lists = repeats.groupBy(F.col("doc_id").alias("__cut_id")).agg(F.array_distinct(F.flatten(F.collect_list(F.sequence("line", "last")))).alias("__cut_lines"))
-    joined = docs.join(lists, F.col("doc_id") == F.col("__cut_id"), "left")
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__cut_lines", i)), "\n")
-    out = joined.withColumn("text", F.when(F.col("__cut_id").isNotNull(), kept).otherwise(F.col("text")))
+    All columns and rows stay; a text without a repeat is as before.
+    """
+    out = without_repeats(docs, **options)
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("__cut_id").isNotNull(), F.length("text").cast("long")).otherwise(F.col("n_chars")))
+        out = out.withColumn("n_chars", F.when(F.col("__n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
     return out.select(*[F.col(f"`{c}`") for c in docs.columns])
