@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import stage, text_bytes, unstage
+from gridchain.llm.shared import release, stage, text_bytes, unstage
 
 #: Sets in a block of a long bucket; members of a bucket that is compared pair by pair.
 BLOCK, SHORT = 1024, 32
@@ -139,7 +139,7 @@ def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFram
     components, is compared pair by pair in buckets of at most `short` members, in blocks of sets in
     longer ones. Work grows with a bucket's own members, never with what buckets reach through each other.
     """
-    links, found = None, None
+    links, found, spark = None, None, members.sparkSession
     members = members.select("bucket_key", "node", "weight", "depth")
     for leader in ("plainest", "last_node"):
         mixed = _mixed(members, found)
@@ -147,14 +147,20 @@ def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFram
         new = stage(verify(pairs), "links")
         links = new if links is None else links.union(new)
         found = stage(components(links), "components")
+        del mixed, pairs, new
+        release(spark)
     for step in ("short", "long"):
         mixed = stage(_mixed(members, found), "mixed")
         sizes = mixed.groupBy("bucket_key").agg(F.count(F.lit(1)).alias("members"))
         rest = mixed.join(sizes.filter(F.col("members") <= short if step == "short" else F.col("members") > short), "bucket_key")
         if rest.isEmpty():
+            unstage(mixed)
             continue
         new = stage(verify(_short_pairs(rest, short)) if step == "short" else _long_links(rest, sets, percent, short, block), "links")
         if not new.isEmpty():
             links = links.union(new)
             found = stage(components(links), "components")
+        unstage(mixed)
+        del mixed, sizes, rest, new
+        release(spark)
     return found

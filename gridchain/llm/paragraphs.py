@@ -1,13 +1,12 @@
 """Removal of repeated paragraphs and passages: MinHash bands find candidates, exact Jaccard decides, components cluster.
 
-Units of two sizes are compared by the same bands. A paragraph is a line of LEAST_WORDS words
-or more, or successive shorter lines joined until they hold as many. A piece lies between
-two anchors: word boundaries that only the REACH words around them choose, sentence ends first.
-A passage is cut into the same pieces wherever it lies, in the middle of a line or over several,
-so its copies share pieces. What repeats is removed as ranges of words; ranges that touch
-are one, and one of fewer than LEAST_RUN words stays. Units with equal sets of word
-5-grams are one node from the start, so a passage in any number of documents is hashed,
-compared and clustered once.
+A paragraph is a line of LEAST_WORDS words or more, or successive shorter lines joined until
+they hold as many. One of more than LONGEST words is cut into pieces at anchors: word
+boundaries that only the REACH words around them choose, sentence ends first. So a passage
+is cut into the same pieces wherever in a line it lies, and its copies share pieces. What repeats
+is removed as ranges of words; ranges that touch are one, and one of fewer than
+LEAST_RUN words stays. Units with equal sets of word 5-grams are one node from the start,
+so a passage in any number of documents is hashed, compared and clustered once.
 """
 
 from __future__ import annotations
@@ -22,10 +21,12 @@ from pyspark.sql import functions as F
 
 from gridchain.llm.linkage import bucket_links
 from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
-from gridchain.llm.words import Words, distinct_sets, group_shingles
+from gridchain.llm.words import Words, distinct_sets, group_shingles, sliding
 
 #: Shortest paragraph that is compared, in words; shorter lines are joined.
 LEAST_WORDS = 20
+#: Longest paragraph that is one unit, in words.
+LONGEST = 50
 #: Words on each side of a boundary that decide whether it is an anchor; a piece has more words than that.
 REACH = 5
 #: Shortest range that is removed, in words. A passage of 51 words holds one in 93 of 100 places, of 60 words in 97.
@@ -33,7 +34,8 @@ LEAST_RUN = 16
 #: Most hash functions, and the recall at the threshold that bands are tuned for.
 HASHES, RECALL = 16, 0.999
 BUCKET_KEYS = 1 << 20
-STOPS = np.frombuffer(b".!?", np.uint8)
+STOP = np.zeros(256, bool)
+STOP[[ord(c) for c in ".!?"]] = True
 
 
 def tune_bands(threshold: float, hashes: int = HASHES, recall: float = RECALL) -> tuple[int, int]:
@@ -76,62 +78,61 @@ def join_short(counts: np.ndarray, docs: np.ndarray, line: np.ndarray, least: in
     return starts
 
 
-def anchors(w: Words, reach: int = REACH) -> np.ndarray:
-    """Whether a piece starts at each word: its boundary's score is the least of those up to `reach` words away.
+def anchors(w: Words, group: np.ndarray, reach: int = REACH) -> np.ndarray:
+    """Whether each word's boundary has the least score of those up to `reach` words away in its group of words.
 
     The score depends on the two words at the boundary; sentence ends go before others. Of
-    equal scores the first counts, so a word repeated on and on has no anchor. The first
-    word of a text always starts a piece.
+    equal scores the first counts, so a word repeated on and on has no anchor.
     """
     n, hashes = len(w.starts), w.hashes()
     if not n:
         return np.zeros(0, bool)
     score, inside = np.zeros(n, np.uint64), np.ones(n, np.uint64)
     score[1:] = mix64(hashes[1:] ^ hashes[:-1] * np.uint64(0xA0761D6478BD642F))
-    inside[1:] = ~np.isin(w.raw[w.ends[:-1] - 1], STOPS)
+    inside[1:] = ~STOP[w.raw[w.ends[:-1] - 1]]
     score = score >> np.uint64(1) | inside << np.uint64(63)
-    place = np.arange(n) + (w.docs + 1) * reach  # no window of one text reaches another
-    padded = np.full(n + (w.rows + 2) * reach, np.uint64(0xFFFFFFFFFFFFFFFF))
+    place = np.arange(n) + (group + 1) * reach  # no window of one group reaches another
+    padded = np.full(int(place[-1]) + reach + 1, np.uint64(0xFFFFFFFFFFFFFFFF))
     padded[place] = score
-    around = np.lib.stride_tricks.sliding_window_view(padded, 2 * reach + 1).min(axis=1)[place - reach]
-    before = np.lib.stride_tricks.sliding_window_view(padded, reach).min(axis=1)[place - reach]
-    out = (around == score) & (before > score)
-    out[w.first_word[:-1][w.counts > 0]] = True
-    return out
+    around = sliding(np.minimum, padded, 2 * reach + 1)[place - reach]
+    before = sliding(np.minimum, padded, reach)[place - reach]
+    return (around == score) & (before > score)
 
 
-def _paragraph_starts(w: Words, least: int) -> np.ndarray:
-    """Word numbers at which paragraphs start."""
+def unit_starts(w: Words, least: int, longest: int = LONGEST, reach: int = REACH) -> np.ndarray:
+    """Word numbers at which units start: paragraphs, and pieces of long ones."""
     breaks = np.concatenate([[0], np.cumsum(w.raw == 10)])
     line = breaks[w.starts] - breaks[w.cuts[:-1]][w.docs]
     new = np.ones(len(line), bool)
     new[1:] = (line[1:] != line[:-1]) | (w.docs[1:] != w.docs[:-1])
     first = np.flatnonzero(new)
-    return first[join_short(np.diff(np.append(first, len(line))), w.docs[first], line[first], least)]
+    first = first[join_short(np.diff(np.append(first, len(line))), w.docs[first], line[first], least)]
+    counts = np.diff(np.append(first, len(line)))
+    group = np.repeat(np.arange(len(first)), counts)
+    place = np.arange(len(line)) - first[group] if len(line) else group
+    # a piece at either end of a paragraph has more than `reach` words too
+    cut = anchors(w, group, reach) & (counts[group] > longest) & (place > reach) & (counts[group] - place > reach)
+    cut[first] = True
+    return np.flatnonzero(cut)
 
 
 class Units:
-    """Paragraphs and pieces of a text column, with the 5-gram set of each; `start` and `n` count words of the text."""
+    """Units of a text column, with the 5-gram set of each; `start` and `n` count words of the text."""
 
     def __init__(self, column: pa.Array, least: int, size: int = 5):
         w = Words(column, lower=True)
-        total, parts, known = len(w.starts), [], np.zeros(0, np.int64)
-        for first, fewest in ((_paragraph_starts(w, least), least), (np.flatnonzero(anchors(w)), REACH + 1)):
-            ends = np.append(first[1:], total).astype(np.int64)
-            counts = ends - first
-            mark = first * (total + 1) + counts
-            chosen = (counts >= fewest) & ~np.isin(mark, known)  # a piece that is a whole paragraph counts once
-            known = mark[chosen]
-            hashes, owners = group_shingles(w.hashes(), np.append(first, total).astype(np.int64), size)
-            slot, keep = np.cumsum(chosen) - 1, chosen[owners]
-            parts.append((*distinct_sets(hashes[keep], slot[owners[keep]], int(chosen.sum())), first[chosen], counts[chosen]))
-        self.tokens = np.concatenate([p[0] for p in parts])
-        self.cuts = np.concatenate([parts[0][1], parts[1][1][1:] + len(parts[0][0])])
-        first, self.n = (np.concatenate([p[k] for p in parts]) for k in (2, 3))
+        first = unit_starts(w, least)
+        bounds = np.append(first, len(w.starts)).astype(np.int64)
+        counts = np.diff(bounds)
+        chosen = counts > REACH
+        hashes, owners = group_shingles(w.hashes(), bounds, size)
+        slot, keep = np.cumsum(chosen) - 1, chosen[owners]
+        self.tokens, self.cuts = distinct_sets(hashes[keep], slot[owners[keep]], int(chosen.sum()))
+        first, self.n = first[chosen], counts[chosen]
         self.doc = w.docs[first]
         self.start = first - w.first_word[self.doc]
-        blob, step = self.tokens.tobytes(), 8
-        self.node = np.array([int.from_bytes(hashlib.blake2b(blob[a * step : b * step], digest_size=8).digest(), "little", signed=True) for a, b in zip(self.cuts[:-1].tolist(), self.cuts[1:].tolist())], np.int64)
+        sums = np.add.reduceat(mix64(self.tokens), self.cuts[:-1]) if len(first) else np.zeros(0, np.uint64)
+        self.node = mix64(sums ^ mix64(np.diff(self.cuts).astype(np.uint64))).view(np.int64)
 
 
 def _listed(least: int):
@@ -163,7 +164,7 @@ def signatures(tokens: np.ndarray, cuts: np.ndarray, hashes: int, seed: int = 1)
 def _banded(least: int, bands: int, rows: int, buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
-        packer, seen = Packer(["keys", "nodes"], [np.uint64, np.int64]), set()
+        packer, seen = Packer(["keys", "nodes"], [np.uint32, np.int64]), set()
         for batch in batches:
             for part in text_slices(batch, "text"):
                 u = Units(part.column("text"), least)
@@ -185,25 +186,31 @@ def _banded(least: int, bands: int, rows: int, buckets: int):
                     key = np.full(len(nodes), np.uint64(b + 1))
                     for k in range(b * rows, (b + 1) * rows):
                         key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + mins[:, k])
-                    yield from packer.add((key >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32), key, nodes)
+                    # the bucket stands for the upper half of a key; false collisions are verified away
+                    yield from packer.add((key >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32), key.astype(np.uint32), nodes)
         yield from packer.flush()
 
     return run
 
 
 def _colliding(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Nodes of the keys that more than one node has."""
-    keys, nodes = unpack(batches, ["keys", "nodes"], [np.uint64, np.int64])
-    order = np.lexsort((nodes, keys))
-    keys, nodes = keys[order], nodes[order]
-    keep = np.ones(len(keys), bool)
-    keep[1:] = (keys[1:] != keys[:-1]) | (nodes[1:] != nodes[:-1])
-    keys, nodes = keys[keep], nodes[keep]
-    counts = np.diff(group_cuts(keys))
-    several = np.repeat(counts > 1, counts)
-    keys, nodes = keys[several], nodes[several]
-    for a in range(0, len(keys), 1 << 16):
-        yield pa.RecordBatch.from_arrays([pa.array(keys[a : a + (1 << 16)].view(np.int64)), pa.array(nodes[a : a + (1 << 16)])], ["bucket_key", "node"])
+    """Nodes of the keys that more than one node has, bucket by bucket."""
+    held: dict[int, list[pa.RecordBatch]] = {}
+    for batch in batches:
+        for at, bucket in enumerate(batch.column("bucket").to_pylist()):
+            held.setdefault(bucket, []).append(batch.slice(at, 1))
+    for bucket in sorted(held):
+        keys, nodes = unpack(held.pop(bucket), ["keys", "nodes"], [np.uint32, np.int64])
+        order = np.lexsort((nodes, keys))
+        keys, nodes = keys[order], nodes[order]
+        keep = np.ones(len(keys), bool)
+        keep[1:] = (keys[1:] != keys[:-1]) | (nodes[1:] != nodes[:-1])
+        keys, nodes = keys[keep], nodes[keep]
+        counts = np.diff(group_cuts(keys))
+        several = np.repeat(counts > 1, counts)
+        keys, nodes = keys[several].astype(np.int64) | np.int64(bucket) << np.int64(32), nodes[several]
+        for a in range(0, len(keys), 1 << 16):
+            yield pa.RecordBatch.from_arrays([pa.array(keys[a : a + (1 << 16)]), pa.array(nodes[a : a + (1 << 16)])], ["bucket_key", "node"])
 
 
 def _chosen_sets(least: int):

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.shared import Packer, blob_rows, bucket_count, forget, group_cuts, mix64, release, stage, text_bytes, text_slices, unpack
-from gridchain.llm.words import _powers
+from gridchain.llm.words import _powers, sliding
 
 SPAN = 100
 GRAM = 32
@@ -39,15 +39,6 @@ def gram_hashes(raw: np.ndarray, size: int) -> np.ndarray:
     return mix64((total[size:] - total[:-size]) * down[:n])
 
 
-def _sliding(take, values: np.ndarray, width: int) -> np.ndarray:
-    """Least or largest of each `width` successive values, by doubling."""
-    n, have = len(values) - width + 1, 1
-    while have * 2 <= width:
-        values = take(values[:-have], values[have:])
-        have *= 2
-    return take(values[:n], values[width - have : width - have + n])
-
-
 def least_runs(raw: np.ndarray, cuts: np.ndarray, span: int = SPAN, gram: int = GRAM) -> tuple[np.ndarray, ...]:
     """Runs of windows of `span` bytes with one least gram hash: (hash, row, first, last, loops).
 
@@ -58,10 +49,10 @@ def least_runs(raw: np.ndarray, cuts: np.ndarray, span: int = SPAN, gram: int =
     if n <= 0:
         return tuple(np.zeros(0, t) for t in (np.uint64, np.int64, np.int64, np.int64, bool))
     grams, width = gram_hashes(raw, gram), span - gram + 1
-    least = _sliding(np.minimum, grams, width)
+    least = sliding(np.minimum, grams, width)
     # a gram is the least of a window when the largest minimum around it is its own
     padded = np.concatenate([np.zeros(width - 1, np.uint64), least, np.zeros(width - 1, np.uint64)])
-    spots = np.flatnonzero(_sliding(np.maximum, padded, width) == grams)
+    spots = np.flatnonzero(sliding(np.maximum, padded, width) == grams)
     row = np.repeat(np.arange(len(cuts) - 1), np.diff(cuts))[:n]
     valid = np.arange(n) + span <= cuts[row + 1]
     new = np.ones(n, bool)

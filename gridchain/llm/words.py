@@ -71,6 +71,15 @@ class Words:
 _STEPS = [np.uint64(x) for x in (0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3, 0x1D8E4E27C47D124F, 0xEB44ACCAB455D165, 0x9C6E6877736C46E3, 0x2D358DCCAA6C78A5)]
 
 
+def sliding(take, values: np.ndarray, width: int) -> np.ndarray:
+    """Least or largest (take) of each `width` successive values, by doubling."""
+    n, have = len(values) - width + 1, 1
+    while have * 2 <= width:
+        values = take(values[:-have], values[have:])
+        have *= 2
+    return take(values[:n], values[width - have : width - have + n])
+
+
 def join_hashes(hashes: np.ndarray, size: int) -> np.ndarray:
     """Hash of each run of `size` successive word hashes."""
     n = len(hashes) - size + 1

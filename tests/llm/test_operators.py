@@ -144,29 +144,29 @@ def test_components_refuse_an_unfinished_graph(spark):
         components(edges, limit=2)
 
 
-def plain_units(text, least=20, reach=5):
-    """(first word, words) of paragraphs and pieces, by loops over word strings."""
+def plain_units(text, least=20, longest=50, reach=5):
+    """(first word, words) of each unit, by loops over word strings."""
     w = Words(pa.array([text]), lower=True)
     words, hashes = split_words(text), w.hashes()
     if not words:
-        return set()
+        return []
     line = [text.encode()[:s].count(b"\n") for s in w.starts.tolist()]
     first = [k for k in range(len(words)) if k == 0 or line[k] != line[k - 1]]
     counts = [b - a for a, b in zip(first, [*first[1:], len(words)])]
     begins = paragraphs.join_short(np.array(counts), np.zeros(len(first), int), np.array([line[k] for k in first]), least)
     starts = [k for k, b in zip(first, begins) if b]
-    out = {(a, b - a) for a, b in zip(starts, [*starts[1:], len(words)]) if b - a >= least}
-    scores = {}
-    for k in range(1, len(words)):
-        both = mix64(hashes[k : k + 1] ^ hashes[k - 1 : k] * np.uint64(0xA0761D6478BD642F))
-        scores[k] = (words[k - 1][-1] not in ".!?", int(both[0]) >> 1)
-    scores[0] = (True, 1 << 63)
-    cuts = [0]
-    for k in range(1, len(words)):
-        left = [scores[j] for j in range(max(0, k - reach), k)]
-        if scores[k] == min([*left, *(scores[j] for j in range(k, min(len(words), k + reach + 1)))]) and scores[k] not in left:
-            cuts.append(k)
-    return out | {(a, b - a) for a, b in zip(cuts, [*cuts[1:], len(words)]) if b - a > reach}
+    cuts = []
+    for a, b in zip(starts, [*starts[1:], len(words)]):
+        cuts.append(a)
+        scores = {0: (True, 0)} if a == 0 else {}
+        for k in range(max(a, 1), b):
+            both = mix64(hashes[k : k + 1] ^ hashes[k - 1 : k] * np.uint64(0xA0761D6478BD642F))
+            scores[k] = (words[k - 1][-1] not in ".!?", int(both[0]) >> 1)
+        for k in range(a + reach + 1, b - reach if b - a > longest else 0):
+            before, after = [scores[j] for j in range(k - reach, k)], [scores[j] for j in range(k, min(b, k + reach + 1))]
+            if scores[k] == min(before + after) and scores[k] not in before:
+                cuts.append(k)
+    return [(a, b - a) for a, b in zip(cuts, [*cuts[1:], len(words)]) if b - a > reach]
 
 
 def plain_removed(rows, least_run=16):
