@@ -9,7 +9,9 @@ from pyspark.sql import functions as F
 
 from gridchain.functions.vectors import dot, scale
 from gridchain.operators.kernels import gather_long, summed
+from gridchain.operators.station import PARTIAL, RIGHT, at_stations, cell_rows, deal, dense_rows, gather_kernel, reduced
 from gridchain.plans.grid import Grid, block, place_sparse
+from gridchain.sources.scratch import stored
 
 #: Largest full product that the strawman may form.
 DENSE_LIMIT = 5_000_000
@@ -53,15 +55,16 @@ def dense_in_blocks(s: DataFrame, a: DataFrame, b: DataFrame, size: int = 512) -
 
 
 def one_d_gather(s: DataFrame, b: DataFrame, p: int, m: int) -> DataFrame:
-    """Block rows without replication: b is delivered to each of the p row blocks."""
-    placed = s.withColumn("station", block("i", p, m))
-    delivered = b.select(F.explode(F.sequence(F.lit(0), F.lit(p - 1))).alias("station"), F.col("id").alias("j"), F.col("x").alias("bx"))
-    return summed(placed.join(delivered, ["station", "j"]).select("i", scale("bx", F.col("v")).alias("y")), "i")
+    """Block rows without replication: b is delivered to each of the p row blocks, and a block's rows are summed there."""
+    cells = deal(cell_rows(s.withColumn("station", block("i", p, m))), p)
+    every = b.select(F.explode(F.sequence(F.lit(0), F.lit(p - 1))).alias("station"), F.lit(0).cast("bigint").alias("start"), F.col("id").alias("j"), F.col("x").alias("bx"))
+    return reduced(at_stations([deal(dense_rows(every, RIGHT, "j", "bx"), p), cells], gather_kernel(RIGHT), PARTIAL), True)
 
 
 def two_gathers(s: DataFrame, b: DataFrame, p: int, m: int) -> DataFrame:
-    """A library without the masked kernel runs two gathers in place of a chain; both results are summed here."""
-    return one_d_gather(s, b, p, m).unionAll(one_d_gather(s, b, p, m)).groupBy("id", "k").agg(F.sum("x").alias("x"))
+    """A library without the masked kernel runs two gathers in place of a chain, each with its own communication: two stored jobs, summed here."""
+    first, second = (stored(one_d_gather(s, b, p, m), "gather") for _ in range(2))
+    return first.unionAll(second).groupBy("id", "k").agg(F.sum("x").alias("x"))
 
 
 def fetch_rows(s: DataFrame, b: DataFrame, p: int, m: int) -> DataFrame:
@@ -73,8 +76,17 @@ def fetch_rows(s: DataFrame, b: DataFrame, p: int, m: int) -> DataFrame:
 
 
 def unoptimised_chain(s: DataFrame, a: DataFrame, b: DataFrame, masked: DataFrame) -> DataFrame:
-    """Second kernel over a stored masked product."""
-    return gather_long(masked, b)
+    """Second kernel, as a job of its own, over the stored masked product."""
+    return gather_long(stored(masked, "masked"), b)
+
+
+def sparse_replicate_15_words(p: int, c: float, phi: float) -> float:
+    """Words of a station, in units of n*r, in a prior 1.5D scheme that copies the sparse operand c times and shifts it.
+
+    A model only: c copies are gathered on the fiber, p/c^2 shifts bring every block by, the
+    dense output is summed over the fiber. It was made for square operands, where a dense copy costs more.
+    """
+    return 3 * phi * (c - 1) / p + 6 * phi / c + 2 * (c - 1) / p
 
 
 def remote_rows(s: DataFrame, grid: Grid) -> DataFrame:

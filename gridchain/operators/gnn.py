@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+import random
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridchain.functions.vectors import ACTIVATIONS, dot, leaky_relu, mat_row
-from gridchain.operators.kernels import gather_left
+from gridchain.functions.vectors import ACTIVATIONS, dot, leaky_relu, mat_row, scale
+from gridchain.operators import chain
+from gridchain.operators.kernels import gather_left, summed
+from gridchain.operators.matrix import from_long, transpose
+from gridchain.plans.grid import Grid
 
 
 def lattice_weights(rows: int, columns: int, head: int = 0) -> list[list[float]]:
@@ -65,15 +70,75 @@ def attention_layer(s: DataFrame, a: DataFrame, w: list[list[float]], vector: li
     return _activated(gather_left(row_softmax(scores) if softmax else scores, projected), activation)
 
 
-def multi_head(s: DataFrame, a: DataFrame, heads: list[tuple[list[list[float]], list[float]]], **options) -> DataFrame:
-    """Heads side by side, in order."""
+def attention_on_grid(s: DataFrame, a: DataFrame, w: list[list[float]], vector: list[float], grid: Grid, elision: str = "none", softmax: bool = True, activation: str = "none", slope: float = 0.2) -> DataFrame:
+    """One head over the projected rows a w on a station grid; grid.r is their length.
+
+    The scoring kernel moves the rows that a masked product moves. With reuse the copied rows
+    serve both kernels; fuse is refused, as a softmax stands between them.
+    """
+    chain.check_elision(grid.family, elision, softmax)
+    rows = project(a, w)
+    half = len(vector) // 2
+    u, v = vector[:half], vector[half:]
+    scored = lambda raw: raw.select("i", "j", leaky_relu(F.col("v"), slope).alias("v"))
+    if elision == "reuse":
+        # roles change: rows of the transposed copy are the ends that are gathered
+        turned = grid.turned
+        cells, copied, moving = chain._cells(transpose(s), turned), chain._left(rows, turned), chain._right(rows, turned)
+        raw = scored(chain._products(cells, copied, moving, turned, True, (v, u)))
+        weights = transpose(row_softmax(transpose(raw))) if softmax else raw
+        out = chain._gathered(chain._cells(weights, turned), copied, turned, "right")
+    else:
+        raw = scored(chain.masked(s, rows, rows, grid, True, (u, v)))
+        out = chain.gather("left", chain.stored(row_softmax(raw) if softmax else raw, "scores"), rows, grid)
+    return _activated(from_long(out), activation)
+
+
+def multi_head(s: DataFrame, a: DataFrame, heads: list[tuple[list[list[float]], list[float]]], softmax: bool = True, activation: str = "none", project_first: bool = False, slope: float = 0.2) -> DataFrame:
+    """Heads side by side, in order, in one pass over the graph: a head is a column, not a run of its own.
+
+    Rows with an edge come out. The sum of a row's weights rides along as one more component
+    for each head, so the softmax divides after the gather.
+    """
+    at = range(len(heads))
+    halves = [(vector[: len(vector) // 2], vector[len(vector) // 2 :]) for _, vector in heads]
+    lit = lambda part: F.array(*[F.lit(float(t)) for t in part])
+    rows = a.select("id", "x", *[mat_row("x", w).alias(f"x{k}") for k, (w, _) in enumerate(heads)])
+    seen = lambda k: f"x{k}" if project_first else "x"
+    left = rows.select(F.col("id").alias("i"), *[dot(seen(k), lit(halves[k][0])).alias(f"from{k}") for k in at])
+    right = rows.select(F.col("id").alias("j"), *[dot(seen(k), lit(halves[k][1])).alias(f"to{k}") for k in at], *[f"x{k}" for k in at])
+    scores = s.join(left, "i").join(right.select("j", *[f"to{k}" for k in at]), "j")
+    scores = scores.select("i", "j", *[leaky_relu(F.col("v") * (F.col(f"from{k}") + F.col(f"to{k}")), slope).alias(f"e{k}") for k in at])
+    if softmax:
+        tops = scores.groupBy("i").agg(*[F.max(f"e{k}").alias(f"top{k}") for k in at])
+        scores = scores.join(tops, "i").select("i", "j", *[F.exp(F.col(f"e{k}") - F.col(f"top{k}")).alias(f"e{k}") for k in at])
+    met = scores.join(right.select("j", *[f"x{k}" for k in at]), "j")
+    y = F.concat(*[scale(f"x{k}", F.col(f"e{k}")) for k in at], F.array(*[F.col(f"e{k}") for k in at]))
+    total = from_long(summed(met.select("i", y.alias("y")), "i"))
+    widths = [len(w[0]) for w, _ in heads]
+    first = [sum(widths[:k]) for k in at]
+    part = lambda k: F.slice("x", first[k] + 1, widths[k])
+    over = lambda values, weight: F.transform(values, lambda t: t / weight)
+    parts = [over(part(k), F.element_at("x", sum(widths) + k + 1)) if softmax else part(k) for k in at]
+    return _activated(total.select("id", F.concat(*parts).alias("x")), activation)
+
+
+def multi_head_on_grid(s: DataFrame, a: DataFrame, heads: list[tuple[list[list[float]], list[float]]], grid: Grid, elision: str = "none", **options) -> DataFrame:
+    """Heads side by side, each on the station grid."""
     out = None
     for k, (w, vector) in enumerate(heads):
-        head = attention_layer(s, a, w, vector, **options).withColumnRenamed("x", f"x{k}")
+        head = attention_on_grid(s, a, w, vector, grid, elision, **options).withColumnRenamed("x", f"x{k}")
         out = head if out is None else out.join(head, "id")
     return out.select("id", F.concat(*[F.col(f"x{k}") for k in range(len(heads))]).alias("x"))
 
 
+def seeded_heads(count: int, rows: int, columns: int, seed: int = 0, project_first: bool = False) -> list[tuple[list[list[float]], list[float]]]:
+    """Random weights in multiples of 1/64 from a seed, for forward passes only."""
+    rng = random.Random(seed)
+    draw = lambda n: [rng.randint(-32, 32) / 64 for _ in range(n)]
+    return [([draw(columns) for _ in range(rows)], draw(2 * (columns if project_first else rows))) for _ in range(count)]
+
+
 def random_heads(count: int, rows: int, columns: int) -> list[tuple[list[list[float]], list[float]]]:
     return [(lattice_weights(rows, columns, h), lattice_attention(2 * rows, h)) for h in range(count)]
 

@@ -12,7 +12,9 @@ from gridchain.operators import als, baselines, chain, gnn, kernels
 from gridchain.operators.matrix import to_long, transpose
 from gridchain.plans import cost, ledger, operator_queries, planner
 from gridchain.plans.grid import Grid
+from gridchain.plans.measures_sql import EXPONENTS_SQL, MODEL_SQL, PLANNER_EXPLAIN_SQL, PLANNER_MAP_SQL, STAGES_SQL, WORDS_SQL, iteration_sql, moves_sql, strong_sql
 from gridchain.sources import random_matrices, tables
+from gridchain.sources.scratch import stored
 from gridchain.streaming import queries as streaming_queries
 
 R = 8
@@ -21,6 +23,7 @@ PART_SUPPLIER = "SELECT l_partkey AS i, l_suppkey AS j, sum(l_quantity) AS v FRO
 ORDER_PART = "SELECT l_orderkey AS i, l_partkey AS j, sum(l_quantity) AS v FROM lineitem GROUP BY ALL"
 CUSTOMER_PART = "SELECT o_custkey AS i, l_partkey AS j, sum(l_quantity) AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ALL"
 USER_KEY = "SELECT user_id AS i, CAST(json_extract_string(props, '$.k') AS BIGINT) AS j, CAST(count(*) AS DOUBLE) AS v FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL GROUP BY ALL"
+USER_TYPE = """SELECT user_id AS i, t.j, CAST(count(*) AS DOUBLE) AS v FROM events JOIN (SELECT event_type, row_number() OVER (ORDER BY event_type) - 1 AS j FROM events GROUP BY event_type) t USING (event_type) GROUP BY ALL"""
 TOKENS = "SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z]+')) AS word FROM documents"
 DOC_WORD = f"SELECT c.doc_id AS i, w.j, CAST(c.v AS DOUBLE) AS v FROM (SELECT doc_id, word, count(*) AS v FROM ({TOKENS}) WHERE word <> '' GROUP BY ALL) c JOIN (SELECT word, row_number() OVER (ORDER BY count(*) DESC, word) - 1 AS j FROM ({TOKENS}) WHERE word <> '' GROUP BY word) w ON c.word = w.word"
 LINKS = "SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages"
@@ -35,8 +38,8 @@ def lattice_sql(ids: str, a: int, b: int, r: int = R) -> str:
 
 def chain_sql(matrix: str, last: str, r: int = R) -> str:
     """A statement over s, a, b, the masked product r and both gathers of r."""
-    return f"""WITH s AS ({matrix}), a AS ({lattice_sql('SELECT DISTINCT i AS id FROM s', 31, 17, r)}), b AS ({lattice_sql('SELECT DISTINCT j AS id FROM s', 13, 19, r)}),
-    dots AS (SELECT s.i, s.j, s.v, sum(a.x * b.x) AS d FROM s JOIN a ON a.id = s.i JOIN b ON b.id = s.j AND b.k = a.k GROUP BY ALL),
+    return f"""WITH s AS MATERIALIZED ({matrix}), a AS MATERIALIZED ({lattice_sql('SELECT DISTINCT i AS id FROM s', 31, 17, r)}), b AS MATERIALIZED ({lattice_sql('SELECT DISTINCT j AS id FROM s', 13, 19, r)}),
+    dots AS MATERIALIZED (SELECT s.i, s.j, s.v, sum(a.x * b.x) AS d FROM s JOIN a ON a.id = s.i JOIN b ON b.id = s.j AND b.k = a.k GROUP BY ALL),
     r AS (SELECT i, j, v * d AS v FROM dots),
     gl AS (SELECT s.i AS id, b.k, sum(s.v * b.x) AS x FROM s JOIN b ON b.id = s.j GROUP BY ALL),
     gr AS (SELECT s.j AS id, a.k, sum(s.v * a.x) AS x FROM s JOIN a ON a.id = s.i GROUP BY ALL),
@@ -46,6 +49,8 @@ def chain_sql(matrix: str, last: str, r: int = R) -> str:
 
 
 def operands(s: DataFrame, r: int = R) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The matrix, stored once, and both factors over its ids: shapes and factors come from the stored copy, not from the tables again."""
+    s = stored(s, "matrix")
     return s, tables.left_factor(s, r), tables.right_factor(s, r)
 
 
@@ -101,6 +106,8 @@ for _family in GRIDS:
     add(f"masked_{_family}", chain_sql(PART_SUPPLIER, R_OUT))(_on(ps, lambda s, a, b, f=_family: chain.masked(s, a, b, _grid(f, s))))
     add(f"gather_left_{_family}", chain_sql(PART_SUPPLIER, GL))(_on(ps, lambda s, a, b, f=_family: chain.gather("left", s, b, _grid(f, s))))
     add(f"gather_right_{_family}", chain_sql(PART_SUPPLIER, GR))(_on(ps, lambda s, a, b, f=_family: chain.gather("right", s, a, _grid(f, s))))
+add("chain_left_auto", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain(s, a, b, 8, R)))
+add("chain_right_auto", chain_sql(PART_SUPPLIER, CR))(_on(ps, lambda s, a, b: chain.chain(s, a, b, 8, R, "right", family="ss")))
 add("chain_left_ds_phased", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_phased(s, a, b, _grid("ds", s))))
 add("special_1d", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, _grid("ds", s, p=8, c=1), "fuse")))
 add("special_2d", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, _grid("rd", s, p=16, c=1))))
@@ -108,13 +115,7 @@ add("special_3d", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.ch
 add("station_order_fiber", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: chain.chain_left(s, a, b, Grid("ds", 8, 2, *_shape(s), R, "fiber"), "fuse")))
 
 
-@add("dense_then_mask", chain_sql(f"SELECT * FROM ({PART_SUPPLIER}) WHERE i < 500", R_OUT))
-def _dense_then_mask(spark, sf_dir):
-    # the SQL above still has a subset of the rows; masked_part_supplier has the SQL of all
-    s, a, b = operands(ps(spark, sf_dir))
-    return baselines.dense_in_blocks(s, a, b)
-
-
+add("dense_then_mask", chain_sql(PART_SUPPLIER, R_OUT))(_on(ps, baselines.dense_in_blocks))
 add("baseline_two_gathers", chain_sql(PART_SUPPLIER, "SELECT id, k, 2 * x AS x FROM gl"))(_on(ps, lambda s, a, b: baselines.two_gathers(s, b, 8, _shape(s)[0])))
 add("fetch_rows", chain_sql(PART_SUPPLIER, GL))(_on(ps, lambda s, a, b: baselines.fetch_rows(s, b, 8, _shape(s)[0])))
 add("unoptimised_chain", chain_sql(PART_SUPPLIER, CL))(_on(ps, lambda s, a, b: baselines.unoptimised_chain(s, a, b, kernels.masked_product(s, a, b))))
@@ -132,6 +133,7 @@ add("order_part_masked", chain_sql(ORDER_PART, R_OUT))(_on(tables.order_part, la
 add("customer_part_chain", chain_sql(CUSTOMER_PART, CL))(_on(tables.customer_part, lambda s, a, b: chain.chain_left(s, a, b, _grid("ds", s), "reuse")))
 add("doc_word_gather", chain_sql(DOC_WORD, GL))(_on(tables.doc_word, lambda s, a, b: kernels.gather_long(s, b)))
 add("events_user_key_masked", chain_sql(USER_KEY, R_OUT))(_on(tables.user_key, kernels.masked_product))
+add("user_type_masked", chain_sql(USER_TYPE, R_OUT))(_on(tables.user_type, kernels.masked_product))
 add("page_link_gather", chain_sql(PAGE_LINK, GL))(_on(tables.page_link, lambda s, a, b: kernels.gather_long(s, b)))
 
 
@@ -153,11 +155,16 @@ def _generated(n: int, d: int, p: int, c: int, family: str, elision: str, r: int
     return run
 
 
-for _p in (4, 16):
-    _n, _d = random_matrices.weak_setup1(_p)
-    add(f"random_weak1_p{_p}", chain_sql(_lattice_matrix_sql(_n, _d), CL))(_generated(_n, _d, _p, 2, "ss", "reuse"))
-    _n, _d = random_matrices.weak_setup2(_p)
-    add(f"random_weak2_p{_p}", chain_sql(_lattice_matrix_sql(_n, _d), CL))(_generated(_n, _d, _p, 2, "ds", "fuse"))
+#: Columns of the dense operands in both weak-scaling setups: phi is 1/8 in the first, 1/8 to 1/2 in the second.
+WEAK_R = 64
+for _setup, _shape_of, _sizes in ((1, random_matrices.weak_setup1, (1, 2, 4, 8, 16)), (2, random_matrices.weak_setup2, (1, 4, 16))):
+    for _p in _sizes:
+        _n, _d = _shape_of(_p)
+        for _family, _elision in (("ss", "reuse"), ("ds", "fuse"), ("rd", "reuse"), ("rs", "none")):
+            _c = cost.best_c_admissible(_family, _elision, _p, _d / WEAK_R, WEAK_R, 8)
+            if _c is not None:
+                _run = _generated(_n, _d, _p, _c, _family, _elision, WEAK_R)
+                add(f"weak{_setup}_p{_p}_{_family}_{_elision}", chain_sql(_lattice_matrix_sql(_n, _d), CL, WEAK_R))(_run)
 add("square_operands", chain_sql(_lattice_matrix_sql(128, 16), CL, 128))(_generated(128, 16, 8, 2, "ss", "reuse", 128))
 
 
@@ -168,15 +175,28 @@ def _bernoulli(spark, sf_dir):
 
 # ---- measures ----
 
-for _family in GRIDS:
-    _e = {"ds": "fuse", "ss": "reuse", "rd": "reuse", "rs": "none"}[_family]
+for _family, _elision in cost.VARIANTS:
 
-    def _ledger(spark, sf_dir, f=_family, e=_e):
+    def _ledger(spark, sf_dir, f=_family, e=_elision):
         s, a, b = operands(random_matrices.lattice(spark, 1024, 8), 16)
         found = ledger.words(ledger.chain_ledger(s, a, b, Grid(f, 16, 4, 1024, 1024, 16), e))
-        return found.select("family", "elision", F.round("mean_words", 6).alias("mean_words"), "messages")
+        return found.select("family", "elision", *[F.round(c, 6).alias(c) for c in ("max_words", "mean_words", "remote_words")], "messages")
+
+    def _stages(spark, sf_dir, f=_family, e=_elision):
+        s, a, b = operands(random_matrices.lattice(spark, 1024, 8), 16)
+        return ledger.by_stage(ledger.chain_ledger(s, a, b, Grid(f, 16, 4, 1024, 1024, 16), e))
+
+    _moved = moves_sql(_lattice_matrix_sql(1024, 8), _family, _elision)
+    add(f"ledger_words_{_family}_{_elision}", _moved + WORDS_SQL.format(family=_family, elision=_elision))(_ledger)
+    add(f"ledger_stages_{_family}_{_elision}", _moved + STAGES_SQL.format(family=_family, elision=_elision))(_stages)
 
-    add(f"ledger_words_{_family}", f"SELECT '{_family}' AS family, '{_e}' AS elision, round(CAST({cost.predict_words(_family, _e, 16, 4, 8 / 16, 1024 * 16)!r} AS DOUBLE), 6) AS mean_words, CAST({cost.predict_messages(_family, _e, 16, 4)!r} AS DOUBLE) AS messages")(_ledger)
+for _family in ("ss", "rd", "rs"):
+
+    def _outside(spark, sf_dir, f=_family):
+        _, a, _b = operands(random_matrices.lattice(spark, 1024, 8), 16)
+        return ledger.by_stage(ledger.iteration_ledger(a, Grid(f, 16, 4, 1024, 1024, 16), "none"))
+
+    add(f"ledger_iteration_{_family}", iteration_sql(_family))(_outside)
 
 
 @add("ledger_balance", f"WITH s AS ({PART_SUPPLIER}), d AS (SELECT max(i) + 1 AS m, max(j) + 1 AS n FROM s), t AS (SELECT floor(i * 4 / m) * 2 + floor(j * 8 / n) % 2 AS station, count(*) AS nnz FROM s, d GROUP BY ALL) SELECT max(nnz) AS max_nnz, sum(nnz) / 8.0 AS mean_nnz, round(max(nnz) * 8.0 / sum(nnz), 9) AS ratio FROM t")
@@ -185,15 +205,23 @@ def _balance(spark, sf_dir):
     return ledger.balance(s, _grid("ds", s)).select("max_nnz", "mean_nnz", F.round("ratio", 9).alias("ratio"))
 
 
-@add("word_balance_permuted")
+_SLABS_BALANCE = """SELECT {ids!r} AS ids, max(nnz) AS max_nnz, sum(nnz) / 16.0 AS mean_nnz, round(max(nnz) * 16.0 / sum(nnz), 9) AS ratio
+FROM (SELECT floor({j} * 16 / n) % 4 AS fiber, count(*) AS nnz FROM s, d GROUP BY ALL), (SELECT unnest(range(4)))"""
+_WORD_BALANCE = f"""WITH s AS ({DOC_WORD}), m AS (SELECT max(i) + 1 AS m, max(j) + 1 AS n FROM s),
+d AS (SELECT m, n, (SELECT min(x) FROM (SELECT unnest(range(30011, 60000, 2)) AS x) WHERE gcd(x, m * n) = 1) AS a FROM m)
+{_SLABS_BALANCE.format(ids='by count', j='j')} UNION ALL {_SLABS_BALANCE.format(ids='permuted', j='((j * a + 7) % n)')}"""
+
+
+@add("word_balance_permuted", _WORD_BALANCE)
 def _word_balance(spark, sf_dir):
     """Balance of the long-tailed document-word matrix before and after permuting its ids."""
-    s = tables.doc_word(spark, sf_dir)
+    s = stored(tables.doc_word(spark, sf_dir), "matrix")
     m, n = _shape(s)
     a = next(x for x in range(30011, 60000, 2) if math.gcd(x, m * n) == 1)
     grid = Grid("ss", 16, 4, m, n, R)
     before, after = ledger.balance(s, grid), ledger.balance(random_matrices.affine(s, m, n, a), grid)
-    return before.withColumn("ids", F.lit("by count")).unionByName(after.withColumn("ids", F.lit("permuted")))
+    both = before.withColumn("ids", F.lit("by count")).unionByName(after.withColumn("ids", F.lit("permuted")))
+    return both.select("ids", "max_nnz", "mean_nnz", F.round("ratio", 9).alias("ratio"))
 
 
 @add("remote_rows", f"WITH s AS ({PART_SUPPLIER}), d AS (SELECT max(i) + 1 AS m, max(j) + 1 AS n FROM s), t AS (SELECT DISTINCT floor(i * 4 / m) * 2 + floor(j * 8 / n) % 2 AS station, j FROM s, d) SELECT count(*) AS fetched, count(DISTINCT j) AS columns, count(*) - count(DISTINCT j) AS remote FROM t")
@@ -232,7 +260,7 @@ def _best_c(spark, sf_dir):
     return spark.createDataFrame(rows, "elision string, p int, c int")
 
 
-@add("planner_map_p32")
+@add("planner_map_p32", PLANNER_MAP_SQL)
 def _planner_map(spark, sf_dir):
     """Best variant over density at 32 stations: r from 32 to 512, 2 to 512 nonzeros in a row."""
     rows, n = [], 1 << 22
@@ -243,9 +271,21 @@ def _planner_map(spark, sf_dir):
     return spark.createDataFrame(rows, "r int, per_row int, phi double, family string, elision string, c int")
 
 
-@add("planner_explain")
+@add("planner_explain", PLANNER_EXPLAIN_SQL)
 def _planner_explain(spark, sf_dir):
-    return planner.explain(spark, 32, 1 << 22, 128, (1 << 22) * 16, 16)
+    found = planner.explain(spark, 32, 1 << 22, 128, (1 << 22) * 16, 16)
+    return found.select("family", "elision", "p", "c", *[F.round(x, 3).alias(x) for x in ("words", "messages", "memory")], "refused")
+
+
+@add("model_table", MODEL_SQL)
+def _model(spark, sf_dir):
+    """Messages, flops and modelled time of every variant at 64 stations, and the words of the prior scheme that copies the sparse operand."""
+    n, r, nnz, rows = 1 << 20, 128, 1 << 24, []
+    for f, e in cost.VARIANTS:
+        for c in cost.admissible(f, 64, r, 16):
+            took = cost.predict_time(f, e, 64, c, n, r, nnz, 1e-5, 1e-9, 1e-11)
+            rows.append((f, e, c, float(cost.predict_messages(f, e, 64, c)), cost.predict_flops(nnz, r), round(took, 9), round(baselines.sparse_replicate_15_words(64, c, nnz / (n * r)), 9)))
+    return spark.createDataFrame(rows, "family string, elision string, c int, messages double, flops long, seconds double, prior_words double")
 
 
 @add("elision_ratios", "SELECT CAST(p AS INTEGER) AS p, round((1 - 2 * sqrt(2 * p)) / (2 - 4 * sqrt(p)), 9) AS reuse_ds, round((2 * sqrt(2 * p) - 2) / (4 * sqrt(p) - 2), 9) AS fuse_ds FROM (SELECT unnest([64, 256, 4096]) AS p)")
@@ -253,24 +293,23 @@ def _ratios(spark, sf_dir):
     return spark.createDataFrame([(p, round(cost.elision_ratio("ds", "reuse", p), 9), round(cost.elision_ratio("ds", "fuse", p), 9)) for p in (64, 256, 4096)], "p int, reuse_ds double, fuse_ds double")
 
 
-@add("weak_scaling_exponents")
+@add("weak_scaling_exponents", EXPONENTS_SQL)
 def _exponents(spark, sf_dir):
     sizes = [64, 256, 1024, 4096]
     return spark.createDataFrame([(f, e, round(cost.scaling_exponent(f, e, sizes), 6)) for f, e in cost.VARIANTS], "family string, elision string, exponent double")
 
 
-@add("strong_scaling_words")
+@add("strong_scaling_words", strong_sql({"part_supplier": PART_SUPPLIER, "order_part": ORDER_PART, "customer_part": CUSTOMER_PART}))
 def _strong(spark, sf_dir):
     """Words of every family at its best c up to 16, for 4 to 64 stations, on three given matrices (r = 32)."""
     rows = []
     for name in ("part_supplier", "order_part", "customer_part"):
-        s = getattr(tables, name)(spark, sf_dir)
-        m, n = _shape(s)
-        nnz = s.count()
+        row = getattr(tables, name)(spark, sf_dir).agg(F.max("i") + 1, F.count(F.lit(1))).first()
+        m, nnz = row[0], row[1]
         for p in (4, 8, 16, 32, 64):
             for f, e in cost.VARIANTS:
                 if (c := cost.best_c_admissible(f, e, p, nnz / (m * 32), 32, 16)) is not None:
-                    rows.append((name, p, f, e, c, cost.predict_words(f, e, p, c, nnz / (m * 32), m * 32)))
+                    rows.append((name, p, f, e, c, round(cost.predict_words(f, e, p, c, nnz / (m * 32), m * 32), 4)))
     return spark.createDataFrame(rows, "matrix string, p int, family string, elision string, c int, words double")
 
 
@@ -303,6 +342,14 @@ def _matvec(spark, sf_dir):
     return to_long(als.batched_matvec(s, a, b, 0.5))
 
 
+for _family, _elision in [*cost.VARIANTS, ("auto", "auto")]:
+
+    def _grid_matvec(spark, sf_dir, f=_family, e=_elision):
+        s, a, b = _ratings(spark, sf_dir)
+        on = chain.choose(s, 8, RANK, family=f, elision=e, c=None if f == "auto" else 2)
+        return to_long(als.batched_matvec(s, a, b, 0.5, on))
+
+    add(f"als_matvec_{_family}" + f"_{_elision}" * (_family != "auto"), chain_sql(CUSTOMER_PART, _MATVEC))(_grid_matvec)
 
 
 def _cg_sql() -> str:
@@ -326,50 +373,98 @@ def _cg2(spark, sf_dir):
     return to_long(als.cg(s, als.rhs(s, b), a, b, 2, 1.0)).select("id", "k", F.round("x", 5).alias("x"))
 
 
+@add("als_cg_2_grid", _cg_sql())
+def _cg2_grid(spark, sf_dir):
+    s, a, b = _ratings(spark, sf_dir)
+    on = chain.choose(s, 8, RANK, family="ds", elision="fuse", c=2)
+    return to_long(als.cg(s, als.rhs(s, b), a, b, 2, 1.0, on=on)).select("id", "k", F.round("x", 5).alias("x"))
+
+
+@add("als_row_dots", chain_sql(CUSTOMER_PART, "SELECT a.id, sum(a.x * a.x) AS dot FROM a GROUP BY a.id"))
+def _row_dots(spark, sf_dir):
+    s, a, _ = _ratings(spark, sf_dir)
+    return als.row_dots(a, a, _grid("ss", s, RANK))
+
+
 @add("als_sweep")
 def _sweep(spark, sf_dir):
+    """Loss before and after a sweep of 10 + 10 steps on the planner's grid of 8 stations."""
     s, a, b = _ratings(spark, sf_dir)
     before = als.loss(s, a, b)
-    a, b = als.sweep(s, a, b, 10, 0.1)
+    a, b = als.sweep(s, a, b, 10, 0.1, chain.choose(s, 8, RANK))
     return before.withColumn("sweep", F.lit(0)).unionByName(als.loss(s, a, b).withColumn("sweep", F.lit(1)))
 
 
 HEADS = gnn.random_heads(2, 64, 8)
 
 
-def _head_sql(k: int) -> str:
-    w, vector = HEADS[k]
-    half = len(vector) // 2
-    lists = lambda v: f"{v!r}::DOUBLE[]"
-    return f"""e{k} AS (SELECT g.i, g.j, list_dot_product(a.embedding::DOUBLE[], {lists(vector[:half])}) + list_dot_product(b.embedding::DOUBLE[], {lists(vector[half:])}) AS t FROM g JOIN embeddings a ON a.vec_id = g.i JOIN embeddings b ON b.vec_id = g.j),
-    l{k} AS (SELECT i, j, CASE WHEN t >= 0 THEN t ELSE 0.2 * t END AS v FROM e{k}),
-    m{k} AS (SELECT i, j, exp(v - max(v) OVER (PARTITION BY i)) AS v FROM l{k}),
-    s{k} AS (SELECT i, j, v / sum(v) OVER (PARTITION BY i) AS v FROM m{k}),
-    w{k} AS (SELECT unnest(range({len(w)})) AS d, unnest({w!r}::DOUBLE[][]) AS row),
-    p{k} AS (SELECT x.id, c.k, sum(x.x * w.row[c.k + 1]) AS x FROM ({VECTORS}) x JOIN w{k} w ON w.d = x.k, (SELECT unnest(range({len(w[0])})) AS k) c GROUP BY ALL),
-    h{k} AS (SELECT s.i AS id, p.k + {k * len(w[0])} AS k, sum(s.v * p.x) AS x FROM s{k} s JOIN p{k} p ON p.id = s.j GROUP BY ALL)"""
+def _lists(v: list[float]) -> str:
+    return f"{v!r}::DOUBLE[]"
+
+
+def _head_sql(k: int, head=None, source: str = "x0", tag: str = "", project_first: bool = False) -> str:
+    """CTEs of one head over the graph g and rows `source` (id, x as a list): e scores, l leaky, s softmax, p projected, h result."""
+    w, vector = head or HEADS[k]
+    half, name = len(vector) // 2, f"{tag}{k}"
+    rows = f"q{name}" if project_first else source
+    return f"""w{name} AS (SELECT unnest(range({len(w)})) AS d, unnest({w!r}::DOUBLE[][]) AS row),
+    p{name} AS MATERIALIZED (SELECT x.id, c.k, sum(x.x * w.row[c.k + 1]) AS x FROM (SELECT id, unnest(range(len(x))) AS k, unnest(x) AS x FROM {source}) x
+        JOIN w{name} w ON w.d = x.k, (SELECT unnest(range({len(w[0])})) AS k) c GROUP BY ALL),
+    q{name} AS (SELECT id, list(x ORDER BY k) AS x FROM p{name} GROUP BY id),
+    e{name} AS (SELECT g.i, g.j, list_dot_product(a.x, {_lists(vector[:half])}) + list_dot_product(b.x, {_lists(vector[half:])}) AS t
+        FROM g JOIN {rows} a ON a.id = g.i JOIN {rows} b ON b.id = g.j),
+    l{name} AS (SELECT i, j, CASE WHEN t >= 0 THEN t ELSE 0.2 * t END AS v FROM e{name}),
+    m{name} AS (SELECT i, j, exp(v - max(v) OVER (PARTITION BY i)) AS v FROM l{name}),
+    s{name} AS MATERIALIZED (SELECT i, j, v / sum(v) OVER (PARTITION BY i) AS v FROM m{name}),
+    h{name} AS (SELECT s.i AS id, p.k + {k * len(w[0])} AS k, sum(s.v * p.x) AS x FROM s{name} s JOIN p{name} p ON p.id = s.j GROUP BY ALL)"""
+
+
+_G = f"WITH g AS MATERIALIZED ({COSINE}), x0 AS MATERIALIZED (SELECT vec_id AS id, embedding::DOUBLE[] AS x FROM embeddings)"
 
 
 def _graph(spark, sf_dir):
-    return tables.cosine_graph(spark, sf_dir), tables.embeddings(spark, sf_dir)
+    return stored(tables.cosine_graph(spark, sf_dir), "graph"), tables.embeddings(spark, sf_dir)
 
 
 def _rounded(d: DataFrame) -> DataFrame:
     return to_long(d).select("id", "k", F.round("x", 6).alias("x"))
 
 
-add("gat_scores", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM l0")(lambda spark, sf_dir: gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1]).select("i", "j", F.round("v", 6).alias("v")))
-add("gat_scores_moving_rows", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM l0")(lambda spark, sf_dir: gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1], split=False).select("i", "j", F.round("v", 6).alias("v")))
-add("gat_softmax", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM s0")(lambda spark, sf_dir: gnn.row_softmax(gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1])).select("i", "j", F.round("v", 6).alias("v")))
-add("gat_head", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT id, k, round(x, 6) AS x FROM h0")(lambda spark, sf_dir: _rounded(gnn.attention_layer(*_graph(spark, sf_dir), *HEADS[0])))
-add("gat_multi_head", f"WITH g AS ({COSINE}), {_head_sql(0)}, {_head_sql(1)} SELECT id, k, round(x, 6) AS x FROM (SELECT * FROM h0 UNION ALL SELECT * FROM h1)")(lambda spark, sf_dir: _rounded(gnn.multi_head(*_graph(spark, sf_dir), HEADS)))
-add("gcn_layer", f"WITH g AS ({COSINE}), {_head_sql(0)} SELECT g.i AS id, p.k, round(greatest(sum(p.x), 0), 6) AS x FROM g JOIN p0 p ON p.id = g.j GROUP BY g.i, p.k")(lambda spark, sf_dir: _rounded(gnn.conv_layer(*_graph(spark, sf_dir), HEADS[0][0])))
+add("gat_scores", f"{_G}, {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM l0")(lambda spark, sf_dir: gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1]).select("i", "j", F.round("v", 6).alias("v")))
+add("gat_scores_moving_rows", f"{_G}, {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM l0")(lambda spark, sf_dir: gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1], split=False).select("i", "j", F.round("v", 6).alias("v")))
+add("gat_softmax", f"{_G}, {_head_sql(0)} SELECT i, j, round(v, 6) AS v FROM s0")(lambda spark, sf_dir: gnn.row_softmax(gnn.attention_scores(*_graph(spark, sf_dir), HEADS[0][1])).select("i", "j", F.round("v", 6).alias("v")))
+add("gat_head", f"{_G}, {_head_sql(0)} SELECT id, k, round(x, 6) AS x FROM h0")(lambda spark, sf_dir: _rounded(gnn.attention_layer(*_graph(spark, sf_dir), *HEADS[0])))
+add("gat_multi_head", f"{_G}, {_head_sql(0)}, {_head_sql(1)} SELECT id, k, round(x, 6) AS x FROM (SELECT * FROM h0 UNION ALL SELECT * FROM h1)")(lambda spark, sf_dir: _rounded(gnn.multi_head(*_graph(spark, sf_dir), HEADS)))
+add("gcn_layer", f"{_G}, {_head_sql(0)} SELECT g.i AS id, p.k, round(greatest(sum(p.x), 0), 6) AS x FROM g JOIN p0 p ON p.id = g.j GROUP BY g.i, p.k")(lambda spark, sf_dir: _rounded(gnn.conv_layer(*_graph(spark, sf_dir), HEADS[0][0])))
+
 
+_SECOND = gnn.random_heads(2, 16, 8)
+_TWO_LAYERS = f"""{_G}, {_head_sql(0)}, {_head_sql(1)},
+    x1 AS MATERIALIZED (SELECT id, list(x ORDER BY k) AS x FROM (SELECT * FROM h0 UNION ALL SELECT * FROM h1) GROUP BY id),
+    {_head_sql(0, _SECOND[0], 'x1', 'b')}, {_head_sql(1, _SECOND[1], 'x1', 'b')}
+    SELECT id, k, round(x, 6) AS x FROM (SELECT * FROM hb0 UNION ALL SELECT * FROM hb1)"""
 
-@add("gat_forward_two_layers")
+
+@add("gat_forward_two_layers", _TWO_LAYERS)
 def _forward(spark, sf_dir):
     g, x = _graph(spark, sf_dir)
-    return _rounded(gnn.forward(g, x, [HEADS, gnn.random_heads(2, 16, 8)]))
+    return _rounded(gnn.forward(g, x, [HEADS, _SECOND]))
+
+
+#: Heads whose scores are taken from projected rows, as the grid form has them.
+GRID_HEADS = gnn.seeded_heads(2, 64, 8, 5, project_first=True)
+_GRID_HEADS_SQL = f"""{_G}, {_head_sql(0, GRID_HEADS[0], project_first=True)}, {_head_sql(1, GRID_HEADS[1], project_first=True)}
+    SELECT id, k, round(x, 6) AS x FROM (SELECT * FROM h0 UNION ALL SELECT * FROM h1)"""
+add("gat_multi_head_projected", _GRID_HEADS_SQL)(lambda spark, sf_dir: _rounded(gnn.multi_head(*_graph(spark, sf_dir), GRID_HEADS, project_first=True)))
+for _family, _elision in cost.VARIANTS:
+    if _elision != "fuse":
+
+        def _grid_heads(spark, sf_dir, f=_family, e=_elision):
+            g, x = _graph(spark, sf_dir)
+            m, n = _shape(x.select(F.col("id").alias("i"), F.col("id").alias("j")))
+            return _rounded(gnn.multi_head_on_grid(g, x, GRID_HEADS, Grid(f, 8, 2, m, n, 8), e))
+
+        add(f"gat_multi_head_{_family}_{_elision}", _GRID_HEADS_SQL)(_grid_heads)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -48,6 +48,21 @@ class Grid:
         number = at * self.c + fiber if self.station_order == "layer" else fiber * self.layer + at
         return number.cast("int")
 
+    @property
+    def turned(self) -> Grid:
+        """The same stations over the transposed matrix."""
+        return Grid(self.family, self.p, self.c, self.n, self.m, self.r, self.station_order)
+
+    def holders(self, what: str) -> int:
+        """Stations at which a nonzero ('cell'), or a slab of a row-side or column-side result ('left', 'right'), is worked on."""
+        by_family = {
+            "ds": {"cell": 1, "left": self.c, "right": self.layer},
+            "ss": {"cell": self.layer, "left": self.c, "right": 1},
+            "rd": {"cell": self.q, "left": self.c, "right": self.q},
+            "rs": {"cell": self.c, "left": self.q, "right": self.q},
+        }
+        return by_family[self.family][what]
+
     def slab_bounds(self) -> list[tuple[int, int]]:
         """(first column, width) of each slab; widths differ by one at most."""
         edges = [k * self.r // self.slabs for k in range(self.slabs + 1)]
@@ -82,12 +97,42 @@ def _slabbed(d: DataFrame, grid: Grid) -> DataFrame:
     return d.select("id", F.explode(parts).alias("part")).select("id", "part.slab", "part.start", "part.x")
 
 
+def sparse_home(grid: Grid) -> Column:
+    """Station that owns a nonzero before anything moves."""
+    q, c = grid.q, grid.c
+    if grid.family == "ss":
+        fine = block("j", grid.p, grid.n)
+        return grid.station(F.floor(fine / c), F.pmod(fine, F.lit(c)))
+    if grid.family == "rd":
+        fine = block("j", q * c, grid.n)
+        return grid.station(block("i", q, grid.m) * q + F.floor(fine / c), F.pmod(fine, F.lit(c)))
+    if grid.family == "rs":  # coordinates are on the whole fiber, values are spread over it
+        return grid.station(block("i", q, grid.m) * q + block("j", q, grid.n), F.pmod(F.col("i") + F.col("j"), F.lit(c)).cast("int"))
+    return grid.station(block("i", grid.layer, grid.m), F.pmod(block("j", grid.p, grid.n), F.lit(c)))
+
+
+def dense_home(grid: Grid, side: str) -> Column:
+    """Station that owns a slab (id, slab) of the row-side ('left') or column-side ('right') operand before anything moves."""
+    q, c, rows = grid.q, grid.c, grid.m if side == "left" else grid.n
+    if grid.family == "ds":
+        fine = block("id", grid.p, rows)
+        return grid.station(F.floor(fine / c), F.pmod(fine, F.lit(c)))
+    if grid.family == "ss":
+        return grid.station(F.col("slab"), F.pmod(block("id", grid.p, rows), F.lit(c)))
+    if grid.family == "rd":
+        fine = block("id", q * c, rows)
+        return grid.station(F.floor(fine / c) * q + F.col("slab"), F.pmod(fine, F.lit(c)))
+    coarse, deep = block("id", q, rows), F.floor(F.col("slab") / c)
+    return grid.station(coarse * q + deep if side == "left" else deep * q + coarse, F.pmod("slab", F.lit(c)))
+
+
 def place_sparse(s: DataFrame, grid: Grid) -> DataFrame:
-    """s with a station; a family that moves s has one row for each station it visits."""
+    """s with a station and a home; a family that moves s has one row for each station it visits."""
     q, c = grid.q, grid.c
+    s = s.withColumn("home", sparse_home(grid))
     kept = s.columns
     if grid.family == "ds":
-        return s.withColumn("station", grid.station(block("i", grid.layer, grid.m), F.pmod(block("j", grid.p, grid.n), F.lit(c))))
+        return s.withColumn("station", F.col("home"))
     if grid.family == "ss":
         return s.select(*kept, _every(grid.layer).alias("at")).withColumn("station", grid.station(F.col("at"), F.pmod(block("j", grid.p, grid.n), F.lit(c)))).drop("at")
     if grid.family == "rd":
@@ -97,8 +142,8 @@ def place_sparse(s: DataFrame, grid: Grid) -> DataFrame:
 
 
 def place_left(a: DataFrame, grid: Grid) -> DataFrame:
-    """(station, slab, start, i, ax): copies of the row-side operand."""
-    d, q, c = _slabbed(a, grid), grid.q, grid.c
+    """(station, home, slab, start, i, ax): copies of the row-side operand."""
+    d, q, c = _slabbed(a, grid).withColumn("home", dense_home(grid, "left")), grid.q, grid.c
     if grid.family in ("ds", "ss", "rd"):
         d = d.select("*", _every(c).alias("fiber"))
         at = {"ds": block("id", grid.layer, grid.m), "ss": F.col("slab"), "rd": block("id", q, grid.m) * q + F.col("slab")}[grid.family]
@@ -106,26 +151,41 @@ def place_left(a: DataFrame, grid: Grid) -> DataFrame:
     else:
         d = d.select("*", _every(q).alias("other"))
         station = grid.station(block("id", q, grid.m) * q + F.col("other"), F.pmod("slab", F.lit(c)))
-    return d.select(station.alias("station"), "slab", "start", F.col("id").alias("i"), F.col("x").alias("ax"))
+    return d.select(station.alias("station"), "home", "slab", "start", F.col("id").alias("i"), F.col("x").alias("ax"))
 
 
 def place_right(b: DataFrame, grid: Grid) -> DataFrame:
-    """(station, slab, start, j, bx): copies of the column-side operand."""
-    d, q, c = _slabbed(b, grid), grid.q, grid.c
+    """(station, home, slab, start, j, bx): copies of the column-side operand."""
+    d, q, c = _slabbed(b, grid).withColumn("home", dense_home(grid, "right")), grid.q, grid.c
     if grid.family == "ds":
         d = d.select("*", _every(grid.layer).alias("other"))
         station = grid.station(F.col("other"), F.pmod(block("id", grid.p, grid.n), F.lit(c)))
     elif grid.family == "ss":
-        station = grid.station(F.col("slab"), F.pmod(block("id", grid.p, grid.n), F.lit(c)))
+        station = F.col("home")
     else:
         d = d.select("*", _every(q).alias("other"))
         if grid.family == "rd":
             station = grid.station(F.col("other") * q + F.col("slab"), F.pmod(block("id", q * c, grid.n), F.lit(c)))
         else:
             station = grid.station(F.col("other") * q + block("id", q, grid.n), F.pmod("slab", F.lit(c)))
-    return d.select(station.alias("station"), "slab", "start", F.col("id").alias("j"), F.col("x").alias("bx"))
+    return d.select(station.alias("station"), "home", "slab", "start", F.col("id").alias("j"), F.col("x").alias("bx"))
 
 
 def relayout(d: DataFrame, grid: Grid, side: str) -> DataFrame:
-    """A result put where the next call wants its operand; in Spark only the station key changes."""
-    return place_left(d, grid) if side == "left" else place_right(d, grid)
+    """(station, home, words) of a result's slabs: where its last step leaves them, and where the next call reads them.
+
+    1.5D results lie at home. A 2.5D result that iterations feed back has to move first: with a
+    dense copy it lies transposed in its layer, with a sparse copy one place along its ring.
+    """
+    q, c = grid.q, grid.c
+    placed = _slabbed(d, grid).withColumn("home", dense_home(grid, side))
+    rows = grid.m if side == "left" else grid.n
+    if grid.family == "rd":
+        fine = block("id", q * c, rows)
+        station = grid.station(F.col("slab") * q + F.floor(fine / c), F.pmod(fine, F.lit(c)))
+    elif grid.family == "rs":
+        coarse, deep = block("id", q, rows), F.pmod(F.floor(F.col("slab") / c) + 1, F.lit(q))
+        station = grid.station(coarse * q + deep if side == "left" else deep * q + coarse, F.pmod("slab", F.lit(c)))
+    else:
+        station = F.col("home")
+    return placed.select(station.alias("station"), "home", F.size("x").cast("double").alias("words"))

@@ -1,22 +1,57 @@
-"""The folder for tables that cut a lineage."""
+"""The shared folder for tables that cut a lineage; they go when the session's program ends."""
 
 from __future__ import annotations
 
 import atexit
-import shutil
+import contextlib
 import tempfile
+import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
-_own: list[str] = []
+_folders: dict[str, SparkSession] = {}
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The shared folder that the session names in spark.checkpoint.dir; a temporary one only where none is named."""
+    """The folder that the session names in spark.checkpoint.dir, else one in its warehouse; a temporary one only where master is local."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if found:
         return found.rstrip("/")
-    if not _own:
-        _own.append(tempfile.mkdtemp(prefix="gridchain-"))
-        atexit.register(shutil.rmtree, _own[0], ignore_errors=True)
-    return f"file://{_own[0]}"
+    if spark.sparkContext.master.split("[")[0] == "local":
+        own = next((x for x, of in _folders.items() if x.startswith("file://") and of is spark), None)
+        return own or _remembered(f"file://{tempfile.mkdtemp(prefix='gridchain-')}", spark)
+    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/")
+
+
+def _remembered(folder: str, spark: SparkSession) -> str:
+    if not _folders:
+        atexit.register(_clean)
+    _folders[folder] = spark
+    return folder
+
+
+def _clean() -> None:
+    for folder, spark in _folders.items():
+        with contextlib.suppress(Exception):  # the session may be gone
+            delete(spark, folder)
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a folder in any file system that the session reaches."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def scratch_path(spark: SparkSession, tag: str) -> str:
+    """A new path in this program's part of the shared folder."""
+    top = scratch_dir(spark)
+    own = next((x for x, of in _folders.items() if of is spark and x.startswith(f"{top}/gridchain-")), None)
+    own = own or _remembered(f"{top}/gridchain-{uuid.uuid4().hex}", spark)
+    return f"{own}/{tag}-{uuid.uuid4().hex}"
+
+
+def stored(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
+    """df written once to the shared folder and read back: a job of its own, without lineage, that survives lost executors."""
+    path = scratch_path(df.sparkSession, tag)
+    df.write.option("compression", codec).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -79,7 +79,7 @@ def test_every_triple_meets_once(spark, family, p, c):
     grid = Grid(family, p, c, 8, 8, 8)
     cells = spark.range(64).select(F.floor(F.col("id") / 8).alias("i"), (F.col("id") % 8).alias("j"), F.lit(1.0).alias("v"))
     d = spark.range(8).select("id", F.array_repeat(F.lit(1.0), 8).alias("x"))
-    met = place_sparse(cells, grid).join(place_left(d, grid).drop("start"), ["station", "i"]).join(place_right(d, grid), ["station", "slab", "j"])
+    met = place_sparse(cells, grid).drop("home").join(place_left(d, grid).drop("start", "home"), ["station", "i"]).join(place_right(d, grid).drop("home"), ["station", "slab", "j"])
     triples = met.select("i", "j", F.explode(F.sequence(F.col("start"), F.col("start") + F.size("bx") - 1)).alias("k")).groupBy("i", "j", "k").count()
     assert triples.count() == 512 and triples.filter("count <> 1").isEmpty()
 
