@@ -4,11 +4,13 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from gridchain.operators import baselines, chain, kernels
+from gridchain.operators import baselines, chain, kernels, station
 from gridchain.operators.matrix import densify, from_long, from_row_map, stats, to_long, to_row_map, transpose, validate_dense, validate_sparse
+from gridchain.plans import cost
 from gridchain.plans.cost import VARIANTS
 from gridchain.plans.grid import Grid, place_left, place_right, place_sparse
 from gridchain.sources import random_matrices, tables
+from gridchain.sources.scratch import stored
 
 M, N, R = 13, 11, 8
 
@@ -156,7 +158,111 @@ def test_weight_stays_below_the_generator(operands):
     assert any("transform(" in line for line in lines[generate:])
 
 
-def test_fuse_meets_the_right_operand_once(operands):
+@pytest.fixture
+def plain_plans(spark):
+    """Plans as they run, without adaptive changes or broadcasts of these small tables."""
+    names = {"spark.sql.adaptive.enabled": "false", "spark.sql.autoBroadcastJoinThreshold": "-1"}
+    before = {k: spark.conf.get(k) for k in names}
+    for k, v in names.items():
+        spark.conf.set(k, v)
+    yield
+    for k, v in before.items():
+        spark.conf.set(k, v)
+
+
+def exchanges(df):
+    """(exchanges that are made, exchanges that are read again) of a plan."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return sum("Exchange hashpartitioning" in x and "Reused" not in x for x in plan.splitlines()), plan.count("ReusedExchange")
+
+
+@pytest.fixture
+def stored_plans(monkeypatch):
+    """Exchanges of the jobs whose results are stored, in order."""
+    seen = []
+
+    def keep(df, tag, codec="zstd"):
+        seen.append(exchanges(df))
+        return stored(df, tag, codec)
+
+    monkeypatch.setattr(chain, "stored", keep)
+    monkeypatch.setattr(baselines, "stored", keep)
+    return seen
+
+
+def test_exchanges_of_each_variant(operands, plain_plans, stored_plans):
+    """The savings are exchanges that are absent; operands are laid out first, so only the chain's own are seen."""
     s, a, b, *_ = operands
-    joins = lambda e: chain.chain_left(s, a, b, Grid("ds", 8, 2, M, N, R), e)._jdf.queryExecution().optimizedPlan().toString().count("Join Inner")
-    assert joins("fuse") == 2 and joins("none") == 3
+    own = lambda f, e: exchanges(chain.chain_left(s, a, b, Grid(f, 8, 2, M, N, R), e))
+    # fuse: copy, moving operand, nonzeros, and the sum over the fiber
+    assert own("ds", "fuse") == (4, 0) and own("ds", "reuse") == (4, 0) and not stored_plans
+    # none: a first job deals all three operands; the second deals the moving operand and the result again, and sums
+    assert own("ds", "none") == (3, 0) and stored_plans == [(3, 0)]
+    stored_plans.clear()
+    # slabs: partial dots meet by nonzero; reuse reads the copied operand's one exchange twice, none makes two
+    assert own("ss", "reuse") == (5, 1) and own("rd", "reuse") == (6, 1) and not stored_plans
+    assert own("ss", "none") == (3, 0) and own("rd", "none") == (3, 0) and own("rs", "none") == (3, 0)
+    assert stored_plans == [(4, 0)] * 3
+    stored_plans.clear()
+    assert exchanges(baselines.two_gathers(s, b, 4, M))[1] == 0 and stored_plans == [(2, 0), (2, 0)]
+
+
+def shuffled_bytes(df):
+    """Bytes of rows that a plan's exchanges wrote, after running it."""
+    plan = df._jdf.queryExecution().executedPlan()
+    plan.execute().count()
+    total, todo = 0, [plan]
+    while todo:
+        node = todo.pop()
+        children = node.children()
+        todo += [children.apply(k) for k in range(children.size())]
+        if node.nodeName() == "Exchange":
+            total += node.metrics().apply("dataSize").value()
+    return total
+
+
+@pytest.mark.parametrize("family,elision", [("ds", "fuse"), ("ds", "reuse"), ("ss", "reuse")])
+def test_shuffled_bytes_follow_the_words(spark, plain_plans, family, elision):
+    """Rows of 64 numbers: an exchange writes 8 bytes a dense word, plus some for each row; a nonzero's 3 words are a row of at most 120 bytes."""
+    n, d, r, p = 256, 4, 64, 16
+    s = random_matrices.lattice(spark, n, d).cache()
+    a, b = (tables.dense_lattice(spark.range(n).select("id"), r, x, y).cache() for x, y in ((31, 17), (13, 19)))
+    for c in (2, 4, 8):
+        words = cost.predict_words(family, elision, p, c, d / r, n * r) * p
+        # a closed form leaves out what does not move in a ring: the copy's own block, and a stationary operand
+        home = n * r * (2 if family == "ss" else 1)
+        cells = n * d * (p // c if family == "ss" else 1)
+        got = shuffled_bytes(chain.chain_left(s, a, b, Grid(family, p, c, n, n, r), elision))
+        low, high = 8 * 0.5 * words, 8 * 1.9 * (words + home) + 120 * 4 * cells
+        assert low < got < high, (c, low, got, high)
+
+
+def test_each_station_has_a_partition(spark):
+    for p in (1, 8, 30, 128):
+        rows = spark.range(p * 3).select((F.col("id") % p).cast("int").alias("station"), F.lit(2).alias("tag"), F.lit(0).cast("long").alias("i"), F.lit(0).cast("long").alias("j"), F.lit(0.0).alias("v"), F.lit(None).cast("array<double>").alias("x"))
+        sizes = station.deal(rows, p).groupBy(F.spark_partition_id()).count().collect()
+        assert len(sizes) == p and {r["count"] for r in sizes} == {3}
+
+
+def test_planner_runs_the_chain(operands, spark):
+    s, a, b, dense, mask, x, y = operands
+    want = expected((dense * (x @ y.T)) @ y, np.flatnonzero(mask.any(1)))
+    assert long(chain.chain(s, a, b, 8, R)) == want
+    assert long(chain.chain(s, a, b, 8, R, family="ss", c=2)) == want
+    found = chain.choose(s, 8, R, remote_rows=0)
+    assert found.grid is None and long(chain.chain(s, a, b, 8, R, remote_rows=0)) == want
+    plain = expected((mask * (x @ y.T)) @ y, np.flatnonzero(mask.any(1)))
+    for family, elision in VARIANTS:
+        assert long(chain.chain(s, a, b, 8, R, family=family, elision=elision, c=2, scaled=False)) == plain
+    with pytest.raises(ValueError, match="admissible"):
+        chain.choose(s, 8, R, family="rs", elision="fuse")
+
+
+def test_kernels_with_missing_rows_and_empty_sides(operands, spark):
+    s, a, b, *_ = operands
+    grid = Grid("rd", 8, 2, M, N, R)
+    some = b.filter("id <> 3")
+    got = {(r.i, r.j): r.v for r in chain.masked(s, a, some, grid).collect()}
+    assert got == {(r.i, r.j): r.v for r in kernels.masked_product(s, a, some).collect()}
+    nothing = s.filter("false")
+    assert chain.chain_left(nothing, a, b, grid, "reuse").isEmpty() and chain.masked(s, a, b.filter("false"), grid).isEmpty()
