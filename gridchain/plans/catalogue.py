@@ -309,7 +309,7 @@ def _strong(spark, sf_dir):
         for p in (4, 8, 16, 32, 64):
             for f, e in cost.VARIANTS:
                 if (c := cost.best_c_admissible(f, e, p, nnz / (m * 32), 32, 16)) is not None:
-                    rows.append((name, p, f, e, c, round(cost.predict_words(f, e, p, c, nnz / (m * 32), m * 32), 4)))
+                    rows.append((name, p, f, e, c, round(cost.predict_words(f, e, p, c, nnz / (m * 32), m * 32), 6)))
     return spark.createDataFrame(rows, "matrix string, p int, family string, elision string, c int, words double")
 
 
