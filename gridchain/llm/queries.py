@@ -73,22 +73,38 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_suffix_merge, op2_quality_ranking, op3_adaptive_rules, op4_residual_packing, op5_pivot_topk, op6_toxicity_trees, op7_warc_normaliser, op8_trie_bpe, op9_paragraph_bands, op10_ngram_jaccard_join, pipeline)}
-_CAP = {r: f"greatest({rules.FLOOR[r]}, quantile_disc({r}, 0.75) + {rules.SPREAD} * (quantile_disc({r}, 0.75) - quantile_disc({r}, 0.25)))" for r in rules.RATES}
+#: Limits of a group of rates, and a group's limits drawn towards those around it.
+_CAPS = ", ".join(f"quantile_disc({r}, 0.75) + {rules.SPREAD} * greatest({rules.WIDTH[r]}, quantile_disc({r}, 0.75) - quantile_disc({r}, 0.25)) AS {r}_limit" for r in rules.RATES)
+_DRAWN = "({own} * {rows} + {around} * {trust}) / ({rows} + {trust})"
 
-ORACLE_SQL: dict[str, str] = {
-    "op3_adaptive_rules": f"""WITH d AS (SELECT doc_id, coalesce(lang, '') AS lang, coalesce(source, '') AS source, coalesce(text, '') AS text FROM documents),
-    w AS (SELECT doc_id, unnest(ws) AS word, generate_subscripts(ws, 1) AS pos FROM (SELECT doc_id, list_filter(regexp_split_to_array(text, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM d)),
+
+def _drawn(r: str) -> str:
+    around = _DRAWN.format(own=f"l.{r}_limit", rows="l.n", around=f"e.{r}_limit", trust=rules.TRUST)
+    return _DRAWN.format(own=f"o.{r}_limit", rows="o.n", around=around, trust=rules.TRUST)
+
+
+_RULES_SQL = f"""WITH d AS (SELECT doc_id, coalesce(lang, '') AS lang, coalesce(source, '') AS source, coalesce(text, '') AS text FROM documents),
+    w AS (SELECT doc_id, unnest(ws) AS word, generate_subscripts(ws, 1) AS pos
+        FROM (SELECT doc_id, list_filter(regexp_split_to_array(text, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM d)),
     t AS (SELECT doc_id, pos, word AS a, lead(word) OVER o AS b, lead(word, 2) OVER o AS c FROM w WINDOW o AS (PARTITION BY doc_id ORDER BY pos)),
     r AS (SELECT doc_id, pos, count(*) OVER (PARTITION BY doc_id, a, b, c) AS n FROM t WHERE c IS NOT NULL),
     rep AS (SELECT doc_id, count(DISTINCT pos + k) AS n_repeat_words FROM r, (SELECT unnest(range(3)) AS k) WHERE n > 1 GROUP BY doc_id),
     sums AS (SELECT doc_id, count(*) AS n_words, CAST(sum(length(word)) AS BIGINT) AS word_chars FROM w GROUP BY doc_id),
-    rows AS (SELECT d.doc_id, lang, source, coalesce(n_words, 0) AS n_words, coalesce(word_chars, 0) AS word_chars, length(text) - length(translate(text, '{rules.SYMBOLS}', '')) AS n_symbols,
-        len(list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\\x20\\x09-\\x0D]'))) - len(list_distinct(list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\\x20\\x09-\\x0D]')))) AS n_dup_lines,
-        coalesce(n_repeat_words, 0) AS n_repeat_words FROM d LEFT JOIN sums USING (doc_id) LEFT JOIN rep USING (doc_id)),
-    rates AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed, n_symbols / greatest(n_words, 1) AS symbol_rate, n_dup_lines * 10.0 / greatest(n_words, 1) AS dup_line_rate, n_repeat_words / greatest(n_words, 1) AS repeat_rate, word_chars / greatest(n_words, 1) / 60.0 AS long_word_rate FROM rows),
-    own AS (SELECT lang, source, {", ".join(f"{_CAP[r]} AS {r}_limit" for r in rules.RATES)} FROM rates WHERE NOT base_failed GROUP BY lang, source HAVING count(*) >= {rules.LEAST_GROUP}),
-    every AS (SELECT {", ".join(f"{_CAP[r]} AS {r}_all" for r in rules.RATES)} FROM rates WHERE NOT base_failed)
-    SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND {" AND ".join(f"{r} <= coalesce({r}_limit, {r}_all, {rules.FLOOR[r]})" for r in rules.RATES)} AS kept FROM rates LEFT JOIN own USING (lang, source) CROSS JOIN every""",
+    lines AS (SELECT doc_id, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\\x20\\x09-\\x0D]')) AS ls FROM d),
+    rows AS (SELECT d.doc_id, lang, source, coalesce(n_words, 0) AS n_words, coalesce(word_chars, 0) AS word_chars,
+        length(text) - length(translate(text, '{rules.SYMBOLS}', '')) AS n_symbols, len(ls) - len(list_distinct(ls)) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words
+        FROM d LEFT JOIN sums USING (doc_id) LEFT JOIN rep USING (doc_id) LEFT JOIN lines USING (doc_id)),
+    rates AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed, n_symbols / greatest(n_words, 1) AS symbol_rate,
+        n_dup_lines * 10.0::DOUBLE / greatest(n_words, 1) AS dup_line_rate, n_repeat_words / greatest(n_words, 1) AS repeat_rate, word_chars / greatest(n_words, 1) / 60.0::DOUBLE AS long_word_rate FROM rows),
+    o AS (SELECT lang, source, count(*) AS n, {_CAPS} FROM rates WHERE NOT base_failed GROUP BY lang, source),
+    l AS (SELECT lang, count(*) AS n, {_CAPS} FROM rates WHERE NOT base_failed GROUP BY lang),
+    e AS (SELECT {_CAPS} FROM rates WHERE NOT base_failed),
+    limits AS (SELECT o.lang, o.source, {", ".join(f"{_drawn(r)} AS {r}_limit" for r in rules.RATES)} FROM o JOIN l USING (lang) CROSS JOIN e)
+    SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+        NOT base_failed AND {" AND ".join(f"coalesce({r} <= {r}_limit, false)" for r in rules.RATES)} AS kept FROM rates LEFT JOIN limits USING (lang, source)"""
+
+ORACLE_SQL: dict[str, str] = {
+    "op3_adaptive_rules": _RULES_SQL,
     "op5_pivot_topk": """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS x FROM embeddings WHERE len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
     s AS (SELECT q.vec_id AS query_id, c.vec_id, CAST(list_dot_product(q.x, c.x) AS BIGINT) AS score FROM v q JOIN v c ON q.vec_id % 50 = 0 AND q.vec_id <> c.vec_id)
     SELECT query_id, CAST(place AS INTEGER) AS rank, vec_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS place FROM s) WHERE place <= 5""",

@@ -22,12 +22,13 @@ RATES = ("symbol_rate", "dup_line_rate", "repeat_rate", "long_word_rate")
 BROADCAST_ROWS = 50_000
 #: Copies of the thresholds, and salts of the documents, for a table above that.
 SALTS = 64
-#: Smallest group with thresholds of its own; smaller ones use those of all documents.
-LEAST_GROUP = 50
+#: A group of this many rows counts as much as the group around it in its limits; a smaller one counts less.
+TRUST = 10
 #: A rate is out of range beyond q3 + SPREAD * max(q3 - q1, WIDTH); WIDTH keeps a group of equal values from rejecting the next one.
+SPREAD = 6.0
 WIDTH = {"symbol_rate": 0.005, "dup_line_rate": 0.02, "repeat_rate": 0.02, "long_word_rate": 0.002}
-#: Limits where no document at all passes the base rules.
-SPREAD, FLOOR = 6.0, {"symbol_rate": 0.10, "dup_line_rate": 0.50, "repeat_rate": 0.35, "long_word_rate": 0.30}
+#: Relative rank error of the quantile sketches is one over this.
+ACCURACY = 2000
 
 
 def with_repeated_places(rows: DataFrame) -> DataFrame:
@@ -81,16 +82,30 @@ def _with_rates(rows: DataFrame) -> DataFrame:
     })
 
 
-def rule_thresholds(rows: DataFrame, accuracy: int = 200) -> DataFrame:
-    """Upper limits of each rate by language and source, and for all documents (both null).
+def rule_thresholds(rows: DataFrame, accuracy: int = ACCURACY) -> DataFrame:
+    """lang, source, rows and an upper limit of each rate, by language and source, by language (source null) and for all (both null).
 
     percentile_approx keeps a mergeable sketch of fixed accuracy for each group in every
-    task, so a source with a third of all rows is summed up before the shuffle.
+    task, so a source with a third of all rows is summed up before the shuffle. Rows that
+    fail the base rules take no part. Null languages and sources count as ''.
     """
     rates = rows.filter("not base_failed").withColumns({"lang": F.coalesce("lang", F.lit("")), "source": F.coalesce("source", F.lit(""))})
-    sketches = [F.percentile_approx(r, [0.25, 0.5, 0.75], accuracy).alias(r) for r in RATES]
-    limits = [(F.col(r)[2] + SPREAD * F.greatest(F.lit(WIDTH[r]), F.col(r)[2] - F.col(r)[0])).alias(f"{r}_limit") for r in RATES]
-    return rates.cube("lang", "source").agg(F.count(F.lit(1)).alias("rows"), F.grouping_id().alias("level"), *sketches).filter("level in (0, 3)").select("lang", "source", "rows", "level", *limits)
+    sketches = [F.percentile_approx(r, [0.25, 0.75], accuracy).alias(r) for r in RATES]
+    limits = [(F.col(r)[1] + SPREAD * F.greatest(F.lit(WIDTH[r]), F.col(r)[1] - F.col(r)[0])).alias(f"{r}_limit") for r in RATES]
+    sets = rates.groupingSets([("lang", "source"), ("lang",), ()], "lang", "source")
+    return sets.agg(F.count(F.lit(1)).alias("rows"), F.grouping_id().alias("level"), *sketches).select("lang", "source", "rows", "level", *limits)
+
+
+def group_limits(limits: DataFrame) -> DataFrame:
+    """Limits of each language and source, drawn towards those of its language, and these towards those of all.
+
+    A group of n rows weighs n against TRUST, so a rare source follows its language and a large one its own sketch.
+    """
+    names = [f"{r}_limit" for r in RATES]
+    named = lambda level, tag: limits.filter(F.col("level") == level).select(*(["lang"] if level < 3 else []), *(["source"] if level == 0 else []), F.col("rows").alias(f"rows_{tag}"), *[F.col(n).alias(f"{n}_{tag}") for n in names])
+    met = named(0, "own").join(named(1, "lang"), "lang").crossJoin(F.broadcast(named(3, "all")))  # one row
+    drawn = lambda own, rows, around: (F.col(own) * F.col(rows) + around * TRUST) / (F.col(rows) + TRUST)
+    return met.select("lang", "source", *[drawn(f"{n}_own", "rows_own", drawn(f"{n}_lang", "rows_lang", F.col(f"{n}_all"))).alias(n) for n in names])
 
 
 def quality_rules(docs: DataFrame) -> DataFrame:
@@ -106,19 +121,17 @@ def quality_rules(docs: DataFrame) -> DataFrame:
 
 def judged(counts: DataFrame) -> DataFrame:
     rows = _with_rates(counts)
-    limits = stage(rule_thresholds(rows), "limits")
-    everywhere = limits.filter("level = 3").select(*[F.col(f"{r}_limit").alias(f"all_{r}") for r in RATES])
-    own = limits.filter("level = 0").filter(F.col("rows") >= LEAST_GROUP).select(F.col("lang").alias("for_lang"), F.col("source").alias("for_source"), *[f"{r}_limit" for r in RATES])
-    rest = everywhere.first()
+    own = stage(group_limits(rule_thresholds(rows)), "limits").select(F.col("lang").alias("for_lang"), F.col("source").alias("for_source"), *[f"{r}_limit" for r in RATES])
     same = (F.coalesce("lang", F.lit("")) == F.col("for_lang")) & (F.coalesce("source", F.lit("")) == F.col("for_source"))
     if own.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS:
         joined = rows.join(F.broadcast(own), same, "left")
     else:
         salted = own.withColumn("for_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
         joined = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id", "n_words"), F.lit(SALTS))).join(salted, same & (F.col("salt") == F.col("for_salt")), "left")
+    # a group without limits has no row that passes the base rules
     within = F.lit(True)
     for r in RATES:
-        within = within & (F.col(r) <= F.coalesce(F.col(f"{r}_limit"), F.lit(rest[f"all_{r}"] if rest else None).cast("double"), F.lit(FLOOR[r])))
+        within = within & F.coalesce(F.col(r) <= F.col(f"{r}_limit"), F.lit(False))
     return joined.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & within).alias("kept"))
 
 
