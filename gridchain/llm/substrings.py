@@ -138,7 +138,9 @@ def earlier_windows(blob: np.ndarray, lengths: np.ndarray, docs: np.ndarray, pla
         pairs.append(before[order])
         owners.append(owner[order].astype(np.int32))
         offsets.append(offset[order].astype(np.int32))
-    source, block, _ = merge_shards(pairs, span)
+    source, _, common = merge_shards(pairs, span)
+    # a repeated interval is a stretch of places that share a whole string with the place before
+    block = np.cumsum(common < span // 2) - 1
     size = np.bincount(block, minlength=int(block[-1]) + 1 if len(block) else 1)
     owner, offset = np.empty(len(source), np.int32), np.empty(len(source), np.int32)
     for s in range(len(pairs)):
@@ -155,6 +157,11 @@ def earlier_windows(blob: np.ndarray, lengths: np.ndarray, docs: np.ndarray, pla
     return owner[later], offset[later]
 
 
+def value_bucket(least: np.ndarray, buckets: int) -> np.ndarray:
+    """Bucket of a least hash; least hashes are small numbers, so they are mixed first."""
+    return ((mix64(least) >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int32)
+
+
 def _values(buckets: int, span: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = Packer(["keys", "docs"], [np.uint64, np.int64])
@@ -163,7 +170,7 @@ def _values(buckets: int, span: int):
                 least, row, _, _, loops = least_runs(*text_bytes(part.column("text")), span)
                 ids = np.asarray(part.column("doc_id"))
                 least, row = np.concatenate([least, least[loops]]), np.concatenate([row, row[loops]])
-                yield from packer.add((least >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32), least, ids[row])
+                yield from packer.add(value_bucket(least, buckets), least, ids[row])
         yield from packer.flush()
 
     return run
@@ -196,16 +203,15 @@ def _gather(raw: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndar
     return raw[np.arange(int(lengths.sum())) + shift]
 
 
-def _content_hashes(blob: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    up, down = _powers(len(blob))
-    total = np.zeros(len(blob) + 1, np.uint64)
-    np.cumsum((blob.astype(np.uint64) + np.uint64(7)) * up[: len(blob)], out=total[1:])
-    ends = np.cumsum(lengths)
-    return mix64((total[ends] - total[ends - lengths]) * down[ends - lengths] + lengths.astype(np.uint64))
+def content_digests(blob: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """128-bit digest of each string, as two numbers; equal digests stand for equal bytes."""
+    data, ends = blob.tobytes(), np.cumsum(lengths)
+    digests = b"".join(hashlib.blake2b(data[a:b], digest_size=16).digest() for a, b in zip((ends - lengths).tolist(), ends.tolist()))
+    return np.frombuffer(digests, np.uint64).reshape(-1, 2)
 
 
-RUNS = "bucket int, keys binary, contents binary, docs binary, places binary, lengths binary, fresh binary, bytes binary"
-RUN_NAMES, RUN_KINDS = ["keys", "contents", "docs", "places", "lengths", "fresh"], [np.uint64, np.uint64, np.int64, np.int64, np.int64, np.uint8]
+RUNS = "bucket int, keys binary, high binary, low binary, docs binary, places binary, lengths binary, fresh binary, bytes binary"
+RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fresh"], [np.uint64, np.uint64, np.uint64, np.int64, np.int64, np.int64, np.uint8]
 
 
 def _runs(buckets: int, span: int):
@@ -234,17 +240,17 @@ def _runs(buckets: int, span: int):
                     continue
                 least, row, first, loops = least[chosen], row[chosen], first[chosen], loops[chosen]
                 lengths = last[chosen] - first + span
-                bucket = ((least >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int32)
+                bucket = value_bucket(least, buckets)
                 order = np.argsort(bucket, kind="stable")
                 bucket, least, row, first, lengths, loops = bucket[order], least[order], row[order], first[order], lengths[order], loops[order]
-                contents = _content_hashes(_gather(raw, first, lengths), lengths)
+                contents = content_digests(_gather(raw, first, lengths), lengths)
                 fresh = np.zeros(len(least), np.uint8)
-                fresh[np.unique(contents, return_index=True)[1]] = 1
+                fresh[np.unique(contents.view("u8,u8"), return_index=True)[1]] = 1
                 some = fresh == 1
                 blob = _gather(raw, first[some], lengths[some])
                 b_cuts = group_cuts(bucket)
                 byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths, 0))])[b_cuts]
-                arrays = [blob_rows(c, b_cuts) for c in (least, contents, ids[row], first - cuts[row], lengths, fresh + 2 * loops.astype(np.uint8))]
+                arrays = [blob_rows(c, b_cuts) for c in (least, contents[:, 0], contents[:, 1], ids[row], first - cuts[row], lengths, fresh + 2 * loops.astype(np.uint8))]
                 yield pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
 
     return run
@@ -268,7 +274,7 @@ def _covered(buckets: int, span: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
         held = list(batches)
-        keys, contents, docs, places, lengths, fresh = unpack(held, RUN_NAMES, RUN_KINDS)
+        keys, high, low, docs, places, lengths, fresh = unpack(held, RUN_NAMES, RUN_KINDS)
         (blob,) = unpack(held, ["bytes"], [np.uint8])
         del held
         if not len(keys):
@@ -277,13 +283,21 @@ def _covered(buckets: int, span: int):
         loops, fresh = fresh >= 2, fresh % 2
         some = fresh == 1
         starts[some] = np.cumsum(lengths[some]) - lengths[some]
+        order = np.lexsort((low, high))
+        new = np.ones(len(order), bool)
+        new[1:] = (high[order][1:] != high[order][:-1]) | (low[order][1:] != low[order][:-1])
+        contents = np.empty(len(order), np.int64)
+        contents[order] = np.cumsum(new)
+        del high, low, new
         order = np.lexsort((1 - fresh, contents))
         text_at = starts[order][group_cuts(contents[order])[:-1]]  # one copy of each content
         order = np.lexsort((places, docs, contents))
         contents, docs, places, lengths, keys, loops = contents[order], docs[order], places[order], lengths[order], keys[order], loops[order]
-        head = group_cuts(contents)[:-1]
-        later = np.ones(len(contents), bool)
-        later[head] = False
+        cuts = group_cuts(contents)
+        head = cuts[:-1]
+        first = np.repeat(head, np.diff(cuts))
+        # rows that repeat a document hold its strings at the same places: no string is earlier than itself
+        later = (docs != docs[first]) | (places != places[first])
         out_docs, out_starts, out_ends = [docs[later]], [places[later]], [places[later] + lengths[later]]
         # a value with one content needs no merge, unless that content may repeat within itself
         key, count = np.unique(keys[head], return_counts=True)
@@ -337,7 +351,7 @@ def _cut(with_text: bool):
                 for p, c in zip(parts, unpack([batch.filter(pa.array(known))], ["docs", "starts", "ends"], [np.int64] * 3)):
                     p.append(c)
             if not known.all():
-                texts.append(batch.filter(pa.array(~known)).select(["doc_id", "text"]))
+                texts.append(batch.filter(pa.array(~known)).select(["doc_id", "own_id", "text"]))
         docs, starts, ends = map(np.concatenate, parts)
         order = np.argsort(docs, kind="stable")
         docs, starts, ends = docs[order], starts[order], ends[order]
@@ -357,7 +371,7 @@ def _cut(with_text: bool):
                     rows.append((len(text), len(text) - len(kept), len(a), hashlib.sha256(kept).hexdigest(), a.tolist() if with_text else None, b.tolist() if with_text else None, kept if with_text else None))
                 columns = list(zip(*rows))
                 kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary()]
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), *[pa.array(c, k) for c, k in zip(columns, kinds)]], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "span_starts", "span_ends", "kept_bytes"])
+                yield pa.RecordBatch.from_arrays([part.column("own_id"), *[pa.array(c, k) for c, k in zip(columns, kinds)]], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "span_starts", "span_ends", "kept_bytes"])
 
     return run
 
@@ -367,27 +381,29 @@ def remove_repeats(docs: DataFrame, span: int = SPAN, with_text: bool = False) -
 
     Returns doc_id, n_bytes, n_removed, n_spans, kept_sha256, and with_text also span_starts,
     span_ends, kept_bytes. Earlier is a smaller doc_id or an earlier start in the same
-    document; strings are judged on the input. Null texts are empty. Rows with a null doc_id
-    come after all others and share one id; rows that repeat a doc_id are judged by their
-    places as one document. span is even.
+    document; strings are judged on the input. Null texts are empty. Rows that repeat a doc_id
+    are one document: a string at the same place in two of them is one string, and is not
+    earlier than itself. Rows with a null doc_id come after all others (doc_ids are below 2^62),
+    in an order fixed by their texts; those with equal texts are one document. span is even.
     """
     spark = docs.sparkSession
-    last = 0x7FFFFFFFFFFFFFFF
-    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(last)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    unnamed = F.lit(1 << 62).bitwiseOR(F.xxhash64("text").bitwiseAND(F.lit((1 << 62) - 1)))
+    rows = docs.select(F.col("doc_id").cast("long").alias("own_id"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = rows.select(F.coalesce("own_id", unnamed).alias("doc_id"), "own_id", "text")
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     by_value, by_doc = bucket_count(spark, size // 32, BUCKET_VALUES), bucket_count(spark, size, BUCKET_BYTES)
     values = rows.mapInArrow(_values(by_value, span), "bucket int, keys binary, docs binary").repartition(by_value, "bucket")
     wanted = stage(values.mapInArrow(_repeated_values(by_doc), "bucket int, docs binary, keys binary"), "repeated", "lz4")
     del values
     release(spark)
-    texts = rows.select(F.pmod("doc_id", F.lit(by_doc)).cast("int").alias("bucket"), "doc_id", "text")
+    texts = rows.select(F.pmod("doc_id", F.lit(by_doc)).cast("int").alias("bucket"), "doc_id", "own_id", "text")
     nothing = lambda *names: [F.lit(None).cast("binary").alias(n) for n in names]
-    met = texts.select("bucket", "doc_id", "text", *nothing("docs", "keys")).union(wanted.select("bucket", F.lit(None).cast("long"), F.lit(None).cast("string"), "docs", "keys"))
+    no_text = [F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("long").alias("own_id"), F.lit(None).cast("string").alias("text")]
+    met = texts.select("bucket", "doc_id", "own_id", "text", *nothing("docs", "keys")).union(wanted.select("bucket", *no_text, "docs", "keys"))
     runs = met.repartition(by_doc, "bucket").mapInArrow(_runs(by_value, span), RUNS).repartition(by_value, "bucket")
     ranges = stage(runs.mapInArrow(_covered(by_doc, span), "bucket int, docs binary, starts binary, ends binary"), "ranges", "lz4")
     del met, runs
     release(spark)
-    met = texts.select("bucket", "doc_id", "text", *nothing("docs", "starts", "ends")).union(ranges.select("bucket", F.lit(None).cast("long"), F.lit(None).cast("string"), "docs", "starts", "ends"))
+    met = texts.select("bucket", "doc_id", "own_id", "text", *nothing("docs", "starts", "ends")).union(ranges.select("bucket", *no_text, "docs", "starts", "ends"))
     out = met.repartition(by_doc, "bucket").mapInArrow(_cut(with_text), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, span_starts array<long>, span_ends array<long>, kept_bytes binary")
-    columns = ["n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["span_starts", "span_ends", "kept_bytes"] * with_text
-    return out.select(F.nullif("doc_id", F.lit(last)).alias("doc_id"), *columns)
+    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *["span_starts", "span_ends", "kept_bytes"] * with_text)

@@ -100,6 +100,20 @@ def test_substring_removal(docs, empty):
     assert substrings.remove_repeats(docs).count() == docs.count() and substrings.remove_repeats(empty).isEmpty()
 
 
+def test_strings_are_not_earlier_than_themselves(spark):
+    """Rows that repeat a document, and rows without an id, lose no text that is found nowhere else."""
+    rng = random.Random(3)
+    text = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    t, u, v = text(300), text(250), text(400)
+    rows = [(1, t), (1, t), (None, u), (None, u), (3, v), (3, v), (5, text(150) + v[100:350]), (None, v[:200] + text(80)), (9, None), (None, None)]
+    got = substrings.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), with_text=True).collect()
+    found = sorted((r.doc_id or 99, r.n_bytes, r.n_removed) for r in got)
+    assert found == sorted([(1, 300, 0)] * 2 + [(99, 250, 0)] * 2 + [(3, 400, 0)] * 2 + [(5, 400, 250), (99, 280, 200), (9, 0, 0), (99, 0, 0)])
+    hot = [(k, f"{text(120)}{t}{text(120)}") for k in range(60)]
+    got = substrings.remove_repeats(spark.createDataFrame(hot, "doc_id long, text string").repartition(4)).collect()
+    assert sorted((r.doc_id, r.n_removed >= 300) for r in got) == [(k, k > 0) for k in range(60)]
+
+
 def test_merged_shards_agree_with_one_sort():
     rng = np.random.default_rng(2)
     lengths = np.full(30, 150)
