@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -425,6 +426,38 @@ def test_top_products(spark):
     assert pivots.top_products(df.filter("vec_id in (50, 51)")).count() == 1
 
 
+def plain_top(use, k=5, every=50):
+    """{(query, rank): (id, product)} by brute force over (id, whole numbers); the smallest vector of a repeated query id counts."""
+    queries = {}
+    for i, v in use:
+        if i % every == 0:
+            queries[i] = min(queries.get(i, v), v)
+    out = {}
+    for i, q in queries.items():
+        for rank, (score, j) in enumerate(sorted((-sum(a * b for a, b in zip(q, v)), j) for j, v in use if j != i)[:k], 1):
+            out[i, rank] = (j, -score)
+    return out
+
+
+def test_top_products_in_many_chunks(spark):
+    """Clusters, ties, small chunks, blocks and rings; other lengths, empty vectors, ids that repeat, columns of the same names."""
+    rng = np.random.default_rng(16)
+    centres = rng.normal(size=(5, 7)) * 4
+    rows = [(int(i), (centres[i % 5] + rng.normal(size=7) * 0.3).tolist()) for i in range(-50, 450)]
+    rows += [(100, [0.5] * 7), (100, [0.25] * 7), (100, [0.25] * 7), (1000, []), (1050, [1.0, 2.0]), (1100, [9.0] * 8), (1101, [1.0] * 8)]
+    rows += [(k, centres[0].tolist()) for k in range(2000, 2012)]
+    names = ["id", "x", "cell", "chunk", "block", "floor", "tag"]
+    df = spark.createDataFrame([(i, v, *["clash"] * len(names)) for i, v in rows], "vec_id long, embedding array<double>, " + ", ".join(f"{n} string" for n in names))
+    use = [(i, [math.floor(256 * x) for x in v]) for i, v in rows if len(v) == 7]
+    for options in ({}, {"pivots": 6, "chunk": 16, "block": 3, "ring": 4}):
+        got = {(r.query_id, r.rank): (r.vec_id, r.score) for r in pivots.top_products(df, **options).collect()}
+        assert got == plain_top(use)
+    large = [(k, [float(v) for v in rng.integers(-(2**21), 2**21, 3)]) for k in range(40)]
+    table = spark.createDataFrame(large, "vec_id long, embedding array<double>")
+    got = {(r.query_id, r.rank): (r.vec_id, r.score) for r in pivots.top_products(table, every=10, chunk=8).collect()}
+    assert got == plain_top([(i, [math.floor(256 * x) for x in v]) for i, v in large], every=10)
+
+
 def test_warc_round_trip(spark, tmp_path):
     long = "<html>" + "é" * 200 + "\r\n\r\nWARC/1.1\r\n</html>"
     rows = [(1, "http://a/", long, "x"), (2, "http://b/\r\nInjected: yes", long, "x"), (3, None, None, "x"), (4, "http://c/", "", "x"), (5, "http://d/", "short", "x"), (6, "http://e/", "short", "x"), (7, "http://f/", "y" * 100, "x"), (7, "http://f/", "y" * 100, "x"), (8, "http://g/", "y" * 100, "x"), (None, "http://h/", long, "x")]
