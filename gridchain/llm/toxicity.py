@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.learning import BoostedTrees, IsotonicSteps, crc_of_id, labelled_sample
-from gridchain.llm.shared import binary_array, forget, mix64, stage, text_slices
+from gridchain.llm.shared import binary_array, forget, mix64, stage, text_slices, tidy
 from gridchain.llm.words import LOWER, Words, distinct_sets
 
 #: Insults that need no training.
@@ -81,36 +81,52 @@ class KeySet:
         return maybe[right], at[right]
 
 
+@tidy
 def _lexicon_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Documents by label for each token of the training texts, summed within the batch."""
+    """Documents by fold and label for each token of the training texts, summed within the batch."""
     for batch in batches:
         for part in text_slices(batch, "text"):
-            labels = np.asarray(part.column("label"))
+            labels, folds = np.asarray(part.column("label")), np.asarray(part.column("fold"))
             plain = Words(_stripped(Words(part.column("text")), LOWER))
             tokens = list(_tokens(plain))
             hashes, owners = np.concatenate(tokens), np.tile(plain.docs, len(tokens))
             hashes, cuts = distinct_sets(hashes[hashes != 0], owners[hashes != 0], plain.rows)
-            marks = np.repeat(labels, np.diff(cuts))
-            keys, place = np.unique(hashes, return_inverse=True)
-            bad = np.bincount(place, marks, len(keys)).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(bad), pa.array(np.bincount(place, minlength=len(keys)).astype(np.int64) - bad)], ["token", "bad", "good"])
-
-
-def learn_lexicon(train: DataFrame, size: int = MAX_LEXICON) -> tuple[KeySet, np.ndarray]:
-    """Tokens far commoner in toxic texts, with their log odds; at most `size`, by likelihood ratio."""
-    n = train.agg(F.sum("label"), F.count(F.lit(1))).first()
-    bad_docs, good_docs = int(n[0] or 0), int(n[1]) - int(n[0] or 0)
-    if not bad_docs or not good_docs:
-        return KeySet(np.zeros(0, np.uint64)), np.zeros(0)
-    counts = train.select("text", "label").mapInArrow(_lexicon_counts, "token long, bad long, good long").groupBy("token").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good"))
-    odds = F.log((F.col("bad") + 0.5) / (bad_docs + 1.0)) - F.log((F.col("good") + 0.5) / (good_docs + 1.0))
-    seen = F.col("bad") + F.col("good")
-    expected = seen * (bad_docs / (bad_docs + good_docs))
-    ratio = 2 * (F.col("bad") * F.log(F.col("bad") / expected) + F.when(F.col("good") > 0, F.col("good") * F.log(F.col("good") / (seen - expected))).otherwise(0.0))
-    rows = counts.filter("bad >= 3").select("token", odds.alias("odds"), ratio.alias("ratio")).filter("odds > 1.5 and ratio > 12").orderBy(F.desc("ratio"), "token").limit(size).collect()
-    keys = np.array([r["token"] for r in rows], np.int64).view(np.uint64)
-    order = np.argsort(keys)
-    return KeySet(keys[order]), np.array([r["odds"] for r in rows], float)[order]
+            mark = np.repeat(labels + 2 * folds, np.diff(cuts))
+            order = np.lexsort((mark, hashes))
+            hashes, mark = hashes[order], mark[order]
+            new = np.ones(len(hashes), bool)
+            new[1:] = (hashes[1:] != hashes[:-1]) | (mark[1:] != mark[:-1])
+            first = np.flatnonzero(new)
+            docs = np.diff(np.append(first, len(hashes)))
+            yield pa.RecordBatch.from_arrays([pa.array(hashes[first].view(np.int64)), pa.array((mark[first] // 2).astype(np.int32)), pa.array((mark[first] % 2).astype(np.int32)), pa.array(docs)], ["token", "fold", "label", "docs"])
+
+
+def learn_lexicons(train: DataFrame, folds: int, size: int = MAX_LEXICON) -> list[tuple[KeySet, np.ndarray]]:
+    """Tokens far commoner in toxic texts, with their log odds; at most `size`, by likelihood ratio.
+
+    The first lexicon is learned from all rows (text, label, fold); number k + 1 from those that are not of fold k.
+    """
+    totals = {(r["fold"], r["label"]): r["count"] for r in train.groupBy("fold", "label").count().collect()}  # two rows a fold
+    cells = train.select("text", "label", "fold").mapInArrow(_lexicon_counts, "token long, fold int, label int, docs long")
+    fits = [None, *range(folds)]
+    sums = [F.sum(F.when((F.col("label") == y) & ((F.col("fold") != k) if k is not None else F.lit(True)), F.col("docs")).otherwise(0)).alias(f"{name}{at}") for at, k in enumerate(fits) for y, name in ((1, "bad"), (0, "good"))]
+    counts = stage(cells.groupBy("token").agg(*sums).filter("bad0 >= 3"), "tokens")
+    out = []
+    for at, k in enumerate(fits):
+        bad_docs, good_docs = (sum(n for (fold, label), n in totals.items() if label == y and fold != k) for y in (1, 0))
+        if not bad_docs or not good_docs:
+            out.append((KeySet(np.zeros(0, np.uint64)), np.zeros(0)))
+            continue
+        bad, good = F.col(f"bad{at}"), F.col(f"good{at}")
+        odds = F.log((bad + 0.5) / (bad_docs + 1.0)) - F.log((good + 0.5) / (good_docs + 1.0))
+        seen = bad + good
+        expected = seen * (bad_docs / (bad_docs + good_docs))
+        ratio = 2 * (bad * F.log(bad / expected) + F.when(good > 0, good * F.log(good / (seen - expected))).otherwise(0.0))
+        rows = counts.filter(bad >= 3).select("token", odds.alias("odds"), ratio.alias("ratio")).filter("odds > 1.5 and ratio > 12").orderBy(F.desc("ratio"), "token").limit(size).collect()
+        keys = np.array([r["token"] for r in rows], np.int64).view(np.uint64)
+        order = np.argsort(keys)
+        out.append((KeySet(keys[order]), np.array([r["odds"] for r in rows], float)[order]))
+    return out
 
 
 def _lexicon_hits(w: Words, table: np.ndarray, lexicon: tuple[KeySet, np.ndarray], second: bool) -> tuple[list[np.ndarray], np.ndarray]:
@@ -177,14 +193,16 @@ def toxicity_features(column: pa.Array, lexicon: tuple[KeySet, np.ndarray]) -> n
 _SEED, _SECOND = KeySet(word_hashes(SEED_WORDS)), KeySet(word_hashes(SECOND_PERSON))
 
 
-def _feature_rows(lexicon):
+def _feature_rows(lexicons):
+    """The features of each training row under each lexicon."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in text_slices(batch, "text"):
-                x = toxicity_features(part.column("text"), lexicon)
-                yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), part.column("label").cast(pa.int32()), binary_array([r.tobytes() for r in x])], ["doc_id", "label", "x"])
+                x = np.stack([toxicity_features(part.column("text"), lexicon) for lexicon in lexicons], axis=1)
+                yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), part.column("label").cast(pa.int32()), part.column("fold"), binary_array([r.tobytes() for r in x])], ["doc_id", "label", "fold", "x"])
 
-    return run
+    return tidy(run)
 
 
 class ToxicityModel:
@@ -204,23 +222,27 @@ class ToxicityModel:
 def fit_toxicity(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, folds: int = 3) -> ToxicityModel:
     """Fit on at most max_train labelled rows whose crc32(doc_id as text) mod 4 is not 2.
 
-    The calibration is fitted on scores that each row got from trees fitted without it.
+    The calibration is fitted on scores that each row got from a lexicon and trees learned without its fold.
     """
-    train = stage(labelled_sample(docs, labels, "toxic", crc_of_id() % 4 != 2, max_train), "toxic-train")
-    lexicon = learn_lexicon(train)
-    rows = train.mapInArrow(_feature_rows(lexicon), "doc_id long, label int, x binary").toPandas().sort_values("doc_id", kind="stable")
-    y = rows["label"].to_numpy(float)
+    train = labelled_sample(docs, labels, "toxic", crc_of_id() % 4 != 2, max_train)
+    train = stage(train.withColumn("fold", F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(folds)).cast("int")), "toxic-train")
+    lexicons = learn_lexicons(train, folds)
+    rows = train.mapInArrow(_feature_rows(lexicons), "doc_id long, label int, fold int, x binary").toPandas().sort_values(["doc_id", "label"], kind="stable")
+    y, fold = rows["label"].to_numpy(float), rows["fold"].to_numpy()
     if not len(y) or y.min() == y.max():
-        return ToxicityModel(lexicon, None, None)
-    x = np.stack([np.frombuffer(b, float) for b in rows["x"]])
-    fold = np.arange(len(y)) % folds
-    raw = np.zeros(len(y))
+        return ToxicityModel(lexicons[0], None, None)
+    x = np.stack([np.frombuffer(b, float) for b in rows["x"]]).reshape(len(y), folds + 1, -1)
+    raw, scored = np.zeros(len(y)), np.zeros(len(y), bool)
     for k in range(folds):
         inside = fold != k
-        if y[inside].min() == y[inside].max():
+        if inside.all() or not inside.any() or y[inside].min() == y[inside].max():
             continue
-        raw[~inside] = BoostedTrees().fit(x[inside], y[inside]).raw(x[~inside])
-    return ToxicityModel(lexicon, BoostedTrees().fit(x, y), IsotonicSteps().fit(raw, y))
+        raw[~inside] = BoostedTrees().fit(x[inside, k + 1], y[inside]).raw(x[~inside, k + 1])
+        scored |= ~inside
+    trees = BoostedTrees().fit(x[:, 0], y)
+    # too few rows for folds: the trees' own scores are all there is
+    steps = IsotonicSteps().fit(raw[scored], y[scored]) if scored.any() else IsotonicSteps().fit(trees.raw(x[:, 0]), y)
+    return ToxicityModel(lexicons[0], trees, steps)
 
 
 def _scored(model: ToxicityModel, threshold: float):
@@ -230,7 +252,7 @@ def _scored(model: ToxicityModel, threshold: float):
                 score = model.score(part.column("text"))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), part.column("held_out"), pa.array(score), pa.array((score >= threshold).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
-    return run
+    return tidy(run)
 
 
 def toxicity_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, max_train: int = MAX_TRAIN) -> DataFrame:
@@ -251,7 +273,7 @@ def _accepted(model: ToxicityModel, threshold: float):
             for part in text_slices(batch, "text"):
                 yield part.filter(pa.array(model.score(part.column("text")) < threshold))
 
-    return run
+    return tidy(run)
 
 
 def keep_harmless(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, max_train: int = MAX_TRAIN) -> DataFrame:
