@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.charclasses import TOP, outside, probe
-from gridchain.llm.shared import CACHES, binary_array, stage, text_slices
+from gridchain.llm.shared import CACHES, binary_array, stage, text_slices, tidy
 
 CAPACITY = 4096
 #: Share of the capacity from which a bin is final.
@@ -147,7 +147,7 @@ def _first_round(path: str, end: int, capacity: int, nearly: float):
         pieces = np.concatenate(held)
         yield from _bins(pieces["length"].astype(np.int64), [pieces[i : i + 1] for i in range(len(pieces))], capacity, nearly, False)
 
-    return run
+    return tidy(run)
 
 
 def _next_round(capacity: int, nearly: float, last: bool):
@@ -158,9 +158,10 @@ def _next_round(capacity: int, nearly: float, last: bool):
             members += [np.frombuffer(b, PIECE) for b in batch.column("pieces").to_pylist()]
         yield from _bins(np.array(fill, np.int64), members, capacity, nearly, last)
 
-    return run
+    return tidy(run)
 
 
+@tidy
 def _unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         blobs = batch.column("pieces").to_pylist()

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.linkage import bucket_links
-from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, unpack
+from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, tidy, unpack
 from gridchain.llm.words import Words, distinct_sets, group_shingles, sliding
 
 #: Shortest paragraph that is compared, in words; shorter lines are joined.
@@ -144,7 +144,7 @@ def _listed(least: int):
                 at = pa.array(u.doc)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").take(at), part.column("copy").take(at), pa.array(u.start.astype(np.int32)), pa.array(u.n.astype(np.int32)), pa.array(u.node)], ["doc_id", "copy", "word", "n", "node"])
 
-    return run
+    return tidy(run)
 
 
 def signatures(tokens: np.ndarray, cuts: np.ndarray, hashes: int, seed: int = 1) -> np.ndarray:
@@ -190,9 +190,10 @@ def _banded(least: int, bands: int, rows: int, buckets: int):
                     yield from packer.add((key >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32), key.astype(np.uint32), nodes)
         yield from packer.flush()
 
-    return run
+    return tidy(run)
 
 
+@tidy
 def _colliding(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Nodes of the keys that more than one node has, bucket by bucket."""
     held: dict[int, list[pa.RecordBatch]] = {}
@@ -223,7 +224,7 @@ def _chosen_sets(least: int):
                 rows = [place[d, n] for d, wanted in enumerate(part.column("wanted").to_pylist()) for n in wanted if (d, n) in place]
                 yield pa.RecordBatch.from_arrays([pa.array(u.node[rows]), pa.array(np.diff(u.cuts)[rows]), binary_array([u.tokens[u.cuts[i] : u.cuts[i + 1]].tobytes() for i in rows])], ["node", "n", "tokens"])
 
-    return run
+    return tidy(run)
 
 
 def _similar(percent: int):
@@ -239,7 +240,7 @@ def _similar(percent: int):
                 keep[i] = 100 * common >= percent * (sizes[i] - common)
             yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(keep)), batch.column("b").filter(pa.array(keep))], ["a", "b"])
 
-    return run
+    return tidy(run)
 
 
 def _known(docs: DataFrame) -> DataFrame:
@@ -356,7 +357,7 @@ def _cut(least: int):
                 others = [c for c in part.schema.names if c not in ("__text", "__units")]
                 yield pa.RecordBatch.from_arrays([*[part.column(part.schema.get_field_index(c)) for c in others], *made], [*others, *[f"__{c}" for c in CUT_COLUMNS]])
 
-    return run
+    return tidy(run)
 
 
 def without_repeats(docs: DataFrame, least_run: int = LEAST_RUN, **options) -> DataFrame:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import binary_array, partitions, stage
+from gridchain.llm.shared import binary_array, partitions, stage, tidy
 
 #: Fewest and most pivots (between, one for each 16 of the root of the number of vectors), and sampled vectors for each.
 PIVOTS, SAMPLE = (64, 1024), 64
@@ -82,7 +82,7 @@ def _keyed(pivots: np.ndarray, top: float, query: bool) -> Callable:
                 cell = d.argmin(1)
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array(cell.astype(np.int32)), pa.array(d[np.arange(len(x)), cell]), part.column("x")], ["id", "cell", "radius", "x"])
 
-    return run
+    return tidy(run)
 
 
 def _packed(size: int, width: int, whole_cells: bool) -> Callable:
@@ -124,7 +124,7 @@ def _packed(size: int, width: int, whole_cells: bool) -> Callable:
         if count:
             yield close()
 
-    return run
+    return tidy(run)
 
 
 class _Chunk:
@@ -194,7 +194,7 @@ def _met(pivots: np.ndarray, top: float, k: int, ring: int, seed: bool) -> Calla
                 q, place = np.nonzero(best > NEVER)
                 yield pa.RecordBatch.from_arrays([pa.array(own[q]), pa.array(ids[q, place]), pa.array(best[q, place])], ["query_id", "vec_id", "score"])
 
-    return run
+    return tidy(run)
 
 
 def _reaches(pivots: np.ndarray, top: float) -> Callable:
@@ -212,7 +212,7 @@ def _reaches(pivots: np.ndarray, top: float) -> Callable:
                 low, high = (d - ball).min(0), (d + ball).max(0)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(cells, batch.column("block")[at].as_py())), pa.array(np.arange(cells, dtype=np.int32)), pa.array(low), pa.array(high)], ["block", "cell", "from", "to"])
 
-    return run
+    return tidy(run)
 
 
 def _meet(chunks: DataFrame, blocks: DataFrame, pairs: DataFrame, kernel: Callable, schema: str) -> DataFrame:

@@ -6,15 +6,17 @@ for each (flush, bucket), so a shuffle of 10^8 values costs 10^4 rows.
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import math
-import uuid
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
-from gridchain.sources.scratch import scratch_dir
+from gridchain.sources.scratch import delete, scratch_path
 
 #: Bytes of text that one NumPy step handles at a time; a longer text is a step of its own.
 SLICE_BYTES = 1 << 19
@@ -22,16 +24,37 @@ SLICE_BYTES = 1 << 19
 
 #: Functions that empty what this Python worker remembers between tasks.
 CACHES: list = []
+try:
+    _libc = ctypes.CDLL("libc.so.6")
+    _libc.malloc_trim
+except (OSError, AttributeError):  # another C library
+    _libc = None
 
 
 def forget() -> None:
     """Empty all caches, before work that needs the memory."""
     for clear in CACHES:
         clear()
+    trim()
 
 
-def scratch_path(spark: SparkSession, tag: str) -> str:
-    return f"{scratch_dir(spark)}/gridchain/{tag}-{uuid.uuid4().hex}"
+def trim() -> None:
+    """Give freed memory back to the system; a worker that waits for its next task would keep it."""
+    pa.default_memory_pool().release_unused()
+    if _libc is not None:
+        _libc.malloc_trim(0)
+
+
+def tidy(run: Callable) -> Callable:
+    """A batch function that leaves no freed memory behind."""
+
+    @functools.wraps(run)
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trim()
+        yield from run(batches)
+        trim()
+
+    return wrapped
 
 
 def stage(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
@@ -45,9 +68,7 @@ def stage(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
 
 def unstage(df: DataFrame) -> None:
     """Delete a staged table that no later plan reads."""
-    spark = df.sparkSession
-    path = spark._jvm.org.apache.hadoop.fs.Path(df._gridchain_path)
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    delete(df.sparkSession, df._gridchain_path)
 
 
 def partitions(spark: SparkSession) -> int:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import Packer, blob_rows, bucket_count, forget, group_cuts, mix64, release, stage, text_bytes, text_slices, unpack
+from gridchain.llm.shared import Packer, blob_rows, bucket_count, forget, group_cuts, mix64, release, stage, text_bytes, text_slices, tidy, unpack
 from gridchain.llm.words import _powers, sliding
 
 SPAN = 100
@@ -173,7 +173,7 @@ def _values(buckets: int, span: int):
                 yield from packer.add(value_bucket(least, buckets), least, ids[row])
         yield from packer.flush()
 
-    return run
+    return tidy(run)
 
 
 def _repeated_values(buckets: int):
@@ -194,7 +194,7 @@ def _repeated_values(buckets: int):
             yield from packer.add(docs[s].view(np.uint64) % np.uint64(buckets), docs[s], keys[s])
         yield from packer.flush()
 
-    return run
+    return tidy(run)
 
 
 def _gather(raw: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
@@ -253,7 +253,7 @@ def _runs(buckets: int, span: int):
                 arrays = [blob_rows(c, b_cuts) for c in (least, contents[:, 0], contents[:, 1], ids[row], first - cuts[row], lengths, fresh + 2 * loops.astype(np.uint8))]
                 yield pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
 
-    return run
+    return tidy(run)
 
 
 def key_batches(keys: np.ndarray, sizes: np.ndarray, limit: int) -> list[tuple[int, int]]:
@@ -329,7 +329,7 @@ def _covered(buckets: int, span: int):
             yield from packer.add(d[z].view(np.uint64) % np.uint64(buckets), d[z], s[z], e[z])
         yield from packer.flush()
 
-    return run
+    return tidy(run)
 
 
 def merge_ranges(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -373,7 +373,7 @@ def _cut(with_text: bool):
                 kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary()]
                 yield pa.RecordBatch.from_arrays([part.column("own_id"), *[pa.array(c, k) for c, k in zip(columns, kinds)]], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "span_starts", "span_ends", "kept_bytes"])
 
-    return run
+    return tidy(run)
 
 
 def remove_repeats(docs: DataFrame, span: int = SPAN, with_text: bool = False) -> DataFrame:

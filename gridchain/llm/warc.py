@@ -18,7 +18,7 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import scratch_path
+from gridchain.llm.shared import scratch_path, tidy
 
 #: Payloads below this size are always stored in full.
 LEAST_REVISIT = 100
@@ -145,7 +145,7 @@ def _write_monolith(folder: str, roll: int, level: int):
         close()
         yield pa.RecordBatch.from_arrays([pa.array([f"{folder}/{n}" for n in names], pa.string())], ["file"])
 
-    return run
+    return tidy(run)
 
 
 def _normalise_files(folder: str):
@@ -158,7 +158,7 @@ def _normalise_files(folder: str):
                 count = normalise(source, target)
                 yield pa.RecordBatch.from_arrays([pa.array([source]), pa.array([target]), pa.array([count], pa.int64())], ["source", "file", "records"])
 
-    return run
+    return tidy(run)
 
 
 def read_archives(files: DataFrame) -> DataFrame:
