@@ -102,3 +102,10 @@ def to_row_map(s: DataFrame) -> DataFrame:
 
 def from_row_map(d: DataFrame) -> DataFrame:
     return d.select("i", F.explode("row").alias("j", "v"))
+
+
+def max_error(got: DataFrame, want: DataFrame) -> DataFrame:
+    """One row: largest absolute and relative difference of two long matrices (id, k, x), and cells that only one has."""
+    both = got.select("id", "k", F.col("x").alias("p")).join(want.select("id", "k", F.col("x").alias("q")), ["id", "k"], "full")
+    away = F.abs(F.col("p") - F.col("q"))
+    return both.agg(F.max(away).alias("largest"), F.max(F.when(away > 0, away / F.greatest(F.abs("p"), F.abs("q"))).otherwise(0.0)).alias("relative"), F.count_if(F.col("p").isNull() | F.col("q").isNull()).alias("missing"))

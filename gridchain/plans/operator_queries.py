@@ -95,7 +95,11 @@ add("op_join_anti_missing", "SELECT o_orderkey FROM orders WHERE o_orderkey NOT
 add("op_join_cross_small", "SELECT r_name, n_name FROM region, nation")(lambda s, d: tables.table(s, d, "region", ["r_name"]).crossJoin(F.broadcast(tables.table(s, d, "nation", ["n_name"]))))
 
 
-@add("op_join_range_blocks", "WITH b AS (SELECT unnest(range(8)) AS block), e AS (SELECT block, block * 250 AS low, block * 250 + 250 AS high FROM b) SELECT p_partkey, block FROM part JOIN e ON p_partkey >= low AND p_partkey < high")
+_RANGE = """WITH k AS (SELECT min(p_partkey) // 250 AS low, max(p_partkey) // 250 AS high FROM part), b AS (SELECT unnest(range(low, high + 1)) AS block FROM k)
+SELECT p_partkey, block FROM part JOIN b ON p_partkey >= block * 250 AND p_partkey < block * 250 + 250"""
+
+
+@add("op_join_range_blocks", _RANGE)
 def _range(s, d):
     """Blocks of 250 keys from the least to the greatest key; a wider band as equal key leaves each part few blocks to try."""
     parts = tables.table(s, d, "part", ["p_partkey"])

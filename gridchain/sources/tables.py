@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from gridchain.operators.matrix import as_dense, as_sparse
 from gridchain.plans.grid import Grid, place_sparse
+from gridchain.sources.scratch import stored
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None) -> DataFrame:
@@ -33,9 +34,21 @@ def user_key(spark: SparkSession, sf_dir: str) -> DataFrame:
     return as_sparse(events.filter("k is not null"), "user_id", "k", F.lit(1.0))
 
 
+def numbered(df: DataFrame, *order) -> DataFrame:
+    """df with `number`: 0, 1, ... in the given order of all rows, without a window over them in one task.
+
+    Rows are dealt in ranges and numbered within; each range adds the rows before it (one number for each range).
+    """
+    ranged = stored(df.repartitionByRange(*order).withColumn("part", F.spark_partition_id()), "numbered")
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = ranged.groupBy("part").agg(F.count(F.lit(1)).alias("rows")).select("part", F.coalesce(F.sum("rows").over(before), F.lit(0)).alias("offset"))
+    inside = F.row_number().over(Window.partitionBy("part").orderBy(*order)) - 1
+    return ranged.withColumn("inside", inside).join(offsets, "part").withColumn("number", (F.col("inside") + F.col("offset")).cast("bigint")).drop("part", "inside", "offset")
+
+
 def user_type(spark: SparkSession, sf_dir: str) -> DataFrame:
     events = table(spark, sf_dir, "events", ["user_id", "event_type"])
-    names = events.select("event_type").distinct().withColumn("j", F.row_number().over(Window.orderBy("event_type")) - 1)
+    names = numbered(events.select("event_type").distinct(), "event_type").withColumnRenamed("number", "j")
     return as_sparse(events.join(names, "event_type"), "user_id", "j", F.lit(1.0))
 
 
@@ -48,7 +61,7 @@ def doc_word(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Document by word counts; word ids by falling count, then word."""
     cells = words(table(spark, sf_dir, "documents", ["doc_id", "text"])).groupBy("doc_id", "word").agg(F.count(F.lit(1)).alias("v"))
     totals = cells.groupBy("word").agg(F.sum("v").alias("total"))
-    ids = totals.withColumn("j", F.row_number().over(Window.orderBy(F.desc("total"), "word")) - 1).select("word", "j")
+    ids = numbered(totals, F.desc("total"), "word").select("word", F.col("number").alias("j"))
     return as_sparse(cells.join(ids, "word"), "doc_id", "j", "v")
 
 
@@ -60,7 +73,7 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def page_link(spark: SparkSession, sf_dir: str) -> DataFrame:
     links = page_links(spark, sf_dir)
-    ids = links.select("target").distinct().withColumn("j", F.row_number().over(Window.orderBy("target")) - 1)
+    ids = numbered(links.select("target").distinct(), "target").withColumnRenamed("number", "j")
     return as_sparse(links.join(ids, "target"), "page_id", "j", "v")
 
 

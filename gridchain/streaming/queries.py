@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,7 +9,7 @@ from pyspark.sql import functions as F
 
 from gridchain.functions.vectors import dot, scale
 from gridchain.operators.kernels import summed
-from gridchain.sources.scratch import scratch_dir
+from gridchain.sources.scratch import scratch_path
 from gridchain.sources.tables import lattice_value
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -29,7 +28,7 @@ def add(name: str, sql: str | None = None):
 
 
 def _folder(spark: SparkSession) -> str:
-    return f"{scratch_dir(spark)}/gridchain/stream-{uuid.uuid4().hex}"
+    return scratch_path(spark, "stream")
 
 
 def source(spark: SparkSession, path: str, files: int | None = None) -> DataFrame:

@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from gridchain.operators import baselines, chain, kernels, station
-from gridchain.operators.matrix import densify, from_long, from_row_map, stats, to_long, to_row_map, transpose, validate_dense, validate_sparse
+from gridchain.operators.matrix import densify, from_long, from_row_map, max_error, stats, to_long, to_row_map, transpose, validate_dense, validate_sparse
 from gridchain.plans import cost
 from gridchain.plans.cost import VARIANTS
 from gridchain.plans.grid import Grid, place_left, place_right, place_sparse
@@ -266,3 +266,14 @@ def test_kernels_with_missing_rows_and_empty_sides(operands, spark):
     assert got == {(r.i, r.j): r.v for r in kernels.masked_product(s, a, some).collect()}
     nothing = s.filter("false")
     assert chain.chain_left(nothing, a, b, grid, "reuse").isEmpty() and chain.masked(s, a, b.filter("false"), grid).isEmpty()
+
+
+def test_numbers_and_errors(spark):
+    rows = spark.createDataFrame([(k * 7 % 50, f"w{k}") for k in range(50)], "total long, word string").repartition(6)
+    got = tables.numbered(rows, F.desc("total"), "word").collect()
+    assert {r.number: r.total for r in got} == {k: 49 - k for k in range(50)}
+    one = spark.createDataFrame([(0, 0, 1.0), (1, 0, 2.0)], "id long, k long, x double")
+    other = spark.createDataFrame([(0, 0, 1.5), (2, 0, 3.0)], "id long, k long, x double")
+    row = max_error(one, other).first()
+    assert (row.largest, row.relative, row.missing) == (0.5, 0.5 / 1.5, 2)
+    assert max_error(one, one).first().largest == 0.0
