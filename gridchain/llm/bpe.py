@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from gridchain.llm.charclasses import outside, probe
-from gridchain.llm.shared import CACHES, text_slices
+from gridchain.llm.shared import CACHES, small_batches, text_slices
 
 #: Words that one worker remembers before it starts anew.
 MEMORY = 300_000
@@ -192,6 +192,7 @@ def encode_decode(docs: DataFrame, path: str, outputs: tuple[str, ...] = ("n_tok
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), *columns], ["doc_id", *outputs])
 
     schema = ", ".join(["doc_id long", *[f"{name} {OUTPUTS[name]}" for name in outputs]])
+    small_batches(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema)
 
 

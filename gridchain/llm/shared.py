@@ -22,6 +22,8 @@ from gridchain.sources.scratch import delete, scratch_path
 SLICE_BYTES = 1 << 19
 
 
+#: Rows of one Arrow batch, at most.
+BATCH_ROWS = 1000
 #: Functions that empty what this Python worker remembers between tasks.
 CACHES: list = []
 try:
@@ -57,9 +59,18 @@ def tidy(run: Callable) -> Callable:
     return wrapped
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Lower the rows of an Arrow batch to BATCH_ROWS: texts and sets are kilobytes each, and a batch is held twice while it grows, in each task."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    rows = int(spark.conf.get(name))
+    if rows <= 0 or rows > BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def stage(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
     """Write df once to the shared folder and read it back: cuts the lineage, survives lost executors."""
     spark, path = df.sparkSession, scratch_path(df.sparkSession, tag)
+    small_batches(spark)
     df.write.option("compression", codec).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._gridchain_path = path

@@ -18,7 +18,7 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridchain.llm.shared import scratch_path, tidy
+from gridchain.llm.shared import scratch_path, small_batches, tidy
 
 #: Payloads below this size are always stored in full.
 LEAST_REVISIT = 100
@@ -214,6 +214,7 @@ def archive_pages(pages: DataFrame, folder: str | None = None, roll: int = ROLL_
     """
     spark: SparkSession = pages.sparkSession
     folder = folder or scratch_path(spark, "warc")
+    small_batches(spark)
     written = with_revisits(pages).mapInArrow(_write_monolith(f"{folder}/monolith", roll, 6), "file string")
     written.write.parquet(f"{folder}/written")
     files = spark.read.schema("file string").parquet(f"{folder}/written")
