@@ -3,6 +3,7 @@
 import collections
 import hashlib
 import math
+import os
 import random
 import re
 import zlib
@@ -138,6 +139,24 @@ def test_ngram_components(docs, empty):
     assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == {i for i in sets if want[i] == i} | {None}
 
 
+def test_hot_tokens_are_spread(spark, monkeypatch):
+    """A passage that all documents hold: its tokens go to all buckets, and the components are the same."""
+    rng = random.Random(12)
+    word = lambda: f"w{rng.randrange(10**6)}"
+    common = [word() for _ in range(40)]
+    rows = [(k, " ".join(common + [word() for _ in range(rng.choice([3, 6, 30]))])) for k in range(120)]
+    table = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    sets = {i: shingles(t) for i, t in rows}
+    want = grouped(list(sets), lambda a, b: 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b]))
+    seen = ngram_join.hot_tokens
+    monkeypatch.setattr(ngram_join, "hot_tokens", lambda docs, least, size=5: seen(docs, least, size, 4))
+    tokens, held = ngram_join.hot_tokens(table, 60)
+    assert len(tokens) == 36 and (np.diff(tokens.astype(object)) > 0).all() and held.min() >= 60
+    for start in (60, 10**9):
+        got = {r.doc_id: r.component_id for r in ngram_join.ngram_components(table, hot_from=start).collect()}
+        assert got == want and 1 < len(set(want.values())) < 120
+
+
 def test_exact_rest_in_small_blocks(spark, docs):
     """Blocks of two sets give the links that leaders don't find."""
     from gridchain.llm import linkage
@@ -490,6 +509,163 @@ def test_inflate_and_broken_records():
         list(warc.split_records(iter([b"junk\r\n\r\n"])))
 
 
+def plain_quality(text):
+    """quality_features of one text, by loops."""
+    raw = (text or "").encode()
+    signs = b"#*$%&|<>@^~=+_\\/{}[]"
+    kind = lambda b: 6 if b in signs else 1 if 97 <= b <= 122 else 2 if 65 <= b <= 90 else 3 if 48 <= b <= 57 else 4 if b >= 128 else 5 if b in b".,;:!?" else 7 if b in b"\t\n\v\f\r " else 0
+    kinds = collections.Counter(kind(b) for b in raw)
+    shares = [kinds[k] / max(len(raw), 1) for k in range(8)]
+    words = [w.encode() for w in split_words(text)]
+    n = len(words)
+    if not n:
+        return shares + [0.0] * 22
+    mean = sum(map(len, words)) / n
+    spread = max(sum(len(w) ** 2 for w in words) / n - mean**2, 0) ** 0.5
+    distinct = len(set(words)) / n
+    echo = sum(a == b for a, b in zip(words, words[1:])) / n
+    windows = list(zip(words, words[1:], words[2:]))
+    again = 1 - len(set(windows)) / len(windows) if windows else 0
+    dirty = sum(any(b in signs for b in w) for w in words) / n
+    stops = sum(kind(w[-1]) == 5 for w in words) / n
+    lines = [tuple(split_words(x)) for x in text.split("\n") if split_words(x)]
+    twice = 1 - len(set(lines)) / len(lines)
+    size = math.log1p(n)
+    columns = [size, size**2, min(n, 50) / 50, mean, spread, distinct, distinct * size, echo, again, dirty, stops, twice, math.log1p(n / len(lines))]
+    return shares + columns + [x**0.5 for x in (echo, dirty, again, twice)] + [float(x) for x in (dirty > 0.2, echo > 0.2, again > 0.3, n < 20, n < 50)]
+
+
+ODD_TEXTS = [None, "", " \n", "one", "You IDIOT! you,u  st.upid m0ron WHY?? zorgish zorgling", "a a a b\nx y\nx y\n#tag $5 Été\u2003fin.", "so " * 300, "line one here\n\nline one here\nLAST line."]
+
+
+def test_quality_features_by_loops():
+    texts = [t for _, t in ROWS if len(t or "") < 4000] + ODD_TEXTS
+    got = quality.quality_features(pa.array(texts, pa.string()))
+    assert np.allclose(got, np.array([plain_quality(t) for t in texts]))
+
+
+def test_toxicity_features_by_loops():
+    """All columns against loops, for a lexicon of two words and a beginning."""
+    table = {w: o for w, o in (("zorgish", 2.0), ("why", 1.7))}
+    start = {b"zorg": 3.0}
+    hashes = toxicity.Words(pa.array([*table, *(x.decode() for x in start)])).hashes()
+    keys = np.append(hashes[:2], mix64(hashes[2:] + np.uint64(4)))
+    odds, order = np.array([2.0, 1.7, 3.0]), np.argsort(keys)
+    lexicon = (toxicity.KeySet(keys[order]), odds[order])
+    mark = {*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)}
+    signs = {ord(k): ord(v) for k, v in toxicity.DISGUISES.items()}
+    letter = lambda b: 65 <= b <= 90 or 97 <= b <= 122 or b >= 128
+
+    def plain(raw, disguise):
+        out = []
+        for w in re.split(rb"[\x20\x09-\x0D]+", raw):
+            low = bytes(b + 32 if 65 <= b <= 90 else b for b in w)
+            low = bytes(signs.get(b, b) for b in low) if disguise else low
+            out.append(bytes(b for b in low if b not in mark))
+        return [w for w in out if w]
+
+    def hit(w):
+        return w.decode() in toxicity.SEED_WORDS, table.get(w.decode(errors="replace")), start.get(w[:4]) if len(w) > 4 else None
+
+    for text in ODD_TEXTS + [t for _, t in ROWS[:12] if len(t or "") < 3000]:
+        raw = (text or "").encode()
+        words = [w.encode() for w in split_words(text)]
+        own, n, size = plain(raw, False), max(len(words), 1), max(len(raw), 1)
+        hits = [hit(w) for w in own]
+        m = max(len(own), 1)
+        seeds, whole, begun = ([x[k] for x in hits if x[k]] for k in range(3))
+        total = sum(whole) + sum(begun)
+        second = [k for k, w in enumerate(own) if w.decode(errors="replace") in toxicity.SECOND_PERSON]
+        near = sum(any(x) and any(abs(k - s) <= 5 for s in second) for k, x in enumerate(hits))
+        want = [math.log1p(len(words)), math.log1p(len(raw)), len(seeds), len(seeds) / m, min(len(whole), 50), len(whole) / m, min(len(begun), 50), len(begun) / m, 0, 0, 0, 0]
+        want += [total, total / m, max([0, *whole, *begun]), len(second) / m, near]
+        beside = [b in signs and (k > 0 and letter(raw[k - 1]) or k + 1 < len(raw) and letter(raw[k + 1])) for k, b in enumerate(raw)]
+        spots = [(x.start(), x.end()) for x in re.finditer(rb"[^\x20\x09-\x0D]+", raw)]
+        mixed = sum(any(beside[a:b]) for a, b in spots)
+        hidden = max(sum(any(hit(w)) for w in plain(raw, True)) - sum(map(any, hits)), 0) if any(beside) else 0
+        shouted = sum(len(w) >= 3 and all(65 <= b <= 90 for b in w) for w in words)
+        want += [sum(65 <= b <= 90 for b in raw) / size, shouted / n, sum(b in mark for b in raw) / size, raw.count(b"!") / size, raw.count(b"?") / size, mixed / n, hidden]
+        assert np.allclose(toxicity.toxicity_features(pa.array([text], pa.string()), lexicon)[0], want), text
+
+
+def test_learners_by_brute_force():
+    rng = np.random.default_rng(4)
+    x = rng.integers(0, 6, (80, 3)).astype(float)
+    y = ((x[:, 1] > 2) ^ (rng.random(80) < 0.1)).astype(float)
+    stump = learning.BoostedTrees(rounds=1, depth=1).fit(x, y)
+    p = np.full(80, y.mean())
+    g, h = p - y, p * (1 - p)
+    score = lambda k: g[k].sum() ** 2 / (h[k].sum() + 1.0)
+    gains = {(f, c): score(x[:, f] < c) + score(x[:, f] >= c) for f in range(3) for c in range(1, 6)}
+    feature, cut = max(gains, key=gains.get)
+    assert stump.trees[0][0][0] == feature
+    left = x[:, feature] < cut
+    value = np.where(left, -0.15 * g[left].sum() / (h[left].sum() + 1), -0.15 * g[~left].sum() / (h[~left].sum() + 1))
+    assert np.allclose(stump.raw(x), np.log(y.mean() / (1 - y.mean())) + value)
+    w, centre, scale = learning.fit_pairwise(x, y, 500, 0.01)
+    z, pick = (x - centre) / scale, np.random.default_rng(7)
+    good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
+    d = z[pick.choice(good, 500)] - z[pick.choice(bad, 500)]
+    loss = lambda v: np.log1p(np.exp(-d @ v)).mean() + 0.005 * v @ v
+    assert all(loss(w) <= loss(w + step) for step in 0.01 * np.vstack([np.eye(3), -np.eye(3)]))
+
+
+DATA = "/root/testdata/sf0.1"
+
+
+@pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
+def test_held_out_accuracy_on_the_given_tables(spark):
+    docs, marks = (spark.read.parquet(f"{DATA}/{t}.parquet") for t in ("documents", "labels"))
+    for scored, name, recall, precision in ((toxicity.toxicity_scores(docs, marks), "toxic", 0.9, 0.95), (quality.quality_scores(docs, marks), "quality", 0.98, 0.98)):
+        held = scored.join(marks, "doc_id").filter(f"held_out and {name} is not null").select("predicted", name).collect()
+        caught = sum(r.predicted and r[name] for r in held)
+        assert caught >= recall * sum(r[name] for r in held) and caught >= precision * sum(r.predicted for r in held)
+
+
+def test_pipeline_by_brute_force(spark, tmp_path):
+    """Each stage against a plain counterpart on its own input; the last places every token once."""
+    import corpus_pipeline
+    import duckdb
+
+    from gridchain.llm.queries import ORACLE_SQL
+
+    rows = [(i, t, "en", "s", len(t or "")) for i, t in ROWS if i != ROWS[-1][0]]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/documents.parquet")
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    table, stages = spark.read.parquet(f"{tmp_path}/documents.parquet"), dict(corpus_pipeline.STAGES)
+    for number, name in enumerate(stages):
+        own = [(r.doc_id, r.text) for r in table.collect()]
+        made = stages[name](spark, table, str(tmp_path))
+        if name != "packing":
+            assert made.columns == table.columns
+            made.write.parquet(f"{tmp_path}/{number}")
+            made = spark.read.parquet(f"{tmp_path}/{number}")
+        found = {r.doc_id: r.text for r in made.collect()} if name != "packing" else {}
+        if name == "toxicity":
+            assert found == {i: t for i, t in own}  # no label, no rejection
+        elif name == "quality_rules":
+            documents = table.toPandas()  # noqa: F841
+            kept = duckdb.sql(f"SELECT doc_id FROM ({ORACLE_SQL['op3_adaptive_rules']}) WHERE kept").fetchall()
+            assert found == {i: t for i, t in own if (i,) in kept} and 5 < len(found) < len(own)
+        elif name == "ngram_join":
+            sets = {i: shingles(t) for i, t in own}
+            want = grouped(list(sets), lambda a, b: sets[a] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b]))
+            assert found == {i: t for i, t in own if want[i] == i} and len(found) < len(own)
+        elif name == "substring_dedup":
+            gone = plain_removed(own)
+            assert {i: split_words(t) for i, t in found.items()} == {i: [w for k, w in enumerate(split_words(t)) if k not in gone[i]] for i, t in own}
+            assert any(gone.values())
+        else:
+            pieces, ends = made.collect(), collections.Counter()
+            for r in sorted(pieces, key=lambda r: (r.sequence_id, r.offset)):
+                assert r.offset == ends[r.sequence_id] and r.length <= 4096
+                ends[r.sequence_id] += r.length
+            assert {r.doc_id for r in pieces} == {i for i, _ in own} and max(ends.values()) <= 4096
+        table = made
+
+
 def test_pipeline_stages(spark, docs, tmp_path):
     import corpus_pipeline
 
