@@ -103,7 +103,37 @@ _RULES_SQL = f"""WITH d AS (SELECT doc_id, coalesce(lang, '') AS lang, coalesce(
     SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
         NOT base_failed AND {" AND ".join(f"coalesce({r} <= {r}_limit, false)" for r in rules.RATES)} AS kept FROM rates LEFT JOIN limits USING (lang, source)"""
 
+#: Every 100-byte window of every text by its digest; the first (doc_id, place) of a digest stays, later ones are joined to spans.
+_SUBSTRING_SQL = """WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, strlen(coalesce(text, '')) AS n FROM documents),
+    w AS (SELECT doc_id, k, md5(substring(h, 2 * k + 1, 200)) AS x FROM (SELECT doc_id, h, unnest(range(n - 99)) AS k FROM d WHERE n >= 100)),
+    f AS (SELECT doc_id, k FROM (SELECT doc_id, k, row_number() OVER (PARTITION BY x ORDER BY doc_id, k) AS place FROM w) WHERE place > 1),
+    g AS (SELECT doc_id, k, CASE WHEN k > lag(k) OVER o + 100 THEN 1 ELSE 0 END AS new FROM f WINDOW o AS (PARTITION BY doc_id ORDER BY k)),
+    i AS (SELECT doc_id, k, sum(new) OVER (PARTITION BY doc_id ORDER BY k) AS run FROM g),
+    spans AS (SELECT doc_id, min(k) AS a, max(k) + 100 AS b FROM i GROUP BY doc_id, run),
+    gaps AS (SELECT doc_id, a, b, coalesce(lag(b) OVER (PARTITION BY doc_id ORDER BY a), 0) AS last FROM spans),
+    cut AS (SELECT doc_id, count(*) AS n_spans, sum(b - a) AS n_removed, max(b) AS tail, string_agg(substring(h, 2 * last + 1, 2 * (a - last)), '' ORDER BY a) AS kept
+        FROM gaps JOIN d USING (doc_id) GROUP BY doc_id)
+    SELECT doc_id, n AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans,
+        sha256(unhex(coalesce(kept || substring(h, 2 * tail + 1), h))) AS kept_sha256 FROM d LEFT JOIN cut USING (doc_id)"""
+
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+#: All pairs that share a shingle, their Jaccard similarity, and the smallest id that links reach.
+_NGRAM_SQL = f"""WITH RECURSIVE d AS (SELECT doc_id,
+        list_filter(regexp_split_to_array(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM documents),
+    s AS (SELECT doc_id, unnest(CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < 5 THEN [array_to_string(ws, ' ')]
+        ELSE list_transform(range(1, len(ws) - 3), lambda i: array_to_string(ws[i:i + 4], ' ')) END) AS g FROM d),
+    t AS MATERIALIZED (SELECT DISTINCT doc_id, md5(g) AS g FROM s),
+    sizes AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM t GROUP BY doc_id),
+    p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM t a JOIN t b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+    l AS MATERIALIZED (SELECT a, b FROM p JOIN sizes x ON x.doc_id = a JOIN sizes y ON y.doc_id = b WHERE 100 * c >= 80 * (x.n + y.n - c)),
+    e AS MATERIALIZED (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+    r AS (SELECT doc_id, doc_id AS node FROM sizes UNION SELECT r.doc_id, e.b FROM r JOIN e ON e.a = r.node)
+    SELECT d.doc_id, coalesce(max(n), 0) AS n_shingles, coalesce(min(node), d.doc_id) AS component_id
+    FROM d LEFT JOIN sizes USING (doc_id) LEFT JOIN r USING (doc_id) GROUP BY d.doc_id"""
+
 ORACLE_SQL: dict[str, str] = {
+    "op1_suffix_merge": _SUBSTRING_SQL,
+    "op10_ngram_jaccard_join": _NGRAM_SQL,
     "op3_adaptive_rules": _RULES_SQL,
     "op5_pivot_topk": """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS x FROM embeddings WHERE len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
     s AS (SELECT q.vec_id AS query_id, c.vec_id, CAST(list_dot_product(q.x, c.x) AS BIGINT) AS score FROM v q JOIN v c ON q.vec_id % 50 = 0 AND q.vec_id <> c.vec_id)
