@@ -214,8 +214,13 @@ RUNS = "bucket int, keys binary, high binary, low binary, docs binary, places bi
 RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fresh"], [np.uint64, np.uint64, np.uint64, np.int64, np.int64, np.int64, np.uint8]
 
 
+#: Marks of a run: its bytes are with it; it may repeat a string within itself; it is later than another copy, which its task knows.
+FRESH, LOOPS, LATER = np.uint8(1), np.uint8(2), np.uint8(4)
+
+
 def _runs(buckets: int, span: int):
-    """Runs of repeated values, dealt by value; bytes of equal runs leave a task's slice once."""
+    """Runs of repeated values, dealt by value. Of equal runs in a task's slice only the first goes to the value's bucket,
+    with its bytes; the others are later copies, whatever else there is, and are spread over all buckets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         texts, docs, keys = [], [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
@@ -240,17 +245,25 @@ def _runs(buckets: int, span: int):
                     continue
                 least, row, first, loops = least[chosen], row[chosen], first[chosen], loops[chosen]
                 lengths = last[chosen] - first + span
-                bucket = value_bucket(least, buckets)
-                order = np.argsort(bucket, kind="stable")
-                bucket, least, row, first, lengths, loops = bucket[order], least[order], row[order], first[order], lengths[order], loops[order]
                 contents = content_digests(_gather(raw, first, lengths), lengths)
-                fresh = np.zeros(len(least), np.uint8)
-                fresh[np.unique(contents.view("u8,u8"), return_index=True)[1]] = 1
-                some = fresh == 1
-                blob = _gather(raw, first[some], lengths[some])
+                owner, place = ids[row], first - cuts[row]
+                order = np.lexsort((place, owner, contents[:, 1], contents[:, 0]))
+                equal = (contents[order][1:] == contents[order][:-1]).all(1)
+                head = order[np.maximum.accumulate(np.where(np.concatenate([[False], equal]), 0, np.arange(len(order))))]
+                later = np.zeros(len(order), bool)
+                later[order] = (owner[order] != owner[head]) | (place[order] != place[head])
+                heads = np.zeros(len(order), bool)
+                heads[head] = True
+                bucket = np.where(later, value_bucket(owner.view(np.uint64), buckets), value_bucket(least, buckets))
+                flags = heads * FRESH + (heads & loops) * LOOPS + later * LATER
+                order = np.flatnonzero(heads | later)  # a row that repeats its document adds nothing
+                order = order[np.argsort(bucket[order], kind="stable")]
+                bucket, some = bucket[order], heads[order]
+                blob = _gather(raw, first[order][some], lengths[order][some])
                 b_cuts = group_cuts(bucket)
-                byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths, 0))])[b_cuts]
-                arrays = [blob_rows(c, b_cuts) for c in (least, contents[:, 0], contents[:, 1], ids[row], first - cuts[row], lengths, fresh + 2 * loops.astype(np.uint8))]
+                byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths[order], 0))])[b_cuts]
+                columns = (least, contents[:, 0], contents[:, 1], owner, place, lengths, flags.astype(np.uint8))
+                arrays = [blob_rows(c[order], b_cuts) for c in columns]
                 yield pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
 
     return tidy(run)
@@ -279,26 +292,26 @@ def _covered(buckets: int, span: int):
         del held
         if not len(keys):
             return
-        starts = np.zeros(len(keys), np.int64)
-        loops, fresh = fresh >= 2, fresh % 2
-        some = fresh == 1
-        starts[some] = np.cumsum(lengths[some]) - lengths[some]
+        later = (fresh & LATER) > 0
+        out_docs, out_starts, out_ends = [docs[later]], [places[later]], [places[later] + lengths[later]]
+        keys, high, low, docs, places, lengths, fresh = (c[~later] for c in (keys, high, low, docs, places, lengths, fresh))
+        loops = (fresh & LOOPS) > 0
+        starts = np.cumsum(lengths) - lengths
         order = np.lexsort((low, high))
         new = np.ones(len(order), bool)
         new[1:] = (high[order][1:] != high[order][:-1]) | (low[order][1:] != low[order][:-1])
         contents = np.empty(len(order), np.int64)
         contents[order] = np.cumsum(new)
         del high, low, new
-        order = np.lexsort((1 - fresh, contents))
-        text_at = starts[order][group_cuts(contents[order])[:-1]]  # one copy of each content
         order = np.lexsort((places, docs, contents))
+        text_at = starts[order][group_cuts(contents[order])[:-1]]  # of each content the first copy's bytes
         contents, docs, places, lengths, keys, loops = contents[order], docs[order], places[order], lengths[order], keys[order], loops[order]
         cuts = group_cuts(contents)
         head = cuts[:-1]
         first = np.repeat(head, np.diff(cuts))
         # rows that repeat a document hold its strings at the same places: no string is earlier than itself
         later = (docs != docs[first]) | (places != places[first])
-        out_docs, out_starts, out_ends = [docs[later]], [places[later]], [places[later] + lengths[later]]
+        out_docs, out_starts, out_ends = [*out_docs, docs[later]], [*out_starts, places[later]], [*out_ends, places[later] + lengths[later]]
         # a value with one content needs no merge, unless that content may repeat within itself
         key, count = np.unique(keys[head], return_counts=True)
         looping = np.bincount(np.searchsorted(key, keys[head]), np.maximum.reduceat(loops, head), len(key)) > 0
