@@ -21,7 +21,7 @@ from tokenizers import Tokenizer
 from gridchain.llm.charclasses import outside, probe
 from gridchain.llm.shared import CACHES, small_batches, text_slices
 
-#: Words that one worker remembers before it starts anew.
+#: Words that one worker remembers before it starts anew; of token pairs four times as many.
 MEMORY = 300_000
 
 
@@ -91,6 +91,8 @@ class TrieBpe:
                     # of equal merges the leftmost goes first
                     if rank is not None and rank < x_gone and rank <= y_gone:
                         known = False
+            if len(self._fits) >= 4 * MEMORY:
+                self._fits.clear()
             self._fits[key] = known
         return known
 
@@ -153,7 +155,7 @@ class TrieBpe:
 
 
 _loaded: dict[str, TrieBpe] = {}
-CACHES.append(lambda: [x.known.clear() for x in _loaded.values()])
+CACHES.append(lambda: [kept.clear() for x in _loaded.values() for kept in (x.known, x._fits)])
 
 
 def load(path: str) -> TrieBpe:
