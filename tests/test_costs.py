@@ -1,12 +1,14 @@
 """Closed forms, planner and ledger against each other and against limits known beforehand."""
 
 import math
+import types
 
 import pytest
 
+from gridchain.operators.baselines import sparse_replicate_15_words
 from gridchain.plans import cost, ledger, planner
 from gridchain.plans.grid import Grid
-from gridchain.sources import random_matrices, tables
+from gridchain.sources import random_matrices, scratch, tables
 
 
 @pytest.mark.parametrize("family,elision", cost.VARIANTS)
@@ -57,6 +59,43 @@ def test_ledger_agrees_with_the_formula(spark, family, elision):
     assert row.messages == pytest.approx(cost.predict_messages(family, elision, 16, 4))
 
 
+def test_what_exchanges_bring_is_below_the_ring(spark):
+    """A shuffle skips a station's own blocks and partial sums that no nonzero makes; 1.5D results need no relayout."""
+    n, d, r = 256, 4, 16
+    s = random_matrices.lattice(spark, n, d)
+    a, b = (tables.dense_lattice(spark.range(n).select("id"), r, x, y) for x, y in ((31, 17), (13, 19)))
+    for family, elision in (("ds", "fuse"), ("ds", "none"), ("rd", "reuse")):
+        grid = Grid(family, 16, 4, n, n, r)
+        stages = {x.stage: x for x in ledger.by_stage(ledger.chain_ledger(s, a, b, grid, elision)).collect()}
+        assert all(x.remote_words <= x.all_words for x in stages.values() if x.stage != "partial dots")
+        assert stages["copy"].all_words == stages["copy"].remote_words == 3 * n * r
+        outside = {x.stage: x.all_words for x in ledger.by_stage(ledger.iteration_ledger(a, grid, elision)).collect()}
+        assert ("relayout" in outside) == (family == "rd") and ("row_dot" in outside) == (family == "rd")
+
+
+def test_prior_scheme_pays_more_for_tall_operands():
+    best = lambda f: min(f(c) for c in (1, 2, 4, 8, 16))
+    for phi in (0.1, 0.5, 1.0):
+        ours = best(lambda c, phi=phi: cost.predict_words("ss", "reuse", 64, c, phi))
+        assert ours < best(lambda c, phi=phi: sparse_replicate_15_words(64, c, phi))
+
+
+def test_scratch_folder(spark, monkeypatch):
+    """The named folder; without one the warehouse on a cluster, and a temporary folder only where the master is local."""
+    named = scratch.scratch_dir(spark)
+    assert named == spark.sparkContext.getConf().get("spark.checkpoint.dir").rstrip("/")
+    path = scratch.scratch_path(spark, "x")
+    assert path.startswith(named + "/gridchain-") and path.rsplit("/", 1)[0] == scratch.scratch_path(spark, "y").rsplit("/", 1)[0]
+    settings = types.SimpleNamespace(get=lambda name, default=None: "hdfs://shared/warehouse" if name == "spark.sql.warehouse.dir" else default)
+    context = types.SimpleNamespace(getConf=lambda: types.SimpleNamespace(get=lambda name: None), master="spark://host:7077")
+    assert scratch.scratch_dir(types.SimpleNamespace(conf=settings, sparkContext=context)) == "hdfs://shared/warehouse"
+    kept = scratch.stored(spark.range(3), "kept")
+    assert kept.count() == 3
+    scratch.delete(spark, path.rsplit("/", 1)[0])
+    with pytest.raises(Exception, match="(?i)not.exist|no such file"):
+        kept.count()
+
+
 def test_generators(spark):
     s = random_matrices.lattice(spark, 512, 8)
     assert s.count() == s.select("i", "j").distinct().count() == 4096

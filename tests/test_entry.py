@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__
 
 TABLES = "/root/testdata/sf0.001"
-NAMES = ["masked_part_supplier", "chain_left_ds_fuse", "chain_right_ss_reuse", "gather_left_rs", "customer_part_chain", "cost_table", "best_c_table", "op_join_asof_events", "op_window_running_offsets", "op_cogroup_arrow_gather", "op_sql_surface_chain", "st_tumbling", "st_late_rows", "gat_multi_head"]
+NAMES = ["masked_part_supplier", "chain_left_ds_fuse", "chain_right_ss_reuse", "gather_left_rs", "customer_part_chain", "cost_table", "best_c_table", "op_join_asof_events", "op_window_running_offsets", "op_cogroup_arrow_gather", "op_sql_surface_chain", "st_tumbling", "st_late_rows", "gat_multi_head", "als_matvec_auto", "gat_multi_head_ss_reuse", "planner_explain", "ledger_words_rd_reuse", "dense_then_mask", "op_join_range_blocks"]
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(TABLES), reason="the given tables are absent")
 
