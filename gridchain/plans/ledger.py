@@ -61,14 +61,41 @@ def moves(s: DataFrame, a: DataFrame, b: DataFrame, grid: Grid, elision: str) ->
     return found
 
 
-def chain_ledger(s: DataFrame, a: DataFrame, b: DataFrame, grid: Grid, elision: str) -> DataFrame:
+def skew(s: DataFrame, a: DataFrame, b: DataFrame, grid: Grid) -> list[DataFrame]:
+    """(station, home, words) of the first alignment of what a 2.5D ring shifts: a block moves as many places as its row or column says.
+
+    It is paid once, or not at all if buffers are filled aligned. In Spark a row's key says where it goes, so nothing moves.
+    """
+    q, c = grid.q, grid.c
+    found = []
+    if grid.family not in ("rd", "rs"):
+        return found
+    sides = [("right", b)] if grid.family == "rd" else [("left", a), ("right", b)]
+    frames = [(slabs_of(x, grid).withColumn("home", dense_home(grid, side)), F.size("x"), side) for side, x in sides]
+    if grid.family == "rd":
+        frames.append((place_sparse(s, grid).select("i", "j", "home").distinct(), F.lit(3), "left"))
+    for rows, words, side in frames:
+        number = F.col("home") if grid.station_order == "layer" else F.pmod("home", F.lit(grid.layer)) * c + F.floor(F.col("home") / grid.layer)
+        fiber, at = F.pmod(number, F.lit(c)), F.floor(number / c)
+        up, along = F.floor(at / q), F.pmod(at, F.lit(q))
+        to = up * q + F.pmod(along + up, F.lit(q)) if side == "left" else F.pmod(up + along, F.lit(q)) * q + along
+        found.append(rows.select(grid.station(to, fiber).alias("station"), "home", words.cast("double").alias("words")))
+    return found
+
+
+def chain_ledger(s: DataFrame, a: DataFrame, b: DataFrame, grid: Grid, elision: str, count_skew: bool = False) -> DataFrame:
     """(family, elision, stage, station, words_ring, words_remote, messages) of one chain.
 
     words_ring is what a station gets in full rounds of shifts, as the closed forms count;
     words_remote what the plan's exchanges bring it from other owners. Messages are blocks
-    from different owners. A stage that happens twice has its words twice.
+    from different owners. A stage that happens twice has its words twice. count_skew adds
+    the first alignment of 2.5D rings, which the closed forms leave out.
     """
     parts = []
+    for x in skew(s, a, b, grid) if count_skew else []:
+        away = x.filter("station <> home").groupBy("station").agg(F.sum("words").alias("words_ring"), F.count_distinct("home").cast("double").alias("messages"))
+        names = [F.lit(grid.family).alias("family"), F.lit(elision).alias("elision"), F.lit("skew").alias("stage")]
+        parts.append(away.select(*names, "station", "words_ring", F.lit(0.0).alias("words_remote"), "messages"))
     for x in moves(s, a, b, grid, elision):
         away = F.col("station") != F.col("home")
         counted = F.lit(True) if x.whole else away

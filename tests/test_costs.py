@@ -4,10 +4,11 @@ import math
 import types
 
 import pytest
+from pyspark.sql import functions as F
 
 from gridchain.operators.baselines import sparse_replicate_15_words
 from gridchain.plans import cost, ledger, planner
-from gridchain.plans.grid import Grid
+from gridchain.plans.grid import Grid, place_left
 from gridchain.sources import random_matrices, scratch, tables
 
 
@@ -73,6 +74,40 @@ def test_what_exchanges_bring_is_below_the_ring(spark):
         assert ("relayout" in outside) == (family == "rd") and ("row_dot" in outside) == (family == "rd")
 
 
+@pytest.mark.parametrize("order", ["layer", "fiber"])
+def test_skew_is_an_option(spark, order):
+    n, r = 64, 16
+    s = random_matrices.lattice(spark, n, 4)
+    a, b = (tables.dense_lattice(spark.range(n).select("id"), r, x, y) for x, y in ((31, 17), (13, 19)))
+    for family, moved in (("rd", [b]), ("rs", [a, b]), ("ds", [])):
+        grid = Grid(family, 16, 4, n, n, r, order)
+        plain, more = (ledger.by_stage(ledger.chain_ledger(s, a, b, grid, "none", x)) for x in (False, True))
+        extra = more.filter("stage = 'skew'").collect()
+        assert plain.filter("stage = 'skew'").isEmpty() and len(extra) == (1 if moved else 0)
+        if moved:  # q = 2: blocks of the second row or column move, half of all
+            cells = 3 * s.count() / 2 if family == "rd" else 0
+            assert extra[0].remote_words == 0 and extra[0].all_words == pytest.approx(len(moved) * n * r / 2 + cells, rel=0.1)
+
+
+def test_local_sizes_and_placed_tables(spark, tmp_path):
+    n, r = 64, 16
+    s = random_matrices.lattice(spark, n, 4)
+    d = tables.dense_lattice(spark.range(n).select("id"), r, 31, 17)
+    for family in ("ds", "ss", "rd", "rs"):
+        grid = Grid(family, 16, 4, n, n, r)
+        sizes = cost.local_dims(family, 16, 4, n, r)
+        high, wide = sizes.get("copied", sizes["moving"] if "moving" in sizes else None)
+        found = place_left(d, grid).groupBy("station").agg(F.sum(F.size("ax")).alias("words")).select("words").distinct().collect()
+        # 2.5D sparse-replicating stations hold a slab for each of the q blocks that pass
+        assert [x.words for x in found] == [high * wide * (grid.q if family == "rs" else 1)]
+    grid = Grid("ds", 16, 4, n, n, r)
+    tables.write_placed(s, grid, f"file://{tmp_path}/placed")
+    back = spark.read.parquet(f"file://{tmp_path}/placed")
+    assert back.count() == s.count() and back.select("station").distinct().count() == 16
+    renamed = random_matrices.hashed(s)
+    assert renamed.select("i").distinct().count() == n and renamed.count() == renamed.distinct().count() == s.count()
+
+
 def test_prior_scheme_pays_more_for_tall_operands():
     best = lambda f: min(f(c) for c in (1, 2, 4, 8, 16))
     for phi in (0.1, 0.5, 1.0):
