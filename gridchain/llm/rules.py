@@ -38,8 +38,10 @@ def with_repeated_places(rows: DataFrame) -> DataFrame:
     """
     rows = rows.withColumn("pairs", F.sort_array(F.transform("windows", lambda h, i: F.struct(h.alias("hash"), i.cast("long").alias("place"))))).drop("windows")
     n = F.size("pairs")
-    shared = F.zip_with(F.slice("pairs", 1, F.greatest(n - 1, F.lit(1))), F.slice("pairs", 2, F.greatest(n - 1, F.lit(1))), lambda a, b: F.when(a["hash"] == b["hash"], F.array(a["place"], b["place"])))
-    twice = F.when(n >= 2, F.array_sort(F.array_distinct(F.flatten(F.filter(shared, lambda x: x.isNotNull())))))
+    most = F.greatest(n - 1, F.lit(1))
+    both = F.zip_with(F.slice("pairs", 1, most), F.slice("pairs", 2, most), lambda a, b: F.when(a["hash"] == b["hash"], F.array(a["place"], b["place"])))
+    places = F.flatten(F.filter(both, lambda x: x.isNotNull()))
+    twice = F.when(n >= 2, F.array_sort(F.array_distinct(places)))
     return rows.withColumn("at", twice).drop("pairs")
 
 
@@ -63,11 +65,17 @@ def with_rule_counts(docs: DataFrame) -> DataFrame:
     # hash of each window of three words
     hashed = F.transform("words", lambda w: F.xxhash64(w))
     rows = rows.withColumn("hashed", hashed).drop("words", "lines", "text")
-    windows = F.when(F.col("n_words") >= 3, F.zip_with(F.zip_with(F.slice("hashed", 1, F.greatest(F.size("hashed") - 2, F.lit(1))), F.slice("hashed", 2, F.greatest(F.size("hashed") - 2, F.lit(1))), lambda a, b: F.xxhash64(a, b)), F.slice("hashed", 3, F.greatest(F.size("hashed") - 2, F.lit(1))), lambda a, b: F.xxhash64(a, b)))
+    most = F.greatest(F.size("hashed") - 2, F.lit(1))
+    part = lambda k: F.slice("hashed", k, most)
+    joined = lambda a, b: F.xxhash64(a, b)
+    windows = F.when(F.col("n_words") >= 3, F.zip_with(F.zip_with(part(1), part(2), joined), part(3), joined))
     rows = rows.withColumn("windows", windows).drop("hashed")
     rows = with_repeated_places(rows)
     # words under windows that start at `at`: each adds 3, less what the one before covers
-    covered = F.when(F.size("at") > 0, F.aggregate(F.zip_with(F.slice("at", 1, F.greatest(F.size("at") - 1, F.lit(1))), F.slice("at", 2, F.greatest(F.size("at") - 1, F.lit(1))), lambda a, b: F.when(b.isNull() | a.isNull(), F.lit(0).cast("long")).otherwise(F.least(b - a, F.lit(3).cast("long")))), F.lit(3).cast("long"), lambda total, x: total + x)).otherwise(F.lit(0).cast("long"))
+    most = F.greatest(F.size("at") - 1, F.lit(1))
+    three, none = F.lit(3).cast("long"), F.lit(0).cast("long")
+    steps = F.zip_with(F.slice("at", 1, most), F.slice("at", 2, most), lambda a, b: F.when(b.isNull() | a.isNull(), none).otherwise(F.least(b - a, three)))
+    covered = F.when(F.size("at") > 0, F.aggregate(steps, three, lambda total, x: total + x)).otherwise(none)
     return rows.withColumn("n_repeat_words", covered).drop("at")
 
 
