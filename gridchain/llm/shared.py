@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import ctypes
 import functools
+import gc
 import math
 from collections.abc import Callable, Iterator
 
@@ -188,8 +189,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark's cleaner delete shuffle files that no live plan refers to."""
-    import gc
-
+    """Let Spark's cleaner delete shuffle files that no live plan refers to, and give back the driver's freed memory."""
     gc.collect()
+    trim()
     spark._jvm.System.gc()

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.learning import BoostedTrees, IsotonicSteps, crc_of_id, labelled_sample
-from gridchain.llm.shared import binary_array, forget, mix64, stage, text_slices, tidy
+from gridchain.llm.shared import binary_array, forget, mix64, release, stage, text_slices, tidy
 from gridchain.llm.words import LOWER, Words, distinct_sets
 
 #: Insults that need no training.
@@ -242,6 +242,8 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN,
     trees = BoostedTrees().fit(x[:, 0], y)
     # too few rows for folds: the trees' own scores are all there is
     steps = IsotonicSteps().fit(raw[scored], y[scored]) if scored.any() else IsotonicSteps().fit(trees.raw(x[:, 0]), y)
+    del rows, x
+    release(docs.sparkSession)
     return ToxicityModel(lexicons[0], trees, steps)
 
 
