@@ -107,12 +107,12 @@ def strong_scaling(spark: SparkSession, sf_dir: str, r: int = 128) -> list[dict]
     m, n, nnz = row
     out = []
     for p in (4, 8, 16):
-        gathers = 5 * seconds(lambda p=p: baselines.two_gathers(s, b, p, m))
+        gathers = 5 * seconds(lambda p=p: baselines.two_gathers(s, b, p, m), 1)
         out.append({"p": p, "variant": "baseline, 10 gathers", "seconds": round(gathers, 2)})
         for f, e in cost.VARIANTS:
             c = cost.best_c_admissible(f, e, p, nnz / (m * r), r, 16)
             if c is not None:
-                took = 5 * seconds(lambda f=f, e=e, p=p, c=c: chain.chain_left(s, a, b, Grid(f, p, c, m, n, r), e))
+                took = 5 * seconds(lambda f=f, e=e, p=p, c=c: chain.chain_left(s, a, b, Grid(f, p, c, m, n, r), e), 1)
                 out.append({"p": p, "variant": f"{f} {e}", "c": c, "seconds": round(took, 2), "times_baseline": round(gathers / took, 2)})
     return out
 
