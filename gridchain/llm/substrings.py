@@ -211,7 +211,7 @@ def content_digests(blob: np.ndarray, lengths: np.ndarray) -> np.ndarray:
 
 
 RUNS = "bucket int, keys binary, high binary, low binary, docs binary, places binary, lengths binary, fresh binary, bytes binary"
-RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fresh"], [np.uint64, np.uint64, np.uint64, np.int64, np.int64, np.int64, np.uint8]
+RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fresh"], [np.uint64, np.uint64, np.uint64, np.int64, np.uint32, np.uint32, np.uint8]
 
 
 #: Marks of a run: its bytes are with it; it may repeat a string within itself; it is later than another copy, which its task knows.
@@ -262,8 +262,9 @@ def _runs(buckets: int, span: int):
                 blob = _gather(raw, first[order][some], lengths[order][some])
                 b_cuts = group_cuts(bucket)
                 byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths[order], 0))])[b_cuts]
-                columns = (least, contents[:, 0], contents[:, 1], owner, place, lengths, flags.astype(np.uint8))
-                arrays = [blob_rows(c[order], b_cuts) for c in columns]
+                named = [np.where(later, np.uint64(0), c) for c in (least, contents[:, 0], contents[:, 1])]  # a later copy needs no name
+                columns = [c.astype(kind, copy=False)[order] for c, kind in zip((*named, owner, place, lengths, flags), RUN_KINDS)]
+                arrays = [blob_rows(c, b_cuts) for c in columns]
                 yield pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
 
     return tidy(run)
@@ -292,6 +293,7 @@ def _covered(buckets: int, span: int):
         del held
         if not len(keys):
             return
+        places, lengths = places.astype(np.int64), lengths.astype(np.int64)
         later = (fresh & LATER) > 0
         out_docs, out_starts, out_ends = [docs[later]], [places[later]], [places[later] + lengths[later]]
         keys, high, low, docs, places, lengths, fresh = (c[~later] for c in (keys, high, low, docs, places, lengths, fresh))
