@@ -146,7 +146,8 @@ def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFram
         pairs = mixed.filter(F.col("node") != F.col(leader)).select(F.least("node", leader).alias("a"), F.greatest("node", leader).alias("b")).distinct()
         new = stage(verify(pairs), "links")
         links = new if links is None else links.union(new)
-        found = stage(components(links), "components")
+        if not new.isEmpty():
+            found = stage(components(links), "components")
         del mixed, pairs, new
         release(spark)
     for step in ("short", "long"):
@@ -163,4 +164,4 @@ def bucket_links(members: DataFrame, sets: DataFrame, verify: Callable[[DataFram
         unstage(mixed)
         del mixed, sizes, rest, new
         release(spark)
-    return found
+    return found if found is not None else spark.createDataFrame([], "node bigint, component bigint")
