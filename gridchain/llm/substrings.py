@@ -218,9 +218,34 @@ RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fre
 FRESH, LOOPS, LATER = np.uint8(1), np.uint8(2), np.uint8(4)
 
 
-def _runs(buckets: int, span: int):
-    """Runs of repeated values, dealt by value. Of equal runs in a task's slice only the first goes to the value's bucket,
-    with its bytes; the others are later copies, whatever else there is, and are spread over all buckets."""
+def _packed_runs(held: list[tuple[np.ndarray, ...]], buckets: int) -> pa.RecordBatch:
+    """Runs of several slices as one row for each bucket; of equal runs the first keeps its bytes, the others are later copies."""
+    least, owner, place, lengths, loops, contents, raw = (np.concatenate(c) for c in zip(*held))
+    starts = np.cumsum(lengths) - lengths
+    order = np.lexsort((place, owner, contents[:, 1], contents[:, 0]))
+    equal = (contents[order][1:] == contents[order][:-1]).all(1)
+    head = order[np.maximum.accumulate(np.where(np.concatenate([[False], equal]), 0, np.arange(len(order))))]
+    later = np.zeros(len(order), bool)
+    later[order] = (owner[order] != owner[head]) | (place[order] != place[head])
+    heads = np.zeros(len(order), bool)
+    heads[head] = True
+    bucket = np.where(later, value_bucket(owner.view(np.uint64), buckets), value_bucket(least, buckets))
+    flags = heads * FRESH + (heads & loops) * LOOPS + later * LATER
+    order = np.flatnonzero(heads | later)  # a row that repeats its document adds nothing
+    order = order[np.argsort(bucket[order], kind="stable")]
+    bucket, some = bucket[order], heads[order]
+    blob = _gather(raw, starts[order][some], lengths[order][some])
+    b_cuts = group_cuts(bucket)
+    byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths[order], 0))])[b_cuts]
+    named = [np.where(later, np.uint64(0), c) for c in (least, contents[:, 0], contents[:, 1])]  # a later copy needs no name
+    columns = [c.astype(kind, copy=False)[order] for c, kind in zip((*named, owner, place, lengths, flags), RUN_KINDS)]
+    arrays = [blob_rows(c, b_cuts) for c in columns]
+    return pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
+
+
+def _runs(buckets: int, span: int, limit: int = 16 << 20):
+    """Runs of repeated values, dealt by value, packed as soon as they hold `limit` bytes. Of equal runs in a pack only the first goes
+    to the value's bucket, with its bytes; the others are later copies, whatever else there is, and are spread over all buckets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         texts, docs, keys = [], [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
@@ -233,6 +258,8 @@ def _runs(buckets: int, span: int):
             if not known.all():
                 texts.append(batch.filter(pa.array(~known)).select(["doc_id", "text"]))
         wanted = np.unique(mix64(np.concatenate(docs).view(np.uint64)) ^ np.concatenate(keys))
+        held: list[tuple[np.ndarray, ...]] = []
+        size = 0
         for batch in texts:
             for part in text_slices(batch, "text"):
                 raw, cuts = text_bytes(part.column("text"))
@@ -245,27 +272,14 @@ def _runs(buckets: int, span: int):
                     continue
                 least, row, first, loops = least[chosen], row[chosen], first[chosen], loops[chosen]
                 lengths = last[chosen] - first + span
-                contents = content_digests(_gather(raw, first, lengths), lengths)
-                owner, place = ids[row], first - cuts[row]
-                order = np.lexsort((place, owner, contents[:, 1], contents[:, 0]))
-                equal = (contents[order][1:] == contents[order][:-1]).all(1)
-                head = order[np.maximum.accumulate(np.where(np.concatenate([[False], equal]), 0, np.arange(len(order))))]
-                later = np.zeros(len(order), bool)
-                later[order] = (owner[order] != owner[head]) | (place[order] != place[head])
-                heads = np.zeros(len(order), bool)
-                heads[head] = True
-                bucket = np.where(later, value_bucket(owner.view(np.uint64), buckets), value_bucket(least, buckets))
-                flags = heads * FRESH + (heads & loops) * LOOPS + later * LATER
-                order = np.flatnonzero(heads | later)  # a row that repeats its document adds nothing
-                order = order[np.argsort(bucket[order], kind="stable")]
-                bucket, some = bucket[order], heads[order]
-                blob = _gather(raw, first[order][some], lengths[order][some])
-                b_cuts = group_cuts(bucket)
-                byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths[order], 0))])[b_cuts]
-                named = [np.where(later, np.uint64(0), c) for c in (least, contents[:, 0], contents[:, 1])]  # a later copy needs no name
-                columns = [c.astype(kind, copy=False)[order] for c, kind in zip((*named, owner, place, lengths, flags), RUN_KINDS)]
-                arrays = [blob_rows(c, b_cuts) for c in columns]
-                yield pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
+                blob = _gather(raw, first, lengths)
+                held.append((least, ids[row], first - cuts[row], lengths, loops, content_digests(blob, lengths), blob))
+                size += len(blob)
+                if size >= limit:
+                    yield _packed_runs(held, buckets)
+                    held, size = [], 0
+        if held:
+            yield _packed_runs(held, buckets)
 
     return tidy(run)
 
