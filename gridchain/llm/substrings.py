@@ -162,6 +162,11 @@ def value_bucket(least: np.ndarray, buckets: int) -> np.ndarray:
     return ((mix64(least) >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int32)
 
 
+def mark_of(docs: np.ndarray, least: np.ndarray) -> np.ndarray:
+    """One number for a document and a value that it holds; a false match only costs a comparison."""
+    return mix64(docs.view(np.uint64)) ^ least
+
+
 def _values(buckets: int, span: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = Packer(["keys", "docs"], [np.uint64, np.int64])
@@ -188,10 +193,10 @@ def _repeated_values(buckets: int):
             new = np.ones(len(keys), bool)
             new[1:] = (keys[1:] != keys[:-1]) | (docs[1:] != docs[:-1])
             keys, docs = keys[new], docs[new]
-        packer = Packer(["docs", "keys"], [np.int64, np.uint64], 1 << 19)
+        packer = Packer(["marks"], [np.uint64], 1 << 19)
         for a in range(0, len(keys), 1 << 19):
             s = slice(a, a + (1 << 19))
-            yield from packer.add(docs[s].view(np.uint64) % np.uint64(buckets), docs[s], keys[s])
+            yield from packer.add(docs[s].view(np.uint64) % np.uint64(buckets), mark_of(docs[s], keys[s]))
         yield from packer.flush()
 
     return tidy(run)
@@ -204,18 +209,19 @@ def _gather(raw: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndar
 
 
 def content_digests(blob: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    """128-bit digest of each string, as two numbers; equal digests stand for equal bytes."""
+    """128-bit digest of each string, as two numbers; 96 bits of it travel, and equal ones stand for equal bytes."""
     data, ends = blob.tobytes(), np.cumsum(lengths)
     digests = b"".join(hashlib.blake2b(data[a:b], digest_size=16).digest() for a, b in zip((ends - lengths).tolist(), ends.tolist()))
     return np.frombuffer(digests, np.uint64).reshape(-1, 2)
 
 
 RUNS = "bucket int, keys binary, high binary, low binary, docs binary, places binary, lengths binary, fresh binary, bytes binary"
-RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fresh"], [np.uint64, np.uint64, np.uint64, np.int64, np.uint32, np.uint32, np.uint8]
+RUN_NAMES, RUN_KINDS = ["keys", "high", "low", "docs", "places", "lengths", "fresh"], [np.uint32, np.uint64, np.uint32, np.int64, np.uint32, np.uint32, np.uint8]
 
 
 #: Marks of a run: its bytes are with it; it may repeat a string within itself; it is later than another copy, which its task knows.
 FRESH, LOOPS, LATER = np.uint8(1), np.uint8(2), np.uint8(4)
+LOW_BITS = np.uint64(0xFFFFFFFF)
 
 
 def _packed_runs(held: list[tuple[np.ndarray, ...]], buckets: int) -> pa.RecordBatch:
@@ -237,7 +243,8 @@ def _packed_runs(held: list[tuple[np.ndarray, ...]], buckets: int) -> pa.RecordB
     blob = _gather(raw, starts[order][some], lengths[order][some])
     b_cuts = group_cuts(bucket)
     byte_ends = np.concatenate([[0], np.cumsum(np.where(some, lengths[order], 0))])[b_cuts]
-    named = [np.where(later, np.uint64(0), c) for c in (least, contents[:, 0], contents[:, 1])]  # a later copy needs no name
+    # a later copy needs no name; beside its bucket a value is told by 32 bits (two values of one name are merely merged together)
+    named = [np.where(later, np.uint64(0), c) for c in (mix64(least) & LOW_BITS, contents[:, 0], contents[:, 1] & LOW_BITS)]
     columns = [c.astype(kind, copy=False)[order] for c, kind in zip((*named, owner, place, lengths, flags), RUN_KINDS)]
     arrays = [blob_rows(c, b_cuts) for c in columns]
     return pa.RecordBatch.from_arrays([pa.array(bucket[b_cuts[:-1]]), *arrays, blob_rows(blob, byte_ends)], ["bucket", *RUN_NAMES, "bytes"])
@@ -248,16 +255,14 @@ def _runs(buckets: int, span: int, limit: int = 16 << 20):
     to the value's bucket, with its bytes; the others are later copies, whatever else there is, and are spread over all buckets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        texts, docs, keys = [], [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
+        texts, marks = [], [np.zeros(0, np.uint64)]
         for batch in batches:
-            known = np.asarray(batch.column("keys").is_valid())
+            known = np.asarray(batch.column("marks").is_valid())
             if known.any():
-                d, k = unpack([batch.filter(pa.array(known))], ["docs", "keys"], [np.int64, np.uint64])
-                docs.append(d)
-                keys.append(k)
+                marks += unpack([batch.filter(pa.array(known))], ["marks"], [np.uint64])
             if not known.all():
                 texts.append(batch.filter(pa.array(~known)).select(["doc_id", "text"]))
-        wanted = np.unique(mix64(np.concatenate(docs).view(np.uint64)) ^ np.concatenate(keys))
+        wanted = np.unique(np.concatenate(marks))
         held: list[tuple[np.ndarray, ...]] = []
         size = 0
         for batch in texts:
@@ -265,7 +270,7 @@ def _runs(buckets: int, span: int, limit: int = 16 << 20):
                 raw, cuts = text_bytes(part.column("text"))
                 least, row, first, last, loops = least_runs(raw, cuts, span)
                 ids = np.asarray(part.column("doc_id"))
-                mark = mix64(ids.view(np.uint64))[row] ^ least
+                mark = mark_of(ids, np.uint64(0))[row] ^ least
                 at = np.searchsorted(wanted, mark)
                 chosen = np.flatnonzero(wanted[np.minimum(at, len(wanted) - 1)] == mark) if len(wanted) else np.zeros(0, np.int64)
                 if not len(chosen):
@@ -422,13 +427,13 @@ def remove_repeats(docs: DataFrame, span: int = SPAN, with_text: bool = False) -
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     by_value, by_doc = bucket_count(spark, size // 32, BUCKET_VALUES), bucket_count(spark, size, BUCKET_BYTES)
     values = rows.mapInArrow(_values(by_value, span), "bucket int, keys binary, docs binary").repartition(by_value, "bucket")
-    wanted = stage(values.mapInArrow(_repeated_values(by_doc), "bucket int, docs binary, keys binary"), "repeated", "lz4")
+    wanted = stage(values.mapInArrow(_repeated_values(by_doc), "bucket int, marks binary"), "repeated", "lz4")
     del values
     release(spark)
     texts = rows.select(F.pmod("doc_id", F.lit(by_doc)).cast("int").alias("bucket"), "doc_id", "own_id", "text")
     nothing = lambda *names: [F.lit(None).cast("binary").alias(n) for n in names]
     no_text = [F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("long").alias("own_id"), F.lit(None).cast("string").alias("text")]
-    met = texts.select("bucket", "doc_id", "own_id", "text", *nothing("docs", "keys")).union(wanted.select("bucket", *no_text, "docs", "keys"))
+    met = texts.select("bucket", "doc_id", "own_id", "text", *nothing("marks")).union(wanted.select("bucket", *no_text, "marks"))
     runs = met.repartition(by_doc, "bucket").mapInArrow(_runs(by_value, span), RUNS).repartition(by_value, "bucket")
     ranges = stage(runs.mapInArrow(_covered(by_doc, span), "bucket int, docs binary, starts binary, ends binary"), "ranges", "lz4")
     del met, runs
