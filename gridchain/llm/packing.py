@@ -51,12 +51,15 @@ class WordIds:
         gap = re.compile(f"[{spaces}]+")
         # among marks of the highest and the lowest class, a mark shows whether its own class is known
         tries = (lambda c: c, lambda c: f"a\u0345{c}\u0334")
-        self.beyond = outside([c for c in range(TOP) if any(gap.sub(" ", _normal(t(chr(c)))) != same(t(chr(c))) for t in tries)])
+        odd = [c for c in range(TOP) if any(gap.sub(" ", _normal(t(chr(c)))) != same(t(chr(c))) for t in tries)]
+        self.beyond, self.plain_ascii = outside(odd), not any(c < 128 for c in odd)
         self.risen = outside([])
         self.known: dict[str, bytes] = {}
 
     def cut(self, text: str) -> list[str] | None:
         """Words of a text; None if only the library can tell."""
+        if self.plain_ascii and text.isascii() and (self.at_special is None or "<|" not in text):
+            return self.pieces(text.lower())
         if self.beyond(text):
             return None
         if self.at_special is None or "<|" not in text:
@@ -78,10 +81,10 @@ class WordIds:
         if len(self.known) > MEMORY:
             self.known.clear()
         self.known.update(self.special)
-        new = [w for w in set().union(*[words for words in cut if words]) if w not in self.known]
+        new = list(set().union(*[words for words in cut if words]).difference(self.known))
         self.known.update(zip(new, self._library(new)))
-        known = self.known
-        return [self._library([t])[0] if words is None else b"".join([known[w] for w in words]) for t, words in zip(texts, cut)]
+        ids = self.known.__getitem__
+        return [self._library([t])[0] if words is None else b"".join(map(ids, words)) for t, words in zip(texts, cut)]
 
 
 _loaded: dict[str, WordIds] = {}
