@@ -435,7 +435,7 @@ def remove_repeats(docs: DataFrame, span: int = SPAN, with_text: bool = False) -
     no_text = [F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("long").alias("own_id"), F.lit(None).cast("string").alias("text")]
     met = texts.select("bucket", "doc_id", "own_id", "text", *nothing("marks")).union(wanted.select("bucket", *no_text, "marks"))
     runs = met.repartition(by_doc, "bucket").mapInArrow(_runs(by_value, span), RUNS).repartition(by_value, "bucket")
-    ranges = stage(runs.mapInArrow(_covered(by_doc, span), "bucket int, docs binary, starts binary, ends binary"), "ranges", "lz4")
+    ranges = stage(runs.mapInArrow(_covered(by_doc, span), "bucket int, docs binary, starts binary, ends binary"), "ranges")
     del met, runs
     release(spark)
     met = texts.select("bucket", "doc_id", "own_id", "text", *nothing("docs", "starts", "ends")).union(ranges.select("bucket", *no_text, "docs", "starts", "ends"))
