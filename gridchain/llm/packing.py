@@ -27,6 +27,8 @@ NEARLY_FULL = 0.985
 #: Partitions that one task of the next round takes.
 FAN_IN = 8
 MEMORY = 400_000
+#: Bytes of text whose new words are encoded at once.
+ENCODED_BYTES = 4 << 20
 PIECE = np.dtype([("doc_id", "<i8"), ("known", "<i1"), ("piece", "<i4"), ("start", "<i8"), ("length", "<i4"), ("crc", "<u4")])
 
 
@@ -145,7 +147,7 @@ def _first_round(path: str, end: int, capacity: int, nearly: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, held = load(path), [np.zeros(0, PIECE)]
         for batch in batches:
-            for part in text_slices(batch, "text"):
+            for part in text_slices(batch, "text", ENCODED_BYTES):
                 held.append(cut_pieces(part.column("doc_id").to_pylist(), [t or "" for t in part.column("text").to_pylist()], ids, end, capacity))
         pieces = np.concatenate(held)
         yield from _bins(pieces["length"].astype(np.int64), [pieces[i : i + 1] for i in range(len(pieces))], capacity, nearly, False)
