@@ -29,3 +29,14 @@ def test_range_blocks_hold_every_part(spark):
     want = con.sql(__spark_entry__.oracle_sql()["op_join_range_blocks"]).fetchall()
     got = __spark_entry__.queries()["op_join_range_blocks"](spark, f"{DATA}/sf0.01").select("p_partkey", "block").collect()
     assert sorted(map(tuple, got)) == sorted(want)
+
+
+def test_apply_streams_nonzeros_past_dense_rows(spark):
+    """No nonzero travels with its dense rows: the station's exchange holds each once, and no join of them comes before it."""
+    got = __spark_entry__.queries()["op_apply_arrow_chain"](spark, f"{DATA}/sf0.001")
+    plan = got._jdf.queryExecution().sparkPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "Join" not in plan
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{DATA}/sf0.001/lineitem.parquet'")
+    want = con.sql(__spark_entry__.oracle_sql()["op_apply_arrow_chain"]).select("id, k, x").fetchall()
+    assert sorted(map(tuple, got.select("id", "k", "x").collect())) == sorted(want)
