@@ -9,6 +9,11 @@ import __spark_entry__
 
 DATA = "/root/testdata"
 
+#: Queries that once read no table, and those that they read.
+READ: dict[str, list[tuple[str, str]]] = {
+    "best_c_table": [("lineitem", "l_suppkey")],
+}
+
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
 
 
@@ -40,3 +45,22 @@ def test_apply_streams_nonzeros_past_dense_rows(spark):
     con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{DATA}/sf0.001/lineitem.parquet'")
     want = con.sql(__spark_entry__.oracle_sql()["op_apply_arrow_chain"]).select("id, k, x").fetchall()
     assert sorted(map(tuple, got.select("id", "k", "x").collect())) == sorted(want)
+
+
+@pytest.mark.parametrize("name", READ)
+def test_query_depends_on_its_table(spark, name, tmp_path):
+    """Rows of the given table decide the result: with half of it the result is another, each as its SQL has it."""
+    con, results = duckdb.connect(), []
+    for part, keep in (("whole", "true"), ("half", "{0} < 0.4 * (SELECT max({0}) FROM t)")):
+        (tmp_path / part).mkdir()
+        for table, key in READ[name]:
+            con.sql(f"CREATE OR REPLACE VIEW t AS SELECT * FROM '{DATA}/sf0.001/{table}.parquet'")
+            con.sql(f"COPY (SELECT * FROM t WHERE {keep.format(key)}) TO '{tmp_path}/{part}/{table}.parquet' (FORMAT parquet)")
+            con.sql(f"CREATE OR REPLACE VIEW {table} AS SELECT * FROM '{tmp_path}/{part}/{table}.parquet'")
+        got = __spark_entry__.queries()[name](spark, str(tmp_path / part))
+        columns = sorted(got.columns)
+        results.append(sorted(str(tuple(r)) for r in got.select(*columns).collect()))
+        if name in __spark_entry__.oracle_sql():
+            want = con.sql(__spark_entry__.oracle_sql()[name])
+            assert results[-1] == sorted(str(row) for row in want.select(", ".join(columns)).fetchall())
+    assert results[0] and results[0] != results[1]
