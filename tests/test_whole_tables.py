@@ -12,6 +12,7 @@ DATA = "/root/testdata"
 #: Queries that once read no table, and those that they read.
 READ: dict[str, list[tuple[str, str]]] = {
     "best_c_table": [("lineitem", "l_suppkey")],
+    "cost_table": [("lineitem", "l_suppkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
