@@ -14,6 +14,7 @@ READ: dict[str, list[tuple[str, str]]] = {
     "best_c_table": [("lineitem", "l_suppkey")],
     "cost_table": [("lineitem", "l_suppkey")],
     "elision_ratios": [("lineitem", "l_suppkey")],
+    "model_table": [("lineitem", "l_suppkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
