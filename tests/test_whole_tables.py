@@ -15,6 +15,7 @@ READ: dict[str, list[tuple[str, str]]] = {
     "cost_table": [("lineitem", "l_suppkey")],
     "elision_ratios": [("lineitem", "l_suppkey")],
     "model_table": [("lineitem", "l_suppkey")],
+    "op_udtf_targets": [("lineitem", "l_partkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
