@@ -16,6 +16,7 @@ READ: dict[str, list[tuple[str, str]]] = {
     "elision_ratios": [("lineitem", "l_suppkey")],
     "model_table": [("lineitem", "l_suppkey")],
     "op_udtf_targets": [("lineitem", "l_partkey")],
+    "planner_explain": [("lineitem", "l_suppkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
