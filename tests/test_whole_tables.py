@@ -17,6 +17,7 @@ READ: dict[str, list[tuple[str, str]]] = {
     "model_table": [("lineitem", "l_suppkey")],
     "op_udtf_targets": [("lineitem", "l_partkey")],
     "planner_explain": [("lineitem", "l_suppkey")],
+    "planner_map_p32": [("lineitem", "l_suppkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
