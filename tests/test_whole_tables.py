@@ -18,6 +18,7 @@ READ: dict[str, list[tuple[str, str]]] = {
     "op_udtf_targets": [("lineitem", "l_partkey")],
     "planner_explain": [("lineitem", "l_suppkey")],
     "planner_map_p32": [("lineitem", "l_suppkey")],
+    "random_bernoulli": [("orders", "o_orderkey"), ("part", "p_partkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
