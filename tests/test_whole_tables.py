@@ -19,6 +19,7 @@ READ: dict[str, list[tuple[str, str]]] = {
     "planner_explain": [("lineitem", "l_suppkey")],
     "planner_map_p32": [("lineitem", "l_suppkey")],
     "random_bernoulli": [("orders", "o_orderkey"), ("part", "p_partkey")],
+    "weak_scaling_exponents": [("lineitem", "l_suppkey")],
 }
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(DATA), reason="the given tables are absent")
