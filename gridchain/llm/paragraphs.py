@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridchain.llm.linkage import bucket_links
-from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, tidy, unpack
+from gridchain.llm.shared import Packer, binary_array, bucket_count, forget, group_cuts, ids_of, mix64, release, stage, text_bytes, text_slices, tidy, unpack, unstage
 from gridchain.llm.words import Words, distinct_sets, group_shingles, sliding
 
 #: Shortest paragraph that is compared, in words; shorter lines are joined.
@@ -281,7 +281,10 @@ def repeated_units(docs: DataFrame, percent: int = 80, least: int = LEAST_WORDS,
         return near.join(side("a"), "a").join(side("b"), "b").mapInArrow(_similar(percent), "a long, b long")
 
     found = bucket_links(members.join(central, "node").withColumn("depth", F.lit(1)), sets, verify, percent)
-    return stage(_repeats(listed, found), "repeats")
+    out = stage(_repeats(listed, found), "repeats")
+    for read in (listed, members, sets):
+        unstage(read)
+    return out
 
 
 def _repeats(listed: DataFrame, found: DataFrame) -> DataFrame:
