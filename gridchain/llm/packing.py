@@ -56,8 +56,21 @@ class WordIds:
         odd = [c for c in range(TOP) if any(gap.sub(" ", _normal(t(chr(c)))) != same(t(chr(c))) for t in tries)]
         self.beyond, self.plain_ascii = outside(odd), not any(c < 128 for c in odd)
         self.risen = outside([])
+        self.model = self.tokenizer.model
+        self.spelled = self._spelling()
         self.known: dict[str, bytes] = {}
 
+    def _spelling(self) -> dict[int, str] | None:
+        """The characters that stand for bytes in the model's words; None if some probe's ids differ from the library's whole way."""
+        from tokenizers.pre_tokenizers import ByteLevel
+
+        level, out = ByteLevel(add_prefix_space=False, use_regex=False), {}
+        for code in [*range(0x800), *range(0x800, TOP, 0x40)]:
+            out.update(zip(chr(code).encode(), level.pre_tokenize_str(chr(code))[0][0]))
+        words = [*(chr(c) * n for c in range(0x21, 0x800) for n in (1, 3)), "'ll", "understanding", "#$%&", "straße", "\u2014\u20ac"]
+        probes = [x for x in words if self.cut(x) == [x]]
+        return out if self._modelled(probes, out) == self._library(probes) else None
+
     def cut(self, text: str) -> list[str] | None:
         """Words of a text; None if only the library can tell."""
         if self.plain_ascii and text.isascii() and (self.at_special is None or "<|" not in text):
@@ -78,13 +91,22 @@ class WordIds:
     def _library(self, texts: list[str]) -> list[bytes]:
         return [np.array(found.ids, "<u4").tobytes() for found in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _modelled(self, words: list[str], spelled: dict[int, str]) -> list[bytes]:
+        """Ids of single words from the library's model, past its normaliser and its cutting, which they have behind them."""
+        tokens, flat, cuts = self.model.tokenize, [], [0]
+        for word in words:
+            flat += [t.id for t in tokens(word if word.isascii() and word.isalnum() else word.encode().decode("latin-1").translate(spelled))]
+            cuts.append(4 * len(flat))
+        raw = np.array(flat, "<u4").tobytes()
+        return [raw[a:b] for a, b in zip(cuts, cuts[1:])]
+
     def encode(self, texts: list[str]) -> list[bytes]:
         cut = [self.cut(t) for t in texts]
         if len(self.known) > MEMORY:
             self.known.clear()
         self.known.update(self.special)
         new = list(set().union(*[words for words in cut if words]).difference(self.known))
-        self.known.update(zip(new, self._library(new)))
+        self.known.update(zip(new, self._modelled(new, self.spelled) if self.spelled else self._library(new)))
         ids = self.known.__getitem__
         return [self._library([t])[0] if words is None else b"".join(map(ids, words)) for t, words in zip(texts, cut)]
 
