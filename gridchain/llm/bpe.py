@@ -21,8 +21,12 @@ from tokenizers import Tokenizer
 from gridchain.llm.charclasses import outside, probe
 from gridchain.llm.shared import CACHES, small_batches, text_slices
 
-#: Words that one worker remembers before it starts anew; of token pairs four times as many.
-MEMORY = 300_000
+#: Words and token pairs that one worker remembers before it starts anew.
+MEMORY, PAIRS = 600_000, 1_200_000
+#: Bytes at the end of a token by which the longest one is looked up.
+TAIL = 4
+#: Bytes of text whose new words are encoded at once.
+ENCODED_BYTES = 4 << 20
 
 
 def fast_cutter(pieces):
@@ -60,7 +64,12 @@ class TrieBpe:
             key = names[left], names[right]
             self.merged.setdefault(key, rank)
             made.setdefault(names[left + right], (rank, *key))
-        self.longest = max(map(len, self.ids))
+        # the longest token by its last bytes; other tokens are shorter than TAIL
+        self.reach: dict[bytes, int] = {}
+        for token in self.ids:
+            if len(token) >= TAIL:
+                self.reach[token[-TAIL:]] = max(self.reach.get(token[-TAIL:], 0), len(token))
+        self.spelled = {i: str(i) for i in self.bytes}
         self._left = {t: self._spine(t, made, 1) for t in names.values()}
         self._right = {t: self._spine(t, made, 2) for t in names.values()}
         # a token that its own bytes don't merge to never ends an encoding
@@ -91,28 +100,43 @@ class TrieBpe:
                     # of equal merges the leftmost goes first
                     if rank is not None and rank < x_gone and rank <= y_gone:
                         known = False
-            if len(self._fits) >= 4 * MEMORY:
+            if len(self._fits) >= PAIRS:
                 self._fits.clear()
             self._fits[key] = known
         return known
 
     def encode_words(self, words: list[bytes]) -> Iterator[tuple[bytes, tuple[int, ...]]]:
-        """(word, ids) of distinct words; shared prefixes are encoded once."""
-        states: list[tuple[int, int]] = []  # last token and its length for each depth
+        """(word, ids) of distinct words; shared prefixes are encoded once, and only those that some encoding may end with."""
+        states: list[tuple[int, int] | None] = []  # last token and its length for each depth, None until it is asked for
         before = b""
-        find, fits, longest = self.whole.get, self.fits, self.longest
+        find, fits, seen, reach, short = self.whole.get, self.fits, self._fits.get, self.reach.get, TAIL - 1
         for word in sorted(words):
             shared, most = 0, min(len(before), len(word))
             while shared < most and before[shared] == word[shared]:
                 shared += 1
-            del states[shared:]
-            for end in range(shared + 1, len(word) + 1):
-                for start in range(max(end - longest, 0), end):
+            states[shared:] = [None] * (len(word) - shared)
+            before, end = word, len(word)
+            first, waiting = end - reach(word[-TAIL:], short), [(0, 0)]
+            while end and (states[end - 1] is None or len(waiting) > 1):
+                for start in range(first if first > 0 else 0, end):
                     token = find(word[start:end])
-                    if token is not None and (not start or fits(states[start - 1][0], token)):
-                        states.append((token, end - start))
-                        break
-            before, end, chain = word, len(word), []
+                    if token is None:
+                        continue
+                    if start:
+                        state = states[start - 1]
+                        if state is None:
+                            waiting.append((end, start))
+                            end, first = start, start - reach(word[start - TAIL : start], short) if start > TAIL else 0
+                            break
+                        fit = seen((state[0], token))
+                        if not (fits(state[0], token) if fit is None else fit):
+                            continue
+                    states[end - 1] = token, end - start
+                    end, first = waiting.pop()
+                    break
+                else:
+                    raise ValueError(f"no token ends {word[:end]!r}")
+            end, chain = len(word), []
             while end:
                 token, size = states[end - 1]
                 chain.append(token)
@@ -124,8 +148,9 @@ class TrieBpe:
         if len(self.known) > MEMORY:
             self.known.clear()
         new = {w.encode(): w for w in words if w not in self.known}
+        names, raws = self.spelled, self.bytes
         for raw, chain in self.encode_words(list(new)):
-            self.known[new[raw]] = ",".join(map(str, chain)), len(chain), b"".join([self.bytes[t] for t in chain]), chain
+            self.known[new[raw]] = ",".join([names[t] for t in chain]), len(chain), b"".join([raws[t] for t in chain]), chain
         if self.special:
             for name, token in self.special.items():
                 self.known[name] = str(token), 1, name.encode(), (token,)
@@ -188,7 +213,7 @@ def encode_decode(docs: DataFrame, path: str, outputs: tuple[str, ...] = ("n_tok
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = load(path)
         for batch in batches:
-            for part in text_slices(batch, "text"):
+            for part in text_slices(batch, "text", ENCODED_BYTES):
                 rows = bpe.encode([t or "" for t in part.column("text").to_pylist()])
                 columns = [pa.array([make[name](parts) for parts in rows], kinds.get(name, pa.string())) for name in outputs]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), *columns], ["doc_id", *outputs])
